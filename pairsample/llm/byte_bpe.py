@@ -10,14 +10,19 @@ from __future__ import annotations
 
 import base64
 import heapq
+import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLOCK_CHARS = 4_000_000
-REPLAY_BYTES = 1_000_000
+REPLAY_BYTES = 4_000_000
+#: Letters, numbers and white space among the characters up to U+024F: the classes of the pattern, for the faster standard matcher.
+LETTER, NUMBER, WHITE = "A-Za-z\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be", "\x09-\x0d\x20\x85\xa0"
+BEYOND = re.compile("[^\x00-\u024f]")
 LONGEST_KEPT = 64
 
 
@@ -29,18 +34,50 @@ class Vocabulary:
         import regex
 
         self.pattern = regex.compile(public_tokenizers.PATTERN)
+        classes = ((r" ?[^\s\p{L}\p{N}]+", f" ?[^{WHITE}{LETTER}{NUMBER}]+"), (r"\p{L}", f"[{LETTER}]"), (r"\p{N}", f"[{NUMBER}]"), (r"\S", f"[^{WHITE}]"), (r"\s", f"[{WHITE}]"))
+        near = public_tokenizers.PATTERN
+        for general, listed in classes:
+            near = near.replace(general, listed)
+        self.near = re.compile(near)
         with open(path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as lines:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, filter(bytes.strip, lines))}
-        self.first = [ranks[bytes([b])] for b in range(256)]
+        self.first_array = np.array([ranks[bytes([b])] for b in range(256)], np.int64)
         self.text = {i: t for t, i in ranks.items()}
         self.whole = ranks
         self.width = max(ranks.values()) + 1
-        self.pairs = {}
+        pairs = {}
         for token, rank in ranks.items():
             for cut in range(1, len(token)):
                 left, right = ranks.get(token[:cut]), ranks.get(token[cut:])
                 if left is not None and right is not None:
-                    self.pairs[left * self.width + right] = rank
+                    pairs[left * (self.width + 1) + right] = rank
+        # open addressing: a power of two of slots, at most an eighth of them full, probed in steps of one
+        self.mask = (1 << (8 * max(1, len(pairs))).bit_length()) - 1
+        self.slot_key = np.full(self.mask + 1, -1, np.int64)
+        self.slot_rank = np.full(self.mask + 1, -1, np.int32)
+        self.probes = 1
+        for key, rank in pairs.items():
+            slot, probe = self._slot(key), 1
+            while self.slot_key[slot] >= 0:
+                slot, probe = (slot + 1) & self.mask, probe + 1
+            self.slot_key[slot], self.slot_rank[slot] = key, rank
+            self.probes = max(self.probes, probe)
+
+    def _slot(self, key):
+        return (key ^ (key >> 13)) * 40503 & self.mask
+
+    def rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Rank of each pair of tokens, -1 where the two don't merge."""
+        key = left.astype(np.int64) * (self.width + 1) + right
+        slot = self._slot(key)
+        rank = np.where(self.slot_key[slot] == key, self.slot_rank[slot], -1)
+        for _ in range(self.probes - 1):
+            open_ = np.flatnonzero((rank < 0) & (self.slot_key[slot] >= 0))
+            if not len(open_):
+                break
+            slot = (slot + 1) & self.mask
+            rank[open_] = np.where(self.slot_key[slot[open_]] == key[open_], self.slot_rank[slot[open_]], -1)
+        return rank
 
 
 def replay(words: list[bytes], vocabulary: Vocabulary) -> list[list[int]]:
@@ -49,25 +86,24 @@ def replay(words: list[bytes], vocabulary: Vocabulary) -> list[list[int]]:
     A word in which a merge brought up a pair of smaller rank waits with its other pairs of the present rank until
     that one is done, so each word sees its merges in the order it would see them alone.
     """
-    pairs, width = vocabulary.pairs, vocabulary.width
-    symbol: list[int] = []
-    after: list[int] = []
-    before: list[int] = []
-    word_of: list[int] = []
-    starts: list[int] = []
+    lengths = np.array([len(w) for w in words], np.int64)
+    symbol = vocabulary.first_array[np.frombuffer(b"".join(words), np.uint8)]
+    size = len(symbol)
+    word_of = np.repeat(np.arange(len(words)), lengths)
+    # one slot more than there are symbols: a sentinel to the left and right of every word, whose pairs have no rank
+    after, before = np.arange(1, size + 2), np.arange(-1, size)
+    ends = np.cumsum(lengths)
+    full = lengths > 0
+    after[ends[full] - 1] = size
+    before[(ends - lengths)[full]] = size
+    symbol = np.append(symbol, vocabulary.width)
+    first_ranks = vocabulary.rank_of(symbol[:size], symbol[after[:size]])
     index: dict[int, list[int]] = {}
-    for k, word in enumerate(words):
-        at = len(symbol)
-        starts.append(at if word else -1)
-        for n, byte in enumerate(word):
-            symbol.append(vocabulary.first[byte])
-            before.append(at + n - 1 if n else -1)
-            after.append(at + n + 1 if n + 1 < len(word) else -1)
-            word_of.append(k)
-            if n:
-                rank = pairs.get(symbol[-2] * width + symbol[-1])
-                if rank is not None:
-                    index.setdefault(rank, []).append(at + n - 1)
+    known = np.flatnonzero(first_ranks >= 0)
+    by_rank = known[np.argsort(first_ranks[known], kind="stable")]
+    ranks, where = np.unique(first_ranks[by_rank], return_index=True)
+    for rank, positions in zip(ranks.tolist(), np.split(by_rank, where[1:]), strict=True):
+        index[rank] = positions.tolist()
     waiting = list(index)
     heapq.heapify(waiting)
     while waiting:
@@ -75,42 +111,52 @@ def replay(words: list[bytes], vocabulary: Vocabulary) -> list[list[int]]:
         positions = index.pop(rank, None)
         if positions is None:
             continue
-        positions.sort()
-        held: set[int] = set()
-        for i in positions:
-            j = after[i]
-            if symbol[i] < 0 or j < 0 or pairs.get(symbol[i] * width + symbol[j]) != rank:
-                continue
-            if word_of[i] in held:
-                late = index.setdefault(rank, [])
-                if not late:
-                    heapq.heappush(waiting, rank)
-                late.append(i)
-                continue
-            symbol[i], symbol[j] = rank, -1
-            after[i] = k = after[j]
-            if k >= 0:
-                before[k] = i
-            for left, right in ((before[i], i), (i, k)):
-                if left < 0 or right < 0:
-                    continue
-                new = pairs.get(symbol[left] * width + symbol[right])
-                if new is None:
-                    continue
-                if new not in index:
-                    index[new] = []
-                    heapq.heappush(waiting, new)
-                index[new].append(left)
-                if new < rank:
-                    held.add(word_of[i])
-    out = []
-    for i in starts:
-        ids = []
-        while i >= 0:
-            ids.append(symbol[i])
-            i = after[i]
-        out.append(ids)
-    return out
+        at = np.array(positions)
+        if len(at) > 1:
+            at.sort()
+        at = at[vocabulary.rank_of(symbol[at], symbol[after[at]]) == rank]
+        if len(at) > 1 and (at[1:] == at[:-1]).any():
+            at = np.unique(at)
+        if len(at) > 1 and (after[at[:-1]] == at[1:]).any():  # overlapping pairs, as in a run of one byte: from the left
+            taken, last = [], -1
+            for i in at.tolist():
+                if i != last:
+                    taken.append(i)
+                    last = int(after[i])
+            at = np.array(taken)
+        if not len(at):
+            continue
+        if len(at) > 1 and (word_of[at[1:]] == word_of[at[:-1]]).any():
+            # only the leftmost of a word now; the rest after whatever smaller rank that merge may bring up
+            leftmost = np.append(True, word_of[at[1:]] != word_of[at[:-1]])
+            rest = at[~leftmost]
+            at = at[leftmost]
+            index[rank] = rest.tolist()
+            heapq.heappush(waiting, rank)
+        right = after[at]
+        left, beyond = before[at], after[right]
+        symbol[at] = rank
+        symbol[right] = -1
+        after[at] = beyond
+        before[beyond] = at
+        for place, partner in ((left, at), (at, beyond)):
+            new = vocabulary.rank_of(symbol[place], symbol[partner])
+            hit = np.flatnonzero(new >= 0)
+            for r, i in zip(new[hit].tolist(), place[hit].tolist(), strict=True):
+                listed = index.get(r)
+                if listed is None:
+                    index[r] = [i]
+                    heapq.heappush(waiting, r)
+                else:
+                    listed.append(i)
+    alive = symbol[:size] >= 0
+    ids = symbol[:size][alive].tolist()
+    cuts = np.concatenate([[0], np.cumsum(np.bincount(word_of[alive], minlength=len(words)))]).tolist()
+    return [ids[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
+def pre_tokens(text: str, vocabulary: Vocabulary) -> list[str]:
+    return (vocabulary.pattern if BEYOND.search(text) else vocabulary.near).findall(text)
 
 
 class Encoder:
@@ -145,7 +191,7 @@ class Encoder:
             into[word] = b"".join(i.to_bytes(4, "little") for i in ids)
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut = [self.vocabulary.pattern.findall(t) if t else [] for t in texts]
+        cut = [pre_tokens(t, self.vocabulary) for t in texts]
         if len(self.kept) > self.room:
             self.kept = {}
         new = {w for words in cut for w in words if w not in self.kept}
@@ -158,6 +204,16 @@ class Encoder:
         return [b"".join(map(kept.__getitem__, words)) for words in cut]
 
 
+_ENCODERS: dict = {}
+
+
+def worker_encoder(path: str | None, room: int) -> Encoder:
+    """One encoder for a worker process, so that its tasks share what they have learned."""
+    if (path, room) not in _ENCODERS:
+        _ENCODERS[path, room] = Encoder(path, room)
+    return _ENCODERS[path, room]
+
+
 def blocks(texts: Iterator[str]) -> Iterator[list[str]]:
     block: list[str] = []
     held = 0
@@ -171,7 +227,7 @@ def blocks(texts: Iterator[str]) -> Iterator[list[str]]:
         yield block
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 200_000) -> DataFrame:
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 500_000) -> DataFrame:
     """Token ids of every whole text, as (id_col, ids), ids being little-endian unsigned 32-bit integers in one binary.
 
     A null text counts as empty and gives no ids; null ids and repeated rows are kept; special strings are ordinary
@@ -179,7 +235,7 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rank
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(ranks_path, cache_size)
+        encoder = worker_encoder(ranks_path, cache_size)
         for batch in batches:
             out: list[bytes] = []
             for block in blocks(t.as_py() or "" for t in batch.column(1)):
@@ -194,9 +250,7 @@ def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ran
     """The bytes that the ids stand for, as (id_col, ids, decoded). Null ids give no bytes; an unknown id is an error."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import numpy as np
-
-        text = Vocabulary(ranks_path).text
+        text = worker_encoder(ranks_path, 500_000).vocabulary.text
         for batch in batches:
             decoded = [b"".join(map(text.__getitem__, np.frombuffer(x.as_py() or b"", "<u4").tolist())) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(decoded, pa.binary())], names=["key", "ids", "decoded"])

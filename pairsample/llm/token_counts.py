@@ -73,6 +73,18 @@ class Lengths(dict):
         return n
 
 
+_LENGTHS: dict = {}
+
+
+def worker_lengths(table, model_path: str | None, room: int) -> Lengths:
+    """One cache for a worker process; a new broadcast table replaces it."""
+    key = (id(table), len(table), model_path, room)
+    if key not in _LENGTHS:
+        _LENGTHS.clear()
+        _LENGTHS[key] = Lengths(table, load(model_path), room)
+    return _LENGTHS[key]
+
+
 def frequent_units(docs: DataFrame, text_col: str, size: int) -> list[str]:
     """The heaviest pre-tokens over all texts, at most ``size``."""
 
@@ -114,7 +126,7 @@ def frequent_units(docs: DataFrame, text_col: str, size: int) -> list[str]:
 
 def count_tokens(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model_path: str | None = None,
-    limit: int = 4096, table_size: int = 8192, cache_size: int = 250_000,
+    limit: int = 4096, table_size: int = 8192, cache_size: int = 600_000,
 ) -> DataFrame:
     """Tokens of every whole text as the sentencepiece model gives them, without begin or end tokens.
 
@@ -129,7 +141,7 @@ def count_tokens(
     table = spark.sparkContext.broadcast({w: unit_length(model, w) for w in frequent_units(docs, text_col, table_size) if len(w) <= LONGEST_KEPT})
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Lengths(table.value, load(model_path), cache_size)
+        known = worker_lengths(table.value, model_path, cache_size)
         for batch in batches:
             n_bytes, n_tokens = [], []
             for text in batch.column(1):
