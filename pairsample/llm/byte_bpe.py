@@ -18,16 +18,27 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK_CHARS = 4_000_000
-REPLAY_BYTES = 4_000_000
+BLOCK_CHARS = 1_150_000
+REPLAY_BYTES = 1_000_000
 #: Letters, numbers and white space among the characters up to U+024F: the classes of the pattern, for the faster standard matcher.
 LETTER, NUMBER, WHITE = "A-Za-z\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be", "\x09-\x0d\x20\x85\xa0"
 BEYOND = re.compile("[^\x00-\u024f]")
 LONGEST_KEPT = 64
 
 
+def read_ranks(path: str | None) -> dict[bytes, int]:
+    import public_tokenizers
+
+    with open(path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as lines:
+        return {base64.b64decode(a): int(b) for a, b in map(bytes.split, filter(bytes.strip, lines))}
+
+
+def token_bytes(path: str | None) -> dict[int, bytes]:
+    return {i: t for t, i in read_ranks(path).items()}
+
+
 class Vocabulary:
-    """Ranks of byte strings; every pair of tokens whose joint bytes are a token; token bytes by id."""
+    """Ranks of byte strings, and every pair of tokens whose joint bytes are a token."""
 
     def __init__(self, path: str | None = None) -> None:
         import public_tokenizers
@@ -39,10 +50,8 @@ class Vocabulary:
         for general, listed in classes:
             near = near.replace(general, listed)
         self.near = re.compile(near)
-        with open(path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as lines:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, filter(bytes.strip, lines))}
+        ranks = read_ranks(path)
         self.first_array = np.array([ranks[bytes([b])] for b in range(256)], np.int64)
-        self.text = {i: t for t, i in ranks.items()}
         self.whole = ranks
         self.width = max(ranks.values()) + 1
         pairs = {}
@@ -227,7 +236,7 @@ def blocks(texts: Iterator[str]) -> Iterator[list[str]]:
         yield block
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 500_000) -> DataFrame:
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 150_000) -> DataFrame:
     """Token ids of every whole text, as (id_col, ids), ids being little-endian unsigned 32-bit integers in one binary.
 
     A null text counts as empty and gives no ids; null ids and repeated rows are kept; special strings are ordinary
@@ -250,7 +259,7 @@ def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ran
     """The bytes that the ids stand for, as (id_col, ids, decoded). Null ids give no bytes; an unknown id is an error."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        text = worker_encoder(ranks_path, 500_000).vocabulary.text
+        text = token_bytes(ranks_path)
         for batch in batches:
             decoded = [b"".join(map(text.__getitem__, np.frombuffer(x.as_py() or b"", "<u4").tolist())) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(decoded, pa.binary())], names=["key", "ids", "decoded"])

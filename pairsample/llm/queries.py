@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairsample.llm import byte_bpe, token_counts
+from pairsample.llm import byte_bpe, decontamination, license_scan, line_dedup, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -26,9 +26,32 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = line_dedup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return kept.select("doc_id", "n_lines", "n_dropped", F.md5(F.encode("text", "UTF-8")).alias("text_md5"))
+
+
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan_licenses(license_scan.document_files(table(spark, sf_dir, "documents")))
+
+
 def queries() -> dict:
-    return {"op2_token_counts": op2_token_counts, "op6_byte_bpe": op6_byte_bpe}
+    return {
+        "op2_token_counts": op2_token_counts,
+        "op4_line_dedup": op4_line_dedup,
+        "op5_decontamination": op5_decontamination,
+        "op6_byte_bpe": op6_byte_bpe,
+        "op9_license_scan": op9_license_scan,
+    }
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {
+        "op4_line_dedup": line_dedup.ORACLE,
+        "op5_decontamination": decontamination.ORACLE,
+        "op9_license_scan": license_scan.oracle(),
+    }
