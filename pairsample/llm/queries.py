@@ -5,13 +5,18 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairsample.llm import byte_bpe, decontamination, language_id, license_scan, line_dedup, token_counts
+from pairsample.llm import byte_bpe, decontamination, language_id, language_model, license_scan, line_dedup, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def fold(of: int) -> Column:
+    """crc32 of the id as text, modulo ``of``."""
+    return F.crc32(F.col("doc_id").cast("string")) % of
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"))
 
@@ -35,9 +40,9 @@ def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
-def fold(of: int) -> Column:
-    """crc32 of the id as text, modulo ``of``."""
-    return F.crc32(F.col("doc_id").cast("string")) % of
+def op3_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = language_model.score_texts(table(spark, sf_dir, "documents"), fold(7) != 2, stable=True)
+    return scored.select("doc_id", (fold(7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -54,6 +59,7 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     return {
         "op2_token_counts": op2_token_counts,
+        "op3_language_model": op3_language_model,
         "op4_line_dedup": op4_line_dedup,
         "op5_decontamination": op5_decontamination,
         "op6_byte_bpe": op6_byte_bpe,
