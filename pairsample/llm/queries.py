@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairsample.llm import byte_bpe, decontamination, language_id, language_model, license_scan, line_dedup, order_minhash, token_counts
+from pairsample.llm import byte_bpe, decontamination, embedding_dedup, language_id, language_model, license_scan, line_dedup, order_minhash, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -56,6 +56,10 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (fold(4) == 2).alias("held_out"), "lang_pred", "score")
 
 
+def op8_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.linked_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(license_scan.document_files(table(spark, sf_dir, "documents")))
 
@@ -69,6 +73,7 @@ def queries() -> dict:
         "op5_decontamination": op5_decontamination,
         "op6_byte_bpe": op6_byte_bpe,
         "op7_language_id": op7_language_id,
+        "op8_embedding_dedup": op8_embedding_dedup,
         "op9_license_scan": op9_license_scan,
     }
 
