@@ -62,20 +62,19 @@ class Chain:
                 beta = np.where(inside, back / back.sum(axis=1, keepdims=True), 1.0).astype(seen.dtype)
         return (out, out[0].sum(axis=0), expected) if pairs else out
 
-    def viterbi(self, emission: np.ndarray) -> list[int]:
-        """The best labels of one sequence, emission being (steps, labels); the smaller label where two are equal."""
-        steps = len(emission)
-        if not steps:
-            return []
-        best, come = self.start + emission[0], np.zeros(emission.shape, np.int64)
+    def viterbi_all(self, emission: np.ndarray, lengths: np.ndarray) -> list[list[int]]:
+        """The best labels of padded sequences, emission being (steps, sequences, labels); the smaller label where two are equal."""
+        steps, n, labels = emission.shape
+        best, come = self.start + emission[0], np.zeros((steps, n, labels), np.int64)
         for t in range(1, steps):
-            paths = best[:, None] + self.step
-            come[t] = paths.argmax(axis=0)
-            best = paths.max(axis=0) + emission[t]
-        labels = [int(best.argmax())]
-        for t in range(steps - 1, 0, -1):
-            labels.append(int(come[t, labels[-1]]))
-        return labels[::-1]
+            paths = best[:, :, None] + self.step[None]
+            come[t] = paths.argmax(axis=1)
+            best = np.where((t < lengths)[:, None], paths.max(axis=1) + emission[t], best)
+        now, out = best.argmax(axis=1), np.zeros((steps, n), np.int64)
+        for t in range(steps - 1, -1, -1):
+            out[t] = now
+            now = np.where(t < lengths, come[t, np.arange(n), now], now) if t else now
+        return [out[: lengths[i], i].tolist() for i in range(n)]
 
     def fit(self, features: list[list[int]], sequences: list[tuple[np.ndarray, np.ndarray]], rounds: int = 3, size: int = 128, rate: float = 0.2, decay: float = 1e-5, seed: int = 7) -> Chain:
         """Adagrad on the log likelihood. ``sequences`` hold item numbers (of ``features``) and labels."""

@@ -153,6 +153,23 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     return source.mapInArrow(run, "key long, lang_pred string, score double").select(F.col("key").alias(id_col), "lang_pred", "score")
 
 
+def keep_identified(docs: DataFrame, model: Model, text_col: str = "text", min_score: float = 0.2) -> DataFrame:
+    """The rows of ``docs``, all columns unchanged, whose text has a language of at least that score; the rest (``und`` among them) go."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+    place = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = sent.value
+        for batch in batches:
+            keep = []
+            for texts in _blocks(batch.column(place)):
+                cut = [words_of(t) for t in texts] if known.languages else [[] for _ in texts]
+                keep += [bool(len(probs)) and float(probs.mean(axis=0, dtype=np.float64).max()) >= min_score for probs in known.label(cut)]
+            yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def label_words(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every word with its language: (id_col, position, word, lang, probability). Texts without words give no rows."""
     sent = docs.sparkSession.sparkContext.broadcast(model)

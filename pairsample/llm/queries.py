@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairsample.llm import byte_bpe, decontamination, embedding_dedup, language_id, language_model, license_scan, line_dedup, order_minhash, token_counts
+from pairsample.llm import byte_bpe, decontamination, embedding_dedup, html_text, language_id, language_model, license_scan, line_dedup, order_minhash, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -64,8 +64,19 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(license_scan.document_files(table(spark, sf_dir, "documents")))
 
 
+def op10_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
+        "pipeline": pipeline,
         "op1_order_minhash": op1_order_minhash,
         "op2_token_counts": op2_token_counts,
         "op3_language_model": op3_language_model,
@@ -75,6 +86,7 @@ def queries() -> dict:
         "op7_language_id": op7_language_id,
         "op8_embedding_dedup": op8_embedding_dedup,
         "op9_license_scan": op9_license_scan,
+        "op10_html_text": op10_html_text,
     }
 
 
