@@ -14,9 +14,15 @@ def register(key: str, run, oracle: str | None = None) -> None:
         _ORACLES[key] = oracle
 
 
+def _load() -> None:
+    from pairsample.plans import queries as _  # noqa: F401
+
+
 def queries() -> dict:
+    _load()
     return dict(_QUERIES)
 
 
 def oracle_sql() -> dict:
+    _load()
     return dict(_ORACLES)
