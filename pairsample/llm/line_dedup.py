@@ -1,6 +1,6 @@
 """Corpus-wide line deduplication by a deletion-neighbourhood join, with DataFrame functions only.
 
-A line is its sequence of words. Two lines are the same if the sequences are equal, and near if one word put in, left
+A line is trimmed and cut into words at its blanks. Two lines are the same if they are equal, and near if one word put in, left
 out or replaced turns one into the other and this is at most a share ``1 - min_similarity`` of the longer one. A line
 goes if an earlier line (smaller id, then smaller position) is the same or near; blank lines always stay.
 
@@ -15,10 +15,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pairsample.llm.common import Scratch
+
 NO_ID = 2**63 - 1
 BLANKS = " \t\r\x0b\x0c"
 
 
+#: The largest table that is broadcast, in rows of a few dozen bytes; counted first, and joined by shuffle beyond it.
+BROADCAST_ROWS = 1_000_000
+
+
+def _bounded(df: DataFrame) -> DataFrame:
+    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
+
+
 def _half(n: Column) -> Column:
     """The largest power of two up to half of n, so that most neighbouring lengths share it."""
     return F.pow(F.lit(2.0), F.floor(F.log2(n / 2))).cast("int")
@@ -31,48 +41,53 @@ def _lines(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         F.posexplode(F.split(F.col(text_col).cast("string"), "\n")).alias("pos", "raw"),
     )
     line = source.select("d", "th", "pos", F.btrim("raw", F.lit(BLANKS)).alias("line")).where("line <> ''")
-    words = line.select("d", "th", "pos", F.array_join(F.split("line", r"\s+"), " ").alias("line"))
-    return words.select(F.xxhash64("line").alias("k1"), F.xxhash64(F.lit("second"), "line").alias("k2"), "d", "pos", "th", "line")
-
-
-def near_lines(distinct: DataFrame, min_similarity: float = 0.8) -> DataFrame:
-    """The distinct lines (k1, k2, d, pos, line) that have an earlier near line: (k1, k2)."""
-    least = F.lit(1.0 - 1e-9)
-    sized = distinct.withColumn("w", F.split("line", " ")).withColumn("n", F.size("w"))
-    wide = sized.where((F.col("n") + 1) * (1 - min_similarity) >= least).where("n >= 2")
-    lengths = F.array_distinct(F.array(_half(F.col("n")), F.when(F.col("n") >= 3, _half(F.col("n") - 1)).otherwise(_half(F.col("n")))))
-    halves = wide.select("k1", "k2", "w", F.explode(lengths).alias("h")).select(
-        "k1", "k2",
-        F.explode(F.array(F.xxhash64(F.lit("first"), "h", F.expr("slice(w, 1, h)")), F.xxhash64(F.lit("last"), "h", F.expr("slice(w, -h, h)")))).alias("half"),
-    )
+    return line.select(F.xxhash64("line").alias("k1"), F.xxhash64(F.lit("second"), "line").alias("k2"), "d", "pos", "th", "line")
+
+
+def _halves(line: Column, min_similarity: float) -> Column:
+    """Hashes of the first and last halves under which a line can meet its near lines; none for a line too short to have any."""
+    w = F.split(line, " ")
+    n = F.size(w)
+
+    def ends(h: Column) -> list[Column]:
+        return [F.xxhash64(F.lit("first"), h, F.slice(w, 1, h)), F.xxhash64(F.lit("last"), h, F.slice(w, -h, h))]
+
+    own, less = _half(n), _half(F.greatest(n - 1, F.lit(2)))
+    both = F.when(own == less, F.array(*ends(own))).otherwise(F.array(*ends(own), *ends(less)))
+    return F.when(((n + 1) * (1 - min_similarity) >= 1 - 1e-9) & (n >= 2), both).otherwise(F.array().cast("array<long>"))
+
+
+def near_lines(scratch: Scratch, lines: DataFrame, distinct: DataFrame, min_similarity: float = 0.8) -> DataFrame:
+    """The distinct lines (k1, k2, d, pos, halves) that have an earlier near line: (k1, k2)."""
+    halves = distinct.select("k1", F.explode("halves").alias("half"))
     shared = halves.groupBy("half").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).where("lo <> hi").select("half")
-    meets = halves.join(shared, "half").select("k1", "k2").distinct()
-    able = wide.join(meets, ["k1", "k2"]).select("k1", "k2", "d", "pos", "n", "w")
+    meets = scratch.write(distinct.select("k1", "k2", "d", "pos", F.explode("halves").alias("half")).join(_bounded(scratch.write(shared)), "half").select("k1", "k2", "d", "pos").distinct())
+    able = lines.select("k1", "k2", "d", "pos", "line").join(_bounded(meets), ["k1", "k2", "d", "pos"]).dropDuplicates(["k1", "k2"])
+    able = scratch.write(able.withColumn("w", F.split("line", " ")).drop("line").withColumn("n", F.size("w")))
 
     words = able.select("k1", "k2", "d", "pos", "n", F.posexplode("w").alias("i", "word"))
     marks = words.select("k1", "k2", "d", "pos", "n", "i", F.xxhash64("word", "i").alias("here"), F.xxhash64("word", F.col("i") - 1).alias("moved"))
     whole = Window.partitionBy("k1", "k2")
     upto = whole.orderBy("i").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    cut = marks.select(
+    cut = scratch.write(marks.select(
         "k1", "k2", "d", "pos", "n", "i",
         F.expr("bit_xor(here)").over(whole).alias("own"),
         F.expr("bit_xor(here)").over(upto).bitwiseXOR(F.col("here")).bitwiseXOR(F.expr("bit_xor(moved)").over(whole)).bitwiseXOR(F.expr("bit_xor(moved)").over(upto)).alias("left_out"),
-    )
-    at = F.struct("d", "pos", "k1", "k2")
-    # one word replaced: the same variant with the same place left out
-    replaced = cut.groupBy("left_out", "i", "n").agg(F.min(at).alias("rep"), F.max(at).alias("last")).where("rep <> last")
-    by_replaced = cut.join(replaced, ["left_out", "i", "n"]).where(F.struct("d", "pos", "k1", "k2") > F.col("rep")).select("k1", "k2", "rep")
-    # one word more or less: the variant of one line is the whole of another
-    itself = cut.where("i = 0").select(F.col("own").alias("v"), F.col("n").alias("m"), at.alias("short"))
-    longer = cut.select(F.col("left_out").alias("v"), (F.col("n") - 1).alias("m"), at.alias("long"))
-    first_long = longer.groupBy("v", "m").agg(F.min("long").alias("rep"))
-    first_short = itself.groupBy("v", "m").agg(F.min("short").alias("rep"))
-    by_longer = itself.join(first_long, ["v", "m"]).where("short > rep").select("short.k1", "short.k2", "rep")
-    by_shorter = longer.join(first_short, ["v", "m"]).where("long > rep").select("long.k1", "long.k2", "rep")
-    found = by_replaced.unionByName(by_longer).unionByName(by_shorter).groupBy("k1", "k2").agg(F.min("rep").alias("rep"))
+    ))
+    at = F.struct("d", "pos", "k1", "k2").alias("at")
+    variants = cut.select(at, F.col("left_out").alias("v"), (F.col("n") - 1).alias("m"), "i").unionByName(cut.where("i = 0").select(at, F.col("own").alias("v"), F.col("n").alias("m"), F.lit(-1).alias("i")))
+    equal = variants.groupBy("v", "m").agg(F.min("at.k1").alias("lo"), F.max("at.k1").alias("hi")).where("lo <> hi").select("v", "m")
+    met = scratch.write(variants.join(_bounded(scratch.write(equal)), ["v", "m"]))
+    # the same words left at the same place: one word replaced. The whole of a line (i = -1) and a variant: one word more
+    first = met.groupBy("v", "m", "i").agg(F.min("at").alias("rep"))
+    whole_first, part_first = first.where("i = -1").select("v", "m", "rep"), first.where("i >= 0").groupBy("v", "m").agg(F.min("rep").alias("rep"))
+    replaced = met.where("i >= 0").join(first, ["v", "m", "i"]).select("at", "rep")
+    longer = met.where("i >= 0").join(whole_first, ["v", "m"]).select("at", "rep")
+    shorter = met.where("i = -1").join(part_first, ["v", "m"]).select("at", "rep")
+    found = replaced.unionByName(longer).unionByName(shorter).where("rep < at").groupBy("at").agg(F.min("rep").alias("rep"))
 
     # hashes only proposed; the words of both lines decide
-    mine = found.join(able.select("k1", "k2", "w", "n"), ["k1", "k2"])
+    mine = found.select("at.k1", "at.k2", "rep").join(able.select("k1", "k2", "w", "n"), ["k1", "k2"])
     theirs = able.select(F.col("k1").alias("r1"), F.col("k2").alias("r2"), F.col("w").alias("x"), F.col("n").alias("m"))
     both = mine.join(theirs, (F.col("rep.k1") == F.col("r1")) & (F.col("rep.k2") == F.col("r2")))
 
@@ -83,7 +98,7 @@ def near_lines(distinct: DataFrame, min_similarity: float = 0.8) -> DataFrame:
 
     longest = F.greatest("n", "m")
     one_edit = (F.abs(F.col("n") - F.col("m")) <= 1) & (common(F.col("w"), F.col("x")) + common(F.reverse("w"), F.reverse("x")) >= longest - 1)
-    return both.where(one_edit & (longest * (1 - min_similarity) >= least)).select("k1", "k2")
+    return both.where(one_edit & (longest * (1 - min_similarity) >= 1 - 1e-9)).select("k1", "k2")
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_similarity: float = 0.8) -> DataFrame:
@@ -93,11 +108,16 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     ``docs`` are replaced). A null text stays null with 0 lines. Rows without an id come last in the order and are told
     apart by their text. Rows that repeat an id and a text are one origin and keep the same lines. Empty tables give empty ones.
     """
+    scratch = Scratch(docs.sparkSession, "lines")
     lines = _lines(docs, id_col, text_col)
-    distinct = lines.groupBy("k1", "k2").agg(F.min(F.struct("d", "pos")).alias("at"), F.max(F.struct("d", "pos")).alias("last"), F.first("line").alias("line"))
-    distinct = distinct.select("k1", "k2", "at.d", "at.pos", "last", "line")
-    near = near_lines(distinct, min_similarity).withColumn("near", F.lit(True))
-    acting = (
+    distinct = scratch.write(
+        lines.select("k1", "k2", "d", "pos", _halves(F.col("line"), min_similarity).alias("halves"))
+        .groupBy("k1", "k2")
+        .agg(F.min(F.struct("d", "pos")).alias("at"), F.max(F.struct("d", "pos")).alias("last"), F.first("halves").alias("halves"))
+        .select("k1", "k2", "at.d", "at.pos", "last", "halves")
+    )
+    near = near_lines(scratch, lines, distinct, min_similarity).withColumn("near", F.lit(True))
+    acting = scratch.write(
         distinct.select("k1", "k2", F.col("d").alias("d0"), F.col("pos").alias("pos0"), "last")
         .join(near, ["k1", "k2"], "left")
         .where(F.col("near") | (F.struct(F.col("d0").alias("d"), F.col("pos0").alias("pos")) < F.col("last")))
@@ -129,7 +149,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 ORACLE = r"""
 WITH src AS (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents WHERE text IS NOT NULL),
 raw AS (SELECT doc_id, unnest(ls) AS line, unnest(range(0, len(ls))) AS pos FROM src),
-l AS (SELECT doc_id, pos, string_split_regex(trim(line, ' ' || chr(9) || chr(13) || chr(11) || chr(12)), '\s+') AS w FROM raw
+l AS (SELECT doc_id, pos, string_split(trim(line, ' ' || chr(9) || chr(13) || chr(11) || chr(12)), ' ') AS w FROM raw
       WHERE trim(line, ' ' || chr(9) || chr(13) || chr(11) || chr(12)) <> ''),
 o AS (SELECT *, row_number() OVER (PARTITION BY w ORDER BY doc_id, pos) AS k FROM l),
 d AS (SELECT w, len(w) AS n, doc_id * 1000000 + pos AS ord FROM o WHERE k = 1),
