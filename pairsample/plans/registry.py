@@ -15,7 +15,7 @@ def register(key: str, run, oracle: str | None = None) -> None:
 
 
 def _load() -> None:
-    from pairsample.plans import queries as _  # noqa: F401
+    from pairsample.plans import queries as _, relational as _more  # noqa: F401
 
 
 def queries() -> dict:

@@ -6,19 +6,21 @@ the final test is applied when they are read. That doesn't hold for lift, whose
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pairsample.functions import draws
 from pairsample.functions.measures import Measure, dbl, get
 from pairsample.operators.sampling import count_pairs
 
-ITEM = F.concat_ws(":", F.col("event_type"), F.floor(F.get_json_object("props", "$.k").cast("int") / 10).cast("string"))
+def item() -> Column:
+    """The item of an event: its type and the tens of its key."""
+    return F.concat_ws(":", F.col("event_type"), F.floor(F.get_json_object("props", "$.k").cast("int") / 10).cast("string"))
 
 
 def window_baskets(events: DataFrame, length: str, slide: str | None = None, session_gap: str | None = None, watermark: str | None = None) -> DataFrame:
     """(user_id, start, items, n): the distinct items of each user in each window; works on streams and on tables alike."""
-    rows = events.where("user_id IS NOT NULL AND ts IS NOT NULL").select("user_id", F.col("ts").cast("timestamp").alias("ts"), ITEM.alias("item"))
+    rows = events.where("user_id IS NOT NULL AND ts IS NOT NULL").select("user_id", F.col("ts").cast("timestamp").alias("ts"), item().alias("item"))
     rows = rows.withWatermark("ts", watermark) if watermark else rows
     span = F.session_window("ts", session_gap) if session_gap else F.window("ts", length, slide) if slide else F.window("ts", length)
     grouped = rows.groupBy("user_id", span.alias("w")).agg(F.collect_set("item").alias("items"))
@@ -32,7 +34,7 @@ def without_repeats(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
 
 def running_supports(events: DataFrame) -> DataFrame:
     """Item counts over all baskets so far (user and day), for update mode: approximate distinct counts keep the state bounded."""
-    rows = events.select(ITEM.alias("i"), F.xxhash64("user_id", F.to_date("ts")).alias("t"))
+    rows = events.select(item().alias("i"), F.xxhash64("user_id", F.to_date("ts")).alias("t"))
     return rows.groupBy("i").agg(F.approx_count_distinct("t", 0.01).alias("c"))
 
 
