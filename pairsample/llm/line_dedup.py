@@ -76,6 +76,8 @@ def near_lines(scratch: Scratch, lines: DataFrame, distinct: DataFrame, min_simi
     ))
     at = F.struct("d", "pos", "k1", "k2").alias("at")
     variants = cut.select(at, F.col("left_out").alias("v"), (F.col("n") - 1).alias("m"), "i").unionByName(cut.where("i = 0").select(at, F.col("own").alias("v"), F.col("n").alias("m"), F.lit(-1).alias("i")))
+    # the longer of two lines that meet here has m + 1 words; where one edit is too much for it, they are no candidates
+    variants = variants.where((F.col("m") + 1) * (1 - min_similarity) >= 1 - 1e-9)
     equal = variants.groupBy("v", "m").agg(F.min("at.k1").alias("lo"), F.max("at.k1").alias("hi")).where("lo <> hi").select("v", "m")
     met = scratch.write(variants.join(_bounded(scratch.write(equal)), ["v", "m"]))
     # the same words left at the same place: one word replaced. The whole of a line (i = -1) and a variant: one word more
