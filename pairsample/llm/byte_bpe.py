@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK_CHARS = 1_150_000
+BLOCK_CHARS = 1_320_000
 REPLAY_BYTES = 1_000_000
 #: Letters, numbers and white space among the characters up to U+024F: the classes of the pattern, for the faster standard matcher.
 LETTER, NUMBER, WHITE = "A-Za-z\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be", "\x09-\x0d\x20\x85\xa0"
@@ -111,8 +111,8 @@ def replay(words: list[bytes], vocabulary: Vocabulary) -> list[list[int]]:
     known = np.flatnonzero(first_ranks >= 0)
     by_rank = known[np.argsort(first_ranks[known], kind="stable")]
     ranks, where = np.unique(first_ranks[by_rank], return_index=True)
-    for rank, positions in zip(ranks.tolist(), np.split(by_rank, where[1:]), strict=True):
-        index[rank] = positions.tolist()
+    for rank, begin, end in zip(ranks.tolist(), where.tolist(), [*where[1:].tolist(), len(by_rank)]):
+        index[rank] = by_rank[begin:end].tolist()
     waiting = list(index)
     heapq.heapify(waiting)
     while waiting:
@@ -236,7 +236,7 @@ def blocks(texts: Iterator[str]) -> Iterator[list[str]]:
         yield block
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 150_000) -> DataFrame:
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 320_000) -> DataFrame:
     """Token ids of every whole text, as (id_col, ids), ids being little-endian unsigned 32-bit integers in one binary.
 
     A null text counts as empty and gives no ids; null ids and repeated rows are kept; special strings are ordinary
