@@ -6,12 +6,14 @@ such list are candidates, more likely the smaller their edit distance, as order
 distance inside a band: they are near if 1 - distance / longer length reaches ``threshold``.
 
 Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket all texts
-are compared with the smallest id, the leader; those that are not near it go on among themselves, twice with a
-new leader, then in buckets narrowed by every further sketch they share, until nothing is left. Verified links are closed to components.
+are compared with the smallest id, the leader; those that are not near it go on among themselves with a new leader. After two rounds
+the buckets are narrowed by every further sketch and the range of lengths that texts share, and a bucket ends when all its texts are in one
+component. Verified links are closed to components.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,7 +28,8 @@ from pairsample.llm.language_model import mix
 BLOCK_CHARS = 1_500_000
 #: Bits of a picked hash that hold the position of its run in the text.
 PLACE = np.uint64(24)
-BINS = 256
+#: Bins of the word counts that bound a distance from below.
+BINS = 2048
 
 
 class Hasher:
@@ -140,29 +143,31 @@ def band_distances(pairs: list[tuple[np.ndarray, np.ndarray]], limits: np.ndarra
     now = np.where(shift >= half, shift - half, big)[None, :].repeat(rows, 0).astype(np.int32)
     now[(shift - half)[None, :] > m[:, None]] = big
     out = np.where(n == 0, m, big).astype(np.int64)
-    live = n > 0
+    who = np.arange(rows)
+    size, other, limit = n, m, limits
     for i in range(1, steps + 1):
         column = i + shift - half
         # character column - 1 of the other text lies at half + column - 1 of the padded one
-        same = right[:, i - 1 : i - 1 + width] == left[:, i - 1 : i]
-        step = now + ~same
-        up = np.empty_like(now)
-        up[:, :-1], up[:, -1] = now[:, 1:] + 1, big
-        step = np.minimum(step, up)
-        outside = (column[None, :] < 0) | (column[None, :] > m[:, None])
+        step = now + (right[:, i - 1 : i - 1 + width] != left[:, i - 1 : i])
+        step[:, :-1] = np.minimum(step[:, :-1], now[:, 1:] + 1)
+        outside = (column[None, :] < 0) | (column[None, :] > other[:, None])
         step[:, column == 0] = i
         step[outside] = big
         step = np.minimum(np.minimum.accumulate(step - shift, axis=1) + shift, big)
         step[outside] = big
         now = step.astype(np.int32)
-        ends = np.flatnonzero(n == i)
+        ends = np.flatnonzero(size == i)
         if len(ends):
-            at = m[ends] - i + half
+            at = other[ends] - i + half
             fits = (at >= 0) & (at < width)
-            out[ends[fits]] = now[ends[fits], at[fits]]
-        live &= (n > i) & (now.min(axis=1) <= limits)
-        if not live.any():
-            break
+            out[who[ends[fits]]] = now[ends[fits], at[fits]]
+        if i % 16 == 0 or len(ends):
+            # pairs that have ended or can't come back below their limit are put aside
+            live = np.flatnonzero((size > i) & (now.min(axis=1) <= limit))
+            if not len(live):
+                break
+            if len(live) < 0.8 * len(who):
+                now, left, right, who, size, other, limit = now[live], left[live], right[live], who[live], size[live], other[live], limit[live]
     return out
 
 
@@ -182,16 +187,18 @@ def near(pairs: list[tuple[np.ndarray, np.ndarray]], threshold: float) -> list[t
         tail = int(np.argmin(np.append(a[len(a) - short :][::-1] == b[len(b) - short :][::-1], False)))
         a, b = a[: len(a) - tail], b[: len(b) - tail]
         # every edit changes two counts of words at most
-        if np.abs(np.bincount(a % BINS, minlength=BINS) - np.bincount(b % BINS, minlength=BINS)).sum() > 2 * limit:
+        least = int(np.abs(np.bincount(a % BINS, minlength=BINS) - np.bincount(b % BINS, minlength=BINS)).sum() + 1) // 2
+        if least > limit:
             continue
         if not len(a) or not len(b):
             out[i] = (max(len(a), len(b)) <= limit, max(len(a), len(b)))
             continue
-        open_.append((i, a, b, limit))
+        open_.append((i, a, b, limit, least))
     half = 16
     while open_:
-        open_.sort(key=lambda x: len(x[1]))
-        later = []
+        # a band narrower than the bound can't hold the distance
+        later = [x for x in open_ if x[4] > half]
+        open_ = sorted((x for x in open_ if x[4] <= half), key=lambda x: len(x[1]))
         at = 0
         while at < len(open_):
             room = max(1, min(256, 40_000_000 // (len(open_[at][1]) + 8 * half + 1) // 8))
@@ -199,11 +206,11 @@ def near(pairs: list[tuple[np.ndarray, np.ndarray]], threshold: float) -> list[t
             at += room
             limits = np.array([x[3] for x in part])
             found = band_distances([(x[1], x[2]) for x in part], limits, half)
-            for (i, a, b, limit), distance in zip(part, found.tolist(), strict=True):
+            for (i, a, b, limit, least), distance in zip(part, found.tolist(), strict=True):
                 if distance <= min(half, limit):
                     out[i] = (True, distance)
                 elif half < limit:
-                    later.append((i, a, b, limit))
+                    later.append((i, a, b, limit, least))
         open_, half = later, 4 * half
     return out
 
@@ -260,16 +267,22 @@ def near_duplicates(
         left = words.select(F.col("d").alias("a"), F.col("n").alias("n1"), F.col("words").alias("left"))
         right = words.select(F.col("d").alias("b"), F.col("n").alias("n2"), F.col("words").alias("right"))
         sized = pairs.join(left.select("a", "n1"), "a").join(right.select("b", "n2"), "b").where(F.least("n1", "n2") >= F.greatest("n1", "n2") * threshold - 1e-9)
-        checked = verify(sized.select("a", "b").join(left, "a").join(right, "b"), threshold)
-        found = scratch.write(checked)
+        found = scratch.write(verify(sized.select("a", "b").join(left, "a").join(right, "b"), threshold))
         known = found if known is None else scratch.write(known.unionByName(found))
         linked = known.where("near").select(F.col("a").alias("lead"), F.col("b").alias("d"))
-        rest = scratch.write(members.join(linked, ["lead", "d"], "left_anti").select("key", "d"))
-        if rounds >= 3 and rounds % 2:
-            # two texts that go on together must share one more sketch
-            more = rest.join(reps.select("d", F.explode("sketch").alias("other")), "d").where("other <> key")
-            rest = more.select(F.xxhash64("key", "other").alias("key"), "d").distinct()
-        members = scratch.write(bucketed(rest))
+        rest = members.join(linked, ["lead", "d"], "left_anti").select("key", "d")
+        if rounds == 2:
+            # two texts that go on together must share one more sketch and be of near lengths
+            low = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9)
+            more = rest.join(reps.select("d", "n", F.explode("sketch").alias("other")), "d").where("other > key")
+            rest = more.select(F.explode(F.array(F.xxhash64("key", "other", low), F.xxhash64("key", "other", low + 1))).alias("key"), "d").distinct()
+        if rounds >= 2:
+            # a bucket whose texts are all in one component has nothing more to tell
+            part = components(scratch, linked, "lead", "d")
+            placed = rest.join(part.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("component", "d").alias("c"))
+            mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
+            rest = placed.join(mixed, "key").select("key", "d")
+        members = scratch.write(bucketed(scratch.write(rest)))
 
     same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
     edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
