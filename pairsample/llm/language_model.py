@@ -27,8 +27,8 @@ from pairsample.llm.common import Scratch
 
 #: Not a word, as words hold no white space: ends a text, and stands before its first word.
 END = b"\n"
-BLOCK_CHARS = 20_000_000
-SHARD_CHARS = 10_000_000
+BLOCK_CHARS = 9_000_000
+SHARD_CHARS = 6_000_000
 #: Steps of probability per octave in the table that expectation-maximisation reads.
 FINE = 4
 BUCKETS = 64
