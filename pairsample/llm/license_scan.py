@@ -5,8 +5,8 @@ template's reaches ``threshold``. A file whose whole text does is a licence file
 statement of its own takes the licence of the nearest directory above it that has a licence file.
 
 Inverse document frequencies come from the templates; a term in none of them weighs as one of document frequency 0. Before
-anything is multiplied, units are filtered by a bound that loses nothing: without one of a template's heaviest terms the rest
-of the template can't reach the threshold.
+anything is multiplied, units are filtered by a bound that loses nothing: of each template some terms, common words first, are so
+light together that they can't reach the threshold, so a match holds one of its other terms.
 """
 
 from __future__ import annotations
@@ -18,6 +18,8 @@ from collections import Counter
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pairsample.llm.common import Scratch
+
 # Opening sentences and usual notices of public licences.
 TEMPLATES = [
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
@@ -38,6 +40,8 @@ TEMPLATES = [
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
     ("All-rights-reserved", "All rights reserved."),
 ]
+#: Common words, which are the first to do without when a match must hold one of a template's other terms.
+COMMON = tuple("the of and to in a is that are by this it for was with as be on at or from not all any may use you into without work".split())
 TERM = r"[a-z0-9]+(?:[.-][a-z0-9]+)*"
 
 
@@ -61,16 +65,19 @@ class Weights:
             self.vectors += [(k, name, t, w / norm) for t, w in weight.items()]
             rest = 0.0
             light = set()
-            for t, w in sorted(weight.items(), key=lambda x: (x[1], x[0])):
-                rest += (w / norm) ** 2
-                if rest >= (threshold - 1e-9) ** 2:
-                    break
-                light.add(t)
+            for t, w in sorted(weight.items(), key=lambda x: (COMMON.index(x[0]) if x[0] in COMMON else len(COMMON), x[1], x[0])):
+                if rest + (w / norm) ** 2 < (threshold - 1e-9) ** 2:
+                    rest += (w / norm) ** 2
+                    light.add(t)
             needed |= set(weight) - light
         self.needed = sorted(needed)
 
     def pattern(self) -> str:
-        return "(?:^|[^a-z0-9])(?:" + "|".join(re.escape(t).replace("\\-", "-") for t in self.needed) + ")(?:$|[^a-z0-9])"
+        """One of the needed terms as a whole term, the terms grouped by their first character."""
+        groups: dict[str, list[str]] = {}
+        for t in self.needed:
+            groups.setdefault(t[0], []).append(re.escape(t[1:]).replace("\\-", "-"))
+        return "(?:^|[^a-z0-9])(?:" + "|".join(f"{c}(?:{'|'.join(rest)})" for c, rest in groups.items()) + ")(?:$|[^a-z0-9])"
 
 
 def scan_licenses(
@@ -86,30 +93,33 @@ def scan_licenses(
     path get the best of their texts. An empty table gives an empty one; other columns are not read.
     """
     spark: SparkSession = files.sparkSession
+    scratch = Scratch(spark, "licenses")
     known = Weights(templates or TEMPLATES, threshold)
     idf = spark.createDataFrame(list(known.idf.items()), "term string, idf double")
     vectors = spark.createDataFrame([(k, name, t, w) for k, name, t, w in known.vectors], "template int, name string, term string, w double")
-    own = files.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(path_col).cast("string"), F.lit("/")).alias("path"), F.translate(F.col(text_col).cast("string"), *_ASCII).alias("text"))
+    own = files.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(path_col).cast("string"), F.lit("/")).alias("path"), F.lower(F.col(text_col).cast("string")).alias("text"))
     hit = own.where(F.col("text").rlike(known.pattern()))
     lines = F.transform(F.split("text", "\n"), lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))
-    paragraphs = F.transform(F.split("text", r"\n[ \t\r]*\n"), lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))
+    # a text without a blank line is its only paragraph, and its whole is compared anyway
+    cut = F.split("text", r"\n[ \t\r]*\n")
+    paragraphs = F.when(F.size(cut) > 1, F.transform(cut, lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))).otherwise(F.array().cast("array<struct<kind:string,unit:string>>"))
     whole = F.array(F.struct(F.lit("file").alias("kind"), F.col("text").alias("unit")))
-    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).select("d", "path", "u", "x.kind", "x.unit")
-    units = units.where(F.col("unit").rlike(known.pattern()))
-    # a unit is named by what it holds, so that rows which repeat an id stay apart
-    named = units.select("d", "path", "kind", F.xxhash64("u", "unit").alias("uh"), "u", "unit").dropDuplicates(["d", "path", "u", "uh"])
-    counts = named.select("d", "path", "kind", "u", "uh", F.explode(F.regexp_extract_all("unit", F.lit(TERM), 0)).alias("term")).groupBy("d", "path", "kind", "u", "uh", "term").agg(F.count("*").alias("tf"))
+    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()))
+    # a unit is named by what it holds, so rows that repeat an id stay apart; a row that comes twice only doubles all its counts
+    named = units.select("d", "path", "x.kind", F.xxhash64("d", "path", "u", "x.unit").alias("unit"), "x.unit")
+    named = named.toDF("d", "path", "kind", "unit", "words")
+    counts = named.select("unit", F.explode(F.regexp_extract_all("words", F.lit(TERM), 0)).alias("term")).groupBy("unit", "term").agg(F.count("*").alias("tf"))
     weighed = counts.join(F.broadcast(idf), "term", "left").withColumn("x", F.col("tf") * F.coalesce("idf", F.lit(known.other)))
-    key = ["d", "path", "kind", "u", "uh"]
-    norms = weighed.groupBy(*key).agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    dots = weighed.where("idf is not null").join(F.broadcast(vectors), "term").groupBy(*key, "template", "name").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
-    scored = dots.join(norms, key).select("d", "path", "kind", "name", F.round(F.col("dot") / F.col("norm"), 6).alias("score")).where(F.col("score") >= threshold)
+    norms = weighed.groupBy("unit").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
+    dots = weighed.where("idf is not null").join(F.broadcast(vectors), "term").groupBy("unit", "template", "name").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
+    close = dots.join(norms, "unit").select("unit", "name", F.round(F.col("dot") / F.col("norm"), 6).alias("score")).where(F.col("score") >= threshold)
+    scored = scratch.write(close.join(named.select("unit", "d", "path", "kind").distinct(), "unit").select("d", "path", "kind", "name", "score"))
     # a licence file says more than a statement; then the better score, then the name
     ranked = F.struct((F.col("kind") == "file").cast("int").alias("f"), F.col("score").alias("s"), F.lit(0).alias("z"))
     best = scored.groupBy("d", "path", "kind", "name").agg(F.max("score").alias("score"))
     top = best.groupBy("d", "path").agg(F.max(ranked).alias("top"))
     stated = best.join(top, ["d", "path"]).where((F.col("score") == F.col("top.s")) & ((F.col("kind") == "file").cast("int") == F.col("top.f")))
-    stated = stated.groupBy("d", "path", "kind", "score").agg(F.min("name").alias("license"))
+    stated = scratch.write(stated.groupBy("d", "path", "kind", "score").agg(F.min("name").alias("license")))
 
     folder = F.regexp_replace("path", r"/[^/]*$", "")
     licensed = stated.where("kind = 'file'").groupBy(folder.alias("up")).agg(F.min(F.struct("path", "license", "score")).alias("of"))
@@ -129,9 +139,6 @@ def scan_licenses(
     )
 
 
-_ASCII = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-
-
 def document_files(documents: DataFrame) -> DataFrame:
     """``documents`` as files: /source/thousand/doc_id.txt."""
     path = F.concat(F.lit("/"), F.coalesce("source", F.lit("unknown")), F.lit("/"), F.floor(F.col("doc_id") / 1000).cast("string"), F.lit("/"), F.col("doc_id").cast("string"), F.lit(".txt"))
@@ -145,7 +152,7 @@ def oracle(threshold: float = 0.7) -> str:
     return rf"""
 WITH idf(term, idf) AS (VALUES {idf}), vec(template, name, term, w) AS (VALUES {vectors}),
 f AS (SELECT doc_id, '/' || coalesce(source, 'unknown') || '/' || (doc_id // 1000) || '/' || doc_id || '.txt' AS path,
-             translate(text, '{_ASCII[0]}', '{_ASCII[1]}') AS text FROM documents),
+             lower(text) AS text FROM documents),
 u AS (SELECT doc_id, path, 'statement' AS kind, unnest(string_split(text, chr(10))) AS unit FROM f
       UNION SELECT doc_id, path, 'statement', unnest(string_split_regex(text, '\n[ \t\r]*\n')) FROM f
       UNION SELECT doc_id, path, 'file', text FROM f),
