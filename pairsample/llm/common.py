@@ -60,6 +60,11 @@ def components(scratch: Scratch, edges: DataFrame, a: str = "a", b: str = "b") -
         .select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
         .distinct()
     )
+
+    def state(table: DataFrame) -> tuple:
+        return tuple(table.agg(F.count("*"), F.expr("bit_xor(xxhash64(u, v))"), F.expr("bit_xor(xxhash64(v, u, 1))")).first())
+
+    seen = state(now)
     while True:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
@@ -71,10 +76,9 @@ def components(scratch: Scratch, edges: DataFrame, a: str = "a", b: str = "b") -
         # among the smaller neighbours of u, all hang on the smallest
         small = star.join(down, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         nxt = scratch.write(small.unionByName(down.select("u", F.col("m").alias("v"))).distinct())
-        gone = now.exceptAll(nxt).isEmpty() and nxt.exceptAll(now).isEmpty()
         scratch.drop(now)
-        now = nxt
-        if gone:
+        now, before, seen = nxt, seen, state(nxt)
+        if seen == before:
             break
     roots = now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     return now.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(roots)
