@@ -245,13 +245,19 @@ def near_duplicates(
     same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
     reps = scratch.write(same.where("sketch is not null").select(F.col("rep").alias("d"), "n", "sketch"))
 
-    def bucketed(rows: DataFrame) -> DataFrame:
-        """(key, d) with the leader of the bucket, leaders and lone rows left out."""
-        lead = rows.groupBy("key").agg(F.min("d").alias("lead"), F.max("d").alias("last")).where("lead <> last").select("key", "lead")
-        return rows.join(lead, "key").where("d <> lead")
+    def bucketed(rows: DataFrame, leaders: int) -> DataFrame:
+        """(key, d, lead, step): in each bucket the smallest ids lead one after another, and lead all after them; lone rows are left out."""
+        out = None
+        for step in range(1, leaders + 1):
+            lead = rows.groupBy("key").agg(F.min("d").alias("lead"), F.max("d").alias("last")).where("lead <> last").select("key", "lead")
+            follow = rows.join(lead, "key").where("d <> lead").withColumn("step", F.lit(step))
+            out = follow if out is None else out.unionByName(follow)
+            rows = follow.select("key", "d")
+        return out
 
     keys = reps.select("d", F.explode("sketch").alias("key"))
-    members = scratch.write(bucketed(keys))
+    leaders = 1
+    members = scratch.write(bucketed(keys, leaders))
     involved = scratch.write(members.select("d").unionByName(members.select(F.col("lead").alias("d"))).distinct())
     texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     words = as_words(texts.join(involved, "d", "left_semi"))
@@ -270,7 +276,8 @@ def near_duplicates(
         found = scratch.write(verify(sized.select("a", "b").join(left, "a").join(right, "b"), threshold))
         known = found if known is None else scratch.write(known.unionByName(found))
         linked = known.where("near").select(F.col("a").alias("lead"), F.col("b").alias("d"))
-        rest = members.join(linked, ["lead", "d"], "left_anti").select("key", "d")
+        hit = members.join(linked, ["lead", "d"]).select("key", "d").distinct()
+        rest = members.where(F.col("step") == leaders).select("key", "d").join(hit, ["key", "d"], "left_anti")
         if rounds == 2:
             # two texts that go on together must share one more sketch and be of near lengths
             low = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9)
@@ -282,7 +289,9 @@ def near_duplicates(
             placed = rest.join(part.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("component", "d").alias("c"))
             mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
             rest = placed.join(mixed, "key").select("key", "d")
-        members = scratch.write(bucketed(scratch.write(rest)))
+        # later rounds have few rows left, so several lead at a time
+        leaders = 1 if rounds < 2 else 6
+        members = scratch.write(bucketed(scratch.write(rest), leaders))
 
     same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
     edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
