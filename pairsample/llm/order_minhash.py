@@ -290,7 +290,7 @@ def near_duplicates(
             mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
             rest = placed.join(mixed, "key").select("key", "d")
         # later rounds have few rows left, so several lead at a time
-        leaders = 1 if rounds < 2 else 6
+        leaders = 1 if rounds < 2 else 3
         members = scratch.write(bucketed(scratch.write(rest), leaders))
 
     same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
