@@ -1,14 +1,15 @@
 """Near-duplicate texts by Order MinHash, verified by banded alignment.
 
-A text is its sequence of lower-case words. Every run of five words is labelled with how many equal runs stand before it. Each of
-``sketches`` hash functions picks the ``picks`` smallest labelled runs and keeps them in text order; texts that agree in one
-such list are candidates, more likely the smaller their edit distance, as order counts. Candidates are verified by the word-level edit
+A text is its sequence of lower-case words. Every run of ``k`` words is labelled with how many equal runs stand before it. Each of
+several hash functions picks the ``picks`` smallest labelled runs and keeps them in text order; texts that agree in one
+such list are candidates, more likely the smaller their edit distance, as order counts. Texts of up to ``SHORT`` words have too few runs for
+that; they are candidates if they share one of their rarest words, which loses nothing. Candidates are verified by the word-level edit
 distance inside a band: they are near if 1 - distance / longer length reaches ``threshold``.
 
-Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket all texts
-are compared with the smallest id, the leader; those that are not near it go on among themselves with a new leader. After two rounds
-the buckets are narrowed by every further sketch and the range of lengths that texts share, and a bucket ends when all its texts are in one
-component. Verified links are closed to components.
+Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket leaders are compared
+with all texts that are not yet in their component, and then leave; a text that a leader hit stays and may lead later. A bucket
+ends when all texts left in it are in one component, so that any two of its texts have met or are linked. After two
+rounds the texts of crowded buckets go on by length and rarest words, which every near pair shares. Verified links are closed to components.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pairsample.llm.common import Scratch, components
@@ -30,6 +31,18 @@ BLOCK_CHARS = 1_500_000
 PLACE = np.uint64(24)
 #: Bins of the word counts that bound a distance from below.
 BINS = 2048
+#: Texts of up to so many words are matched by their rarest words instead of sketches.
+SHORT = 0
+#: Slots of the counts by which words are rare.
+SLOTS = 1 << 16
+#: Buckets of more texts are narrowed after two rounds.
+CROWD = 16
+
+
+def plan(threshold: float, recall: float, k: int, picks: int) -> int:
+    """The number of sketches by which a pair at the threshold, its edits scattered at random, is found with probability ``recall``."""
+    whole = threshold**k
+    return math.ceil(math.log(1 - recall) / math.log(1 - (whole / (2 - whole)) ** picks))
 
 
 class Hasher:
@@ -93,23 +106,28 @@ def sketch_block(texts: list[list[str]], hasher: Hasher, k: int, sketches: int,
     return out, has
 
 
-def sketched(docs: DataFrame, id_col: str, text_col: str, k: int, sketches: int, picks: int) -> DataFrame:
-    """(d, t1, t2, n, sketch): the id, a 128-bit hash of the text, its number of words, the sketch values as longs."""
+def sketched(docs: DataFrame, id_col: str, text_col: str, k: int, sketches: int, picks: int, threshold: float) -> DataFrame:
+    """(d, t1, t2, n, sketch, words): the id, a 128-bit hash of the text, its number of words, the sketch values as longs, and the word hashes.
+
+    A text of up to SHORT words has no sketch; only texts that may be near to such a text have words.
+    """
+    upto = int(SHORT / threshold + 1e-9)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for batch in batches:
-            counts, found = [], []
+            counts, found, kept = [], [], []
             for block in _blocks(batch.column(3)):
                 texts = [t.lower().split() for t in block]
-                values, has = sketch_block(texts, hasher, k, sketches, picks)
+                values, has = sketch_block([t if len(t) > SHORT else [] for t in texts], hasher, k, sketches, picks)
                 counts += [len(t) for t in texts]
+                kept += [hasher.hashes(t).astype("<u4").tobytes() if 0 < len(t) <= upto else None for t in texts]
                 found += [row.view(np.int64) if h else None for row, h in zip(values, has.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(counts, pa.int32()), pa.array(found, pa.list_(pa.int64()))], names=["d", "t1", "t2", "n", "sketch"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(counts, pa.int32()), pa.array(found, pa.list_(pa.int64())), pa.array(kept, pa.binary())], names=["d", "t1", "t2", "n", "sketch", "words"])
 
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     source = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("d"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit("second"), text).alias("t2"), text.alias("text"))
-    return source.mapInArrow(run, "d long, t1 long, t2 long, n int, sketch array<long>")
+    return source.mapInArrow(run, "d long, t1 long, t2 long, n int, sketch array<long>, words binary")
 
 
 def as_words(docs: DataFrame) -> DataFrame:
@@ -124,6 +142,58 @@ def as_words(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, "d long, words binary")
 
 
+def rarity(texts: DataFrame) -> np.ndarray:
+    """How many words of (d, words) fall in each slot of the word hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        count = np.zeros(SLOTS, np.int64)
+        for batch in batches:
+            for x in batch.column(0):
+                count += np.bincount(np.frombuffer(x.as_py(), "<u4") % SLOTS, minlength=SLOTS)
+        slot = np.flatnonzero(count)
+        yield pa.RecordBatch.from_arrays([pa.array(slot.astype(np.int32)), pa.array(count[slot])], names=["slot", "n"])
+
+    found = texts.select("words").mapInArrow(run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
+    out = np.zeros(SLOTS, np.int64)
+    out[found["slot"].to_numpy(np.int64)] = found["n"].to_numpy(np.int64)
+    return out
+
+
+def rarest(words: np.ndarray, count: np.ndarray, threshold: float) -> np.ndarray:
+    """Hashes of the rarest words of a text, repeated words told apart: near texts share one.
+
+    Near texts of up to n words share all but threshold's rest of them, so both have a common word among so many of the rarest and one more.
+    """
+    word = np.sort(words).astype(np.uint64)
+    fresh = np.append(True, word[1:] != word[:-1])
+    again = np.arange(len(word)) - np.maximum.accumulate(np.where(fresh, np.arange(len(word)), 0))
+    order = np.lexsort((again, word, count[(word % np.uint64(SLOTS)).astype(np.int64)]))[: int((1 - threshold) * len(word) + 1e-9) + 1]
+    with np.errstate(over="ignore"):
+        return mix(word[order] + again[order].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
+def rare_keys(texts: DataFrame, count: np.ndarray, threshold: float) -> DataFrame:
+    """(d, words) to (key, d, n), a key for each of the rarest words and each of the two ranges of lengths that the text belongs to."""
+    sent = texts.sparkSession.sparkContext.broadcast(count)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                keys, sizes, lengths = [], [], []
+                for x in part.column(1):
+                    words = np.frombuffer(x.as_py(), "<u4")
+                    low = math.floor(math.log(len(words)) / -math.log(threshold) + 1e-9)
+                    found = rarest(words, sent.value, threshold)
+                    keys += [mix(found ^ np.uint64(low + 1)), mix(found ^ np.uint64(low + 2))]
+                    sizes.append(2 * len(found))
+                    lengths.append(len(words))
+                d = np.repeat(part.column(0).to_numpy(), sizes)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(d), pa.array(np.repeat(lengths, sizes).astype(np.int32))], names=["key", "d", "n"])
+
+    return texts.select("d", "words").mapInArrow(run, "key long, d long, n int")
+
+
 def band_distances(pairs: list[tuple[np.ndarray, np.ndarray]], limits: np.ndarray, half: int) -> np.ndarray:
     """Edit distances of pairs inside a band of ``half`` cells on either side of the diagonal, all pairs row by row.
 
@@ -231,72 +301,74 @@ def verify(pairs: DataFrame, threshold: float) -> DataFrame:
 
 
 def near_duplicates(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, sketches: int = 32, picks: int = 2, threshold: float = 0.8,
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, sketches: int | None = 32, picks: int = 2, threshold: float = 0.8,
+    recall: float = 0.98,
 ) -> DataFrame:
     """The near-duplicate class of every document.
 
     Returns one row per distinct non-null id: (id_col, same_as, cluster_id, kept). same_as is the smallest id with the very same text,
     cluster_id the smallest id reachable by links of equal or near texts, kept whether the row is that one. Null and empty
     texts are equal to each other and near nothing else; null ids can't be named and are left out; rows that repeat an id are one
-    document, near to what any of its texts is near to. An empty table gives an empty one.
+    document, near to what any of its texts is near to. An empty table gives an empty one. Links of texts of up to SHORT words are all found,
+    those of longer texts at the threshold with probability ``recall``, closer ones with more; ``sketches`` is set by it if not given.
     """
     scratch = Scratch(docs.sparkSession, "near-duplicates")
-    all_ = scratch.write(sketched(docs, id_col, text_col, k, sketches, picks))
-    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
-    reps = scratch.write(same.where("sketch is not null").select(F.col("rep").alias("d"), "n", "sketch"))
-
-    def bucketed(rows: DataFrame, leaders: int) -> DataFrame:
-        """(key, d, lead, step): in each bucket the smallest ids lead one after another, and lead all after them; lone rows are left out."""
-        out = None
-        for step in range(1, leaders + 1):
-            lead = rows.groupBy("key").agg(F.min("d").alias("lead"), F.max("d").alias("last")).where("lead <> last").select("key", "lead")
-            follow = rows.join(lead, "key").where("d <> lead").withColumn("step", F.lit(step))
-            out = follow if out is None else out.unionByName(follow)
-            rows = follow.select("key", "d")
-        return out
-
-    keys = reps.select("d", F.explode("sketch").alias("key"))
-    leaders = 1
-    members = scratch.write(bucketed(keys, leaders))
-    involved = scratch.write(members.select("d").unionByName(members.select(F.col("lead").alias("d"))).distinct())
+    all_ = scratch.write(sketched(docs, id_col, text_col, k, sketches or plan(threshold, recall, k, picks), picks, threshold))
+    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("words").alias("words"))
+    reps = scratch.write(same.where("n > 0").select(F.col("rep").alias("d"), "n", "sketch", "words"))
+    short = reps.where("words is not null").select("d", "words")
+
+    def alike(x: str, y: str) -> Column:
+        return F.least(x, y) >= F.greatest(x, y) * threshold - 1e-9
+
+    keys = reps.select(F.explode("sketch").alias("key"), "d", "n").unionByName(rare_keys(short, rarity(short), threshold))
+    # the smallest id of each bucket leads first; lone rows are left out
+    lead = keys.groupBy("key").agg(F.min(F.struct("d", "n")).alias("l"), F.max("d").alias("last")).where("l.d <> last").select("key", F.col("l.d").alias("lead"), F.col("l.n").alias("n1"))
+    rest = scratch.write(keys.join(lead, "key").where("d <> lead"))
+    pairs = scratch.write(rest.where(alike("n", "n1")).select(F.col("lead").alias("a"), F.col("d").alias("b")).distinct())
+    involved = scratch.write(rest.select("d").unionByName(rest.select(F.col("lead").alias("d"))).distinct())
     texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    words = as_words(texts.join(involved, "d", "left_semi"))
-    words = scratch.write(words.join(reps.select("d", "n"), "d"))
+    words = scratch.write(as_words(texts.join(involved, "d", "left_semi")).where("octet_length(words) > 0"))
+    left = words.select(F.col("d").alias("a"), F.col("words").alias("left"))
+    right = words.select(F.col("d").alias("b"), F.col("words").alias("right"))
 
+    rest = rest.select("key", "d", "n")
     known = None
-    rounds = 0
-    while not members.isEmpty():
+    rounds, leaders = 0, 2
+    while True:
         rounds += 1
-        pairs = members.select(F.col("lead").alias("a"), F.col("d").alias("b")).distinct()
-        if known is not None:
-            pairs = pairs.join(known.select("a", "b"), ["a", "b"], "left_anti")
-        left = words.select(F.col("d").alias("a"), F.col("n").alias("n1"), F.col("words").alias("left"))
-        right = words.select(F.col("d").alias("b"), F.col("n").alias("n2"), F.col("words").alias("right"))
-        sized = pairs.join(left.select("a", "n1"), "a").join(right.select("b", "n2"), "b").where(F.least("n1", "n2") >= F.greatest("n1", "n2") * threshold - 1e-9)
-        found = scratch.write(verify(sized.select("a", "b").join(left, "a").join(right, "b"), threshold))
-        known = found if known is None else scratch.write(known.unionByName(found))
-        linked = known.where("near").select(F.col("a").alias("lead"), F.col("b").alias("d"))
-        hit = members.join(linked, ["lead", "d"]).select("key", "d").distinct()
-        rest = members.where(F.col("step") == leaders).select("key", "d").join(hit, ["key", "d"], "left_anti")
-        if rounds == 2:
-            # two texts that go on together must share one more sketch and be of near lengths
-            low = F.floor(F.log(F.col("n").cast("double")) / -math.log(threshold) + 1e-9)
-            more = rest.join(reps.select("d", "n", F.explode("sketch").alias("other")), "d").where("other > key")
-            rest = more.select(F.explode(F.array(F.xxhash64("key", "other", low), F.xxhash64("key", "other", low + 1))).alias("key"), "d").distinct()
-        if rounds >= 2:
-            # a bucket whose texts are all in one component has nothing more to tell
-            part = components(scratch, linked, "lead", "d")
-            placed = rest.join(part.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("component", "d").alias("c"))
+        found = verify(pairs.join(left, "a").join(right, "b"), threshold)
+        known = scratch.write(found if known is None else known.unionByName(found))
+        linked = known.where("near").select("a", "b")
+        part = components(scratch, linked)
+        degree = linked.unionByName(linked.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.count("*").alias("links"))
+        place = scratch.write(part.join(degree, "node").withColumnRenamed("node", "d"))
+
+        def unsettled(rows: DataFrame, place: DataFrame = place) -> DataFrame:
+            """Rows of the buckets of which the texts left are in several components, with the component and the links of each text."""
+            placed = rows.join(place, "d", "left").select("key", "d", "n", F.coalesce("component", "d").alias("c"), F.coalesce("links", F.lit(0)).alias("links"))
             mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
-            rest = placed.join(mixed, "key").select("key", "d")
-        # later rounds have few rows left, so several lead at a time
-        leaders = 1 if rounds < 2 else 3
-        members = scratch.write(bucketed(scratch.write(rest), leaders))
+            return scratch.write(placed.join(mixed, "key"))
+
+        rest = unsettled(rest)
+        if rounds == 2:
+            leaders = CROWD
+        if rest.isEmpty():
+            break
+        # of each bucket the text with most links leads, and some of those outside its largest component, all where they are few
+        sizes = rest.groupBy("key", "c").agg(F.count("*").alias("size"), F.max(F.struct("links", -F.col("d"))).alias("hub"))
+        marks = sizes.groupBy("key").agg(F.max(F.struct("size", "c")).alias("top"), F.max("hub").alias("hub"), F.sum("size").alias("all"))
+        outside = F.col("all") - F.col("top.size")
+        drawn = (F.col("c") != F.col("top.c")) & (F.pmod(F.xxhash64("d", "key", F.lit(rounds)), outside) < leaders)
+        leading = scratch.write(rest.join(marks, "key").where((F.col("d") == -F.col("hub.col2")) | drawn).select("key", F.col("d").alias("lead"), F.col("c").alias("c1"), F.col("n").alias("n1")).distinct())
+        met = rest.join(leading, "key").where("c <> c1").where(alike("n", "n1"))
+        pairs = met.select(F.least("lead", "d").alias("a"), F.greatest("lead", "d").alias("b")).distinct()
+        pairs = scratch.write(pairs.join(known.select("a", "b"), ["a", "b"], "left_anti"))
+        rest = rest.join(leading.select("key", F.col("lead").alias("d")), ["key", "d"], "left_anti").select("key", "d", "n")
+        leaders *= 4 if rounds > 2 else 1
 
     same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
-    edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b"))
-    if known is not None:
-        edges = edges.unionByName(known.where("near").select("a", "b"))
+    edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b")).unionByName(known.where("near").select("a", "b"))
     label = components(scratch, edges)
     each = same_text.groupBy("d").agg(F.min("rep").alias("same_as"))
     cluster = F.coalesce("component", "d")

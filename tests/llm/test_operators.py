@@ -138,6 +138,23 @@ def test_near_duplicates_against_brute_force(spark, odd, empty):
     assert order_minhash.near_duplicates(empty).count() == 0
 
 
+def with_words(base, at, mark):
+    return " ".join(f"{mark}{k}" if k in at else w for k, w in enumerate(base))
+
+
+def test_near_chain_and_star_stay_whole(spark):
+    rng = random.Random(21)
+    base = prose(rng, 300).split()
+    # a chain in one bucket: the middle text is near both ends, the ends not to each other
+    chain = [with_words(base, set(range(0, 45)), "x"), " ".join(base), with_words(base, set(range(255, 300)), "y")]
+    rows = list(enumerate(chain))
+    # a star: each copy is near the centre, which has the largest id, and near no other copy
+    centre = prose(rng, 300).split()
+    rows += [(100 + k, with_words(centre, set(rng.sample(range(300), 40)), f"s{k}q")) for k in range(60)] + [(500, " ".join(centre))]
+    got = {r.doc_id: r.cluster_id for r in order_minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), k=3, sketches=32).collect()}
+    assert got == {d: 0 if d < 100 else 100 for d, _ in rows}
+
+
 def test_banded_alignment_is_exact():
     rng = random.Random(6)
 
