@@ -352,6 +352,9 @@ def near_duplicates(
 
         rest = unsettled(rest)
         if rounds == 2:
+            crowded = rest.groupBy("key").agg(F.count("*").alias("size")).where(F.col("size") > CROWD).select("key")
+            narrow = words.join(rest.join(crowded, "key").select("d").distinct(), "d", "left_semi")
+            rest = unsettled(rest.join(crowded, "key", "left_anti").select("key", "d", "n").unionByName(rare_keys(narrow, rarity(narrow), threshold)))
             leaders = CROWD
         if rest.isEmpty():
             break

@@ -155,6 +155,17 @@ def test_near_chain_and_star_stay_whole(spark):
     assert got == {d: 0 if d < 100 else 100 for d, _ in rows}
 
 
+def test_near_pairs_in_a_crowded_bucket_are_all_met(spark):
+    rng = random.Random(22)
+    # all texts share a passage, so buckets are crowded with texts far from each other
+    passage = prose(rng, 90).split()
+    bodies = [passage + prose(rng, 60).split() for _ in range(120)]
+    rows = [(k, " ".join(b)) for k, b in enumerate(bodies)] + [(500 + k, with_words(b, set(rng.sample(range(150), 24)), f"e{k}q")) for k, b in enumerate(bodies)]
+    got = {r.doc_id: r.cluster_id for r in order_minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), k=3, sketches=32).collect()}
+    assert sum(got[500 + k] == got[k] for k in range(120)) >= 114
+    assert all(got[k] == k for k in range(120))
+
+
 def test_banded_alignment_is_exact():
     rng = random.Random(6)
 
