@@ -32,7 +32,7 @@ PLACE = np.uint64(24)
 #: Bins of the word counts that bound a distance from below.
 BINS = 2048
 #: Texts of up to so many words are matched by their rarest words instead of sketches.
-SHORT = 0
+SHORT = 50
 #: Slots of the counts by which words are rare.
 SLOTS = 1 << 16
 #: Buckets of more texts are narrowed after two rounds.
@@ -301,7 +301,7 @@ def verify(pairs: DataFrame, threshold: float) -> DataFrame:
 
 
 def near_duplicates(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, sketches: int | None = 32, picks: int = 2, threshold: float = 0.8,
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, sketches: int | None = None, picks: int = 2, threshold: float = 0.8,
     recall: float = 0.98,
 ) -> DataFrame:
     """The near-duplicate class of every document.

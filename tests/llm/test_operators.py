@@ -166,6 +166,22 @@ def test_near_pairs_in_a_crowded_bucket_are_all_met(spark):
     assert all(got[k] == k for k in range(120))
 
 
+def test_near_recall_from_the_threshold_on(spark):
+    rng = random.Random(23)
+    rows, cuts = [], {}
+    for k in range(400):
+        # half the pairs are short; all are between 0.8 and 0.9
+        n = rng.randint(5, 60) if k % 2 else rng.randint(61, 300)
+        base = prose(rng, n).split()
+        edits = rng.randint(max(1, math.ceil(n * 0.1)), n // 5) if n >= 10 else 1
+        rows += [(2 * k, " ".join(base)), (2 * k + 1, with_words(base, set(rng.sample(range(n), edits)), f"e{k}q"))]
+        cuts[k] = n
+    got = {r.doc_id: r.cluster_id for r in order_minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    found = {k: got[2 * k + 1] == 2 * k for k in cuts}
+    assert all(found[k] for k in cuts if cuts[k] <= order_minhash.SHORT)
+    assert sum(found.values()) >= 0.97 * len(found)
+
+
 def test_banded_alignment_is_exact():
     rng = random.Random(6)
 
