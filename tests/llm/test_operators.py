@@ -289,6 +289,18 @@ def test_language_id(spark, odd, empty):
     assert {r.lang_pred for r in language_id.identify(odd, nothing).collect()} == {language_id.UNKNOWN}
 
 
+def test_lettered_junk_has_no_language(spark):
+    rng = random.Random(24)
+    tongue = {k: [w + end for w in WORDS] for k, end in zip(("aa", "bb", "cc", "dd"), ("ik", "oum", "est", "ul"), strict=True)}
+    rows = [(d, " ".join(rng.choice(tongue[k]) for _ in range(60)), k) for d in range(30) for k in tongue]
+    model = language_id.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    clean = [(d, " ".join(rng.choice(tongue[k]) for _ in range(40))) for d, k in enumerate(list(tongue) * 5)]
+    junk = [(100 + d, " ".join("".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=rng.randint(2, 10))) for _ in range(40))) for d in range(20)]
+    junk += [(200, "kaikki ihmiset syntyvät vapaina ja tasavertaisina arvoltaan ja oikeuksiltaan"), (201, "και το είναι της που με για από στην")]
+    kept = language_id.keep_identified(spark.createDataFrame(clean + junk, "doc_id long, text string"), model)
+    assert {r.doc_id for r in kept.collect()} == {d for d, _ in clean}
+
+
 def test_chain_against_enumeration():
     rng = np.random.default_rng(12)
     chain = Chain(4, 3)
