@@ -1,7 +1,7 @@
 """Licence scan by sparse TF-IDF cosine to templates and inheritance from the nearest ancestor directory, with DataFrame functions only.
 
 Units of a file are its lines, its paragraphs and its whole text. A unit states a licence if the cosine of its term weights to a
-template's reaches ``threshold``. A file whose whole text does is a licence file of its directory. A file without a
+template's reaches ``threshold``. A file whose whole text does, or reaches it to a full licence text, is a licence file of its directory. A file without a
 statement of its own takes the licence of the nearest directory above it that has a licence file.
 
 Inverse document frequencies come from the templates; a term in none of them weighs as one of document frequency 0. Before
@@ -14,6 +14,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -42,6 +43,8 @@ TEMPLATES = [
 ]
 #: Common words, which are the first to do without when a match must hold one of a template's other terms.
 COMMON = tuple("the of and to in a is that are by this it for was with as be on at or from not all any may use you into without work".split())
+#: Cosine that a whole file must reach to a full licence text: plain prose reaches 0.703 by common words alone.
+FULL = 0.9
 TERM = r"[a-z0-9]+(?:[.-][a-z0-9]+)*"
 
 
@@ -49,18 +52,24 @@ def terms(text: str) -> list[str]:
     return re.findall(TERM, re.sub("[A-Z]", lambda m: m.group().lower(), text))
 
 
+def full_texts() -> list[tuple[str, str]]:
+    """The full licence texts of the folder ``licenses``, compared with whole files only."""
+    return [(p.stem, p.read_text(encoding="utf-8")) for p in sorted((Path(__file__).parent / "licenses").glob("*.txt"))]
+
+
 class Weights:
     """Unit vectors of the templates, the weight of each known term, that of any other, and the terms one of which a match must hold."""
 
-    def __init__(self, templates: list[tuple[str, str]], threshold: float) -> None:
+    def __init__(self, templates: list[tuple[str, str]], threshold: float, by: Weights | None = None) -> None:
+        """``by`` gives the weights of terms, if not the templates themselves."""
         bags = [Counter(terms(t)) for _, t in templates]
         df = Counter(t for bag in bags for t in bag)
-        self.idf = {t: math.log((1 + len(bags)) / (1 + n)) + 1 for t, n in sorted(df.items())}
-        self.other = math.log(1 + len(bags)) + 1
+        self.idf = by.idf if by else {t: math.log((1 + len(bags)) / (1 + n)) + 1 for t, n in sorted(df.items())}
+        self.other = by.other if by else math.log(1 + len(bags)) + 1
         self.vectors = []
         needed = set()
         for k, ((name, _), bag) in enumerate(zip(templates, bags, strict=True)):
-            weight = {t: n * self.idf[t] for t, n in sorted(bag.items())}
+            weight = {t: n * self.idf.get(t, self.other) for t, n in sorted(bag.items())}
             norm = math.sqrt(sum(w * w for w in weight.values()))
             self.vectors += [(k, name, t, w / norm) for t, w in weight.items()]
             rest = 0.0
@@ -95,24 +104,30 @@ def scan_licenses(
     spark: SparkSession = files.sparkSession
     scratch = Scratch(spark, "licenses")
     known = Weights(templates or TEMPLATES, threshold)
+    full = Weights([] if templates else full_texts(), FULL, known)
     idf = spark.createDataFrame(list(known.idf.items()), "term string, idf double")
-    vectors = spark.createDataFrame([(k, name, t, w) for k, name, t, w in known.vectors], "template int, name string, term string, w double")
+    both = [(k, name, t, w, False) for k, name, t, w in known.vectors] + [(-1 - k, name, t, w, True) for k, name, t, w in full.vectors]
+    vectors = spark.createDataFrame(both, "template int, name string, term string, w double, full boolean")
     own = files.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(path_col).cast("string"), F.lit("/")).alias("path"), F.lower(F.col(text_col).cast("string")).alias("text"))
-    hit = own.where(F.col("text").rlike(known.pattern()))
+    is_full = lambda x: F.col(x).rlike(full.pattern()) if full.needed else F.lit(False)
+    hit = own.where(F.col("text").rlike(known.pattern()) | is_full("text"))
     lines = F.transform(F.split("text", "\n"), lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))
     # a text without a blank line is its only paragraph, and its whole is compared anyway
     cut = F.split("text", r"\n[ \t\r]*\n")
     paragraphs = F.when(F.size(cut) > 1, F.transform(cut, lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))).otherwise(F.array().cast("array<struct<kind:string,unit:string>>"))
     whole = F.array(F.struct(F.lit("file").alias("kind"), F.col("text").alias("unit")))
-    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()))
+    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()) | ((F.col("x.kind") == "file") & is_full("x.unit")))
     # a unit is named by what it holds, so rows that repeat an id stay apart; a row that comes twice only doubles all its counts
-    named = units.select("d", "path", "x.kind", F.xxhash64("d", "path", "u", "x.unit").alias("unit"), "x.unit")
+    # its last bit tells whole texts from other units
+    of = F.shiftleft(F.xxhash64("d", "path", "u", "x.unit"), 1).bitwiseOR((F.col("x.kind") == "file").cast("long"))
+    named = units.select("d", "path", "x.kind", of.alias("unit"), "x.unit")
     named = named.toDF("d", "path", "kind", "unit", "words")
     counts = named.select("unit", F.explode(F.regexp_extract_all("words", F.lit(TERM), 0)).alias("term")).groupBy("unit", "term").agg(F.count("*").alias("tf"))
     weighed = counts.join(F.broadcast(idf), "term", "left").withColumn("x", F.col("tf") * F.coalesce("idf", F.lit(known.other)))
     norms = weighed.groupBy("unit").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    dots = weighed.where("idf is not null").join(F.broadcast(vectors), "term").groupBy("unit", "template", "name").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
-    close = dots.join(norms, "unit").select("unit", "name", F.round(F.col("dot") / F.col("norm"), 6).alias("score")).where(F.col("score") >= threshold)
+    dots = weighed.join(F.broadcast(vectors), "term").where("not full or (unit & 1) = 1").groupBy("unit", "template", "name").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
+    close = dots.join(norms, "unit").withColumn("score", F.round(F.col("dot") / F.col("norm"), 6))
+    close = close.where(F.col("score") >= F.when(F.col("template") < 0, FULL).otherwise(threshold)).select("unit", "name", "score")
     scored = scratch.write(close.join(named.select("unit", "d", "path", "kind").distinct(), "unit").select("d", "path", "kind", "name", "score"))
     # a licence file says more than a statement; then the better score, then the name
     ranked = F.struct((F.col("kind") == "file").cast("int").alias("f"), F.col("score").alias("s"), F.lit(0).alias("z"))

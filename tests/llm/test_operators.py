@@ -353,6 +353,15 @@ def test_licenses(spark, odd):
     assert license_scan.scan_licenses(odd.withColumn("path", F.lit("/x/y"))).where("license IS NOT NULL").count() == 0
 
 
+def test_full_license_files_are_inherited(spark):
+    texts = license_scan.full_texts()
+    files = [(k, f"/{name}/LICENSE", "Copyright (c) 2020 Some One\n\n" + text) for k, (name, text) in enumerate(texts)]
+    files += [(100 + k, f"/{name}/src/a.py", "print(1)") for k, (name, _) in enumerate(texts)]
+    got = {r.doc_id: (r.license, r.basis, r.from_path) for r in license_scan.scan_licenses(spark.createDataFrame(files, "doc_id long, path string, text string")).collect()}
+    for k, (name, _) in enumerate(texts):
+        assert got[k] == (name, "file", f"/{name}/LICENSE") and got[100 + k] == (name, "inherited", f"/{name}/LICENSE")
+
+
 def test_main_text(spark):
     chain = html_text.train()
     pages = list(html_text.labelled_pages(60, seed=77))
