@@ -41,9 +41,19 @@ class Scratch:
         kept._scratch_path = path
         return kept
 
+    def finish(self, df: DataFrame) -> DataFrame:
+        """The result written as the last table, all others deleted."""
+        done = self.write(df)
+        for k in range(1, self.made):
+            self._delete(f"{self.root}/{k}")
+        return done
+
     def drop(self, df: DataFrame) -> None:
         """Delete a table of this object that no later step reads."""
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
+        self._delete(df._scratch_path)
+
+    def _delete(self, where: str) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(where)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 

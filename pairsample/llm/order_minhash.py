@@ -2,14 +2,16 @@
 
 A text is its sequence of lower-case words. Every run of ``k`` words is labelled with how many equal runs stand before it. Each of
 several hash functions picks the ``picks`` smallest labelled runs and keeps them in text order; texts that agree in one
-such list are candidates, more likely the smaller their edit distance, as order counts. Texts of up to ``SHORT`` words have too few runs for
-that; they are candidates if they share one of their rarest words, which loses nothing. Candidates are verified by the word-level edit
-distance inside a band: they are near if 1 - distance / longer length reaches ``threshold``.
-
-Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket leaders are compared
-with all texts that are not yet in their component, and then leave; a text that a leader hit stays and may lead later. A bucket
-ends when all texts left in it are in one component, so that any two of its texts have met or are linked. After two
-rounds the texts of crowded buckets go on by length and rarest words, which every near pair shares. Verified links are closed to components.
+such list are candidates, more likely the smaller their edit distance, as order counts. The number of hash functions follows from the recall asked
+for at the threshold. Texts of up to ``SHORT`` words have too few runs for that; they are candidates if they share one of their rarest words,
+which loses nothing. Candidates are verified by the word-level edit distance inside a band: they are near if 1 - distance / longer length
+reaches ``threshold``.
+
+Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket the smallest id leads and meets
+all others; then, where the texts of a bucket are still in several components, the one with most links leads. What stays mixed after that is
+compared in full if it is small. Crowded buckets go on by keys that every near pair shares and that grow more special step by step: a
+range of lengths and one of the rarest words, then two, then three of them. Before any text is fetched, a pair must pass bounds that no near
+pair fails: the lengths, and bitmaps of labelled words. Verified links are closed to components.
 """
 
 from __future__ import annotations
@@ -26,17 +28,19 @@ from pyspark.sql import functions as F
 from pairsample.llm.common import Scratch, components
 from pairsample.llm.language_model import mix
 
-BLOCK_CHARS = 1_500_000
-#: Bits of a picked hash that hold the position of its run in the text.
-PLACE = np.uint64(24)
+BLOCK_CHARS = 600_000
 #: Bins of the word counts that bound a distance from below.
 BINS = 2048
 #: Texts of up to so many words are matched by their rarest words instead of sketches.
 SHORT = 50
 #: Slots of the counts by which words are rare.
 SLOTS = 1 << 16
-#: Buckets of more texts are narrowed after two rounds.
-CROWD = 16
+#: Buckets of more texts are narrowed, smaller ones compared in full.
+CROWD = 128
+#: How many of the rarest words a narrowed key holds at most.
+DEPTH = 3
+#: Words of 64 bits in a text's bitmap.
+BITS = 8
 
 
 def plan(threshold: float, recall: float, k: int, picks: int) -> int:
@@ -60,6 +64,15 @@ class Hasher:
         return np.fromiter(map(kept.__getitem__, words), np.uint64, len(words))
 
 
+def labels(values: np.ndarray, of: np.ndarray) -> np.ndarray:
+    """How many equal values of the same text stand before each value."""
+    order = np.lexsort((values, of))
+    fresh = np.append(True, (values[order][1:] != values[order][:-1]) | (of[order][1:] != of[order][:-1]))
+    out = np.empty(len(order), np.uint64)
+    out[order] = (np.arange(len(order)) - np.maximum.accumulate(np.where(fresh, np.arange(len(order)), 0))).astype(np.uint64)
+    return out
+
+
 def sketch_block(texts: list[list[str]], hasher: Hasher, k: int, sketches: int, picks: int) -> tuple[np.ndarray, np.ndarray]:
     """Sketch values (texts, sketches) and which texts have any; a text of fewer than k words is one run."""
     sizes = np.array([len(t) for t in texts], np.int64)
@@ -72,42 +85,50 @@ def sketch_block(texts: list[list[str]], hasher: Hasher, k: int, sketches: int,
     of = np.repeat(np.arange(len(texts)), runs)
     place = np.arange(len(of)) - np.repeat(np.cumsum(runs) - runs, runs)
     first = np.repeat(np.cumsum(sizes) - sizes, runs) + place
+    gone = np.uint64(2**64 - 1)
     with np.errstate(over="ignore"):
         value = np.zeros(len(of), np.uint64)
         for i in range(k):
             inside = place + i < sizes[of]
             value = np.where(inside, mix(value + word[np.minimum(first + i, len(word) - 1)]), value)
-        # the label: equal runs of the same text, numbered in text order
-        order = np.lexsort((value, of))
-        fresh = np.append(True, (value[order][1:] != value[order][:-1]) | (of[order][1:] != of[order][:-1]))
-        start = np.maximum.accumulate(np.where(fresh, np.arange(len(order)), 0))
-        label = np.empty(len(order), np.uint64)
-        label[order] = (np.arange(len(order)) - start).astype(np.uint64)
-        labelled = mix(value + label * np.uint64(0x9E3779B97F4A7C15))
-        begins = np.cumsum(runs[has]) - runs[has]
-        row_of = np.cumsum(has) - 1
-        low = (np.uint64(1) << PLACE) - np.uint64(1)
-        spots = place.astype(np.uint64) & low
+        labelled = mix(value + labels(value, of) * np.uint64(0x9E3779B97F4A7C15))
+        kept, dense = runs[has], np.cumsum(has)[of] - 1
+        begins = np.cumsum(kept) - kept
+        # an odd factor orders all 64-bit numbers anew
+        factors = mix(np.arange(1, sketches + 1, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F)) | np.uint64(1)
         for j in range(sketches):
-            rank = (mix(labelled ^ np.uint64(0xA0761D6478BD642F * (j + 1) & (1 << 64) - 1)) & ~low) | spots
-            chosen = []
-            for _ in range(picks):
+            rank = labelled * factors[j]
+            chosen = np.full((picks, len(begins)), len(of), np.int64)
+            for pick in range(picks):
                 least = np.minimum.reduceat(rank, begins)
-                chosen.append(np.where(least == np.uint64(2**64 - 1), low, least & low))
-                taken = np.minimum((least & low).astype(np.int64), runs[has] - 1) + begins
-                rank[taken] = np.uint64(2**64 - 1)
+                spots = np.flatnonzero((rank == np.repeat(least, kept)) & (rank != gone))[::-1]
+                chosen[pick, dense[spots]] = spots  # of equal ranks the first
+                rank[chosen[pick][chosen[pick] < len(of)]] = gone
             total = np.full(len(begins), j + 1, np.uint64)
-            for spot in np.sort(np.stack(chosen), axis=0):
-                there = spot != low
-                at = begins + np.where(there, spot, 0).astype(np.int64)
-                total = np.where(there, mix(total + value[at]), total)
+            for spot in np.sort(chosen, axis=0):
+                there = spot < len(of)
+                total = np.where(there, mix(total + value[np.where(there, spot, 0)]), total)
             out[has, j] = total
-        del row_of
     return out, has
 
 
+def bitmaps(texts: list[np.ndarray]) -> np.ndarray:
+    """(texts, BITS) 64-bit words: the bits that a text's words, equal ones told apart by their number, fall on.
+
+    A word of one text without a partner in the other sets one bit at most, so near texts differ in few.
+    """
+    sizes = np.array([len(t) for t in texts], np.int64)
+    of = np.repeat(np.arange(len(texts)), sizes)
+    word = np.concatenate(texts).astype(np.uint64) if len(of) else np.zeros(0, np.uint64)
+    with np.errstate(over="ignore"):
+        bit = mix(word + labels(word, of) * np.uint64(0x9E3779B97F4A7C15)) % np.uint64(64 * BITS)
+    out = np.zeros((len(texts), 64 * BITS), bool)
+    out[of, bit.astype(np.int64)] = True
+    return np.packbits(out, axis=1).view(np.int64)
+
+
 def sketched(docs: DataFrame, id_col: str, text_col: str, k: int, sketches: int, picks: int, threshold: float) -> DataFrame:
-    """(d, t1, t2, n, sketch, words): the id, a 128-bit hash of the text, its number of words, the sketch values as longs, and the word hashes.
+    """(d, t1, t2, n, sketch, words, bits): the id, a 128-bit hash of the text, its number of words, the sketch values as longs, the word hashes and the bitmap.
 
     A text of up to SHORT words has no sketch; only texts that may be near to such a text have words.
     """
@@ -116,18 +137,23 @@ def sketched(docs: DataFrame, id_col: str, text_col: str, k: int, sketches: int,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for batch in batches:
-            counts, found, kept = [], [], []
+            counts, found, kept, bits = [], [], [], []
             for block in _blocks(batch.column(3)):
                 texts = [t.lower().split() for t in block]
                 values, has = sketch_block([t if len(t) > SHORT else [] for t in texts], hasher, k, sketches, picks)
+                hashes = [hasher.hashes(t).astype("<u4") for t in texts]
                 counts += [len(t) for t in texts]
-                kept += [hasher.hashes(t).astype("<u4").tobytes() if 0 < len(t) <= upto else None for t in texts]
+                kept += [h.tobytes() if 0 < len(h) <= upto else None for h in hashes]
                 found += [row.view(np.int64) if h else None for row, h in zip(values, has.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(counts, pa.int32()), pa.array(found, pa.list_(pa.int64())), pa.array(kept, pa.binary())], names=["d", "t1", "t2", "n", "sketch", "words"])
+                bits += list(bitmaps(hashes))
+            yield pa.RecordBatch.from_arrays(
+                [*batch.columns[:3], pa.array(counts, pa.int32()), pa.array(found, pa.list_(pa.int64())), pa.array(kept, pa.binary()), pa.array(bits, pa.list_(pa.int64()))],
+                names=["d", "t1", "t2", "n", "sketch", "words", "bits"],
+            )
 
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     source = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("d"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit("second"), text).alias("t2"), text.alias("text"))
-    return source.mapInArrow(run, "d long, t1 long, t2 long, n int, sketch array<long>, words binary")
+    return source.mapInArrow(run, "d long, t1 long, t2 long, n int, sketch array<long>, words binary, bits array<long>")
 
 
 def as_words(docs: DataFrame) -> DataFrame:
@@ -159,39 +185,47 @@ def rarity(texts: DataFrame) -> np.ndarray:
     return out
 
 
-def rarest(words: np.ndarray, count: np.ndarray, threshold: float) -> np.ndarray:
-    """Hashes of the rarest words of a text, repeated words told apart: near texts share one.
+def rarest(words: np.ndarray, count: np.ndarray, threshold: float, more: int = 0) -> np.ndarray:
+    """Hashes of the rarest words of a text, rarest first, repeated words told apart.
 
-    Near texts of up to n words share all but threshold's rest of them, so both have a common word among so many of the rarest and one more.
+    Near texts share all but threshold's rest of the longer one's words, so among so many of the rarest and one more both have a common
+    word, and with each word more they have one more in common.
     """
     word = np.sort(words).astype(np.uint64)
-    fresh = np.append(True, word[1:] != word[:-1])
-    again = np.arange(len(word)) - np.maximum.accumulate(np.where(fresh, np.arange(len(word)), 0))
-    order = np.lexsort((again, word, count[(word % np.uint64(SLOTS)).astype(np.int64)]))[: int((1 - threshold) * len(word) + 1e-9) + 1]
+    again = labels(word, np.zeros(len(word), np.int64))
+    order = np.lexsort((again, word, count[(word % np.uint64(SLOTS)).astype(np.int64)]))[: int((1 - threshold) * len(word) + 1e-9) + 1 + more]
     with np.errstate(over="ignore"):
-        return mix(word[order] + again[order].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        return mix(word[order] + again[order] * np.uint64(0x9E3779B97F4A7C15))
 
 
-def rare_keys(texts: DataFrame, count: np.ndarray, threshold: float) -> DataFrame:
-    """(d, words) to (key, d, n), a key for each of the rarest words and each of the two ranges of lengths that the text belongs to."""
+def rare_words(texts: DataFrame, count: np.ndarray, threshold: float) -> DataFrame:
+    """(d, words) to (d, n, p, low, rare): the rarest words of each text, of which the first p make keys, and the range of its length."""
     sent = texts.sparkSession.sparkContext.broadcast(count)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)
-                keys, sizes, lengths = [], [], []
-                for x in part.column(1):
-                    words = np.frombuffer(x.as_py(), "<u4")
-                    low = math.floor(math.log(len(words)) / -math.log(threshold) + 1e-9)
-                    found = rarest(words, sent.value, threshold)
-                    keys += [mix(found ^ np.uint64(low + 1)), mix(found ^ np.uint64(low + 2))]
-                    sizes.append(2 * len(found))
-                    lengths.append(len(words))
-                d = np.repeat(part.column(0).to_numpy(), sizes)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(d), pa.array(np.repeat(lengths, sizes).astype(np.int32))], names=["key", "d", "n"])
+                texts = [np.frombuffer(x.as_py(), "<u4") for x in part.column(1)]
+                n = [len(t) for t in texts]
+                p = [int((1 - threshold) * x + 1e-9) + 1 for x in n]
+                low = [math.floor(math.log(x) / -math.log(threshold) + 1e-9) for x in n]
+                rare = [rarest(t, sent.value, threshold, DEPTH - 1).view(np.int64) for t in texts]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int32()), pa.array(p, pa.int32()), pa.array(low, pa.int32()), pa.array(rare, pa.list_(pa.int64()))], names=["d", "n", "p", "low", "rare"])
+
+    return texts.select("d", "words").mapInArrow(run, "d long, n int, p int, low int, rare array<long>")
 
-    return texts.select("d", "words").mapInArrow(run, "key long, d long, n int")
+
+def rare_keys(rare: DataFrame) -> DataFrame:
+    """(key, d, n, used) by one rare word and each of the two ranges of lengths that a text belongs to."""
+    one = rare.select("d", "n", "low", F.explode(F.expr("slice(rare, 1, p)")).alias("w"))
+    return one.select("d", "n", "w", F.explode(F.expr("array(low + 1, low + 2)")).alias("at")).select(F.xxhash64("w", "at").alias("key"), "d", "n", F.array("w").alias("used"))
+
+
+def rarer_keys(rows: DataFrame, rare: DataFrame, depth: int) -> DataFrame:
+    """Rows (key, d, n, used) of keys of depth - 1 words go on by each further rare word of their text."""
+    more = rows.join(rare.select("d", "p", "rare"), "d").select("key", "d", "n", "used", F.explode(F.expr(f"filter(slice(rare, 1, p + {depth - 1}), x -> NOT array_contains(used, x))")).alias("w"))
+    return more.select(F.xxhash64("key", "w").alias("key"), "d", "n", F.expr("array_append(used, w)").alias("used"))
 
 
 def band_distances(pairs: list[tuple[np.ndarray, np.ndarray]], limits: np.ndarray, half: int) -> np.ndarray:
@@ -300,9 +334,69 @@ def verify(pairs: DataFrame, threshold: float) -> DataFrame:
     return pairs.select("a", "b", "left", "right").mapInArrow(run, "a long, b long, near boolean, distance long")
 
 
+class Search:
+    """The state of one search: scratch tables, verified pairs, and what a pair is verified with."""
+
+    def __init__(self, scratch: Scratch, docs: DataFrame, id_col: str, text_col: str, reps: DataFrame, threshold: float) -> None:
+        self.scratch, self.reps, self.threshold = scratch, reps, threshold
+        self.texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+        self.bits = reps.select("d", *[F.col("bits")[i].alias(f"x{i}") for i in range(BITS)])
+        self.known: DataFrame | None = None
+
+    def words(self, ids: DataFrame) -> DataFrame:
+        """(d, words) of the texts of some ids."""
+        return as_words(self.texts.join(ids, "d", "left_semi")).where("octet_length(words) > 0")
+
+    def alike(self, x: str, y: str) -> Column:
+        return F.least(x, y) >= F.greatest(x, y) * self.threshold - 1e-9
+
+    def may_be_near(self, n: str = "n", m: str = "m") -> Column:
+        """Whether lengths n, m and bitmaps x0.., y0.. leave a pair a chance: each word without a partner costs an edit."""
+        most = F.floor(F.greatest(n, m) * (1 - self.threshold) + 1e-9)
+        bits = lambda a, b: sum((F.bit_count(F.col(f"{a}{i}").bitwiseAND(F.bitwise_not(f"{b}{i}"))) for i in range(1, BITS)), F.bit_count(F.col(f"{a}0").bitwiseAND(F.bitwise_not(f"{b}0"))))
+        return self.alike(n, m) & (bits("x", "y") <= most) & (bits("y", "x") <= most)
+
+    def other(self, df: DataFrame, at: str) -> DataFrame:
+        return df.select(F.col("d").alias(at), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
+
+    def verify(self, pairs: DataFrame, bounded: bool = False) -> None:
+        """Verify pairs (a, b, n, m) that haven't been; ``bounded`` tells that they have passed their bounds."""
+        if not bounded:
+            pairs = pairs.distinct().join(self.bits.withColumnRenamed("d", "a"), "a").join(self.other(self.bits, "b"), "b").where(self.may_be_near())
+        pairs = pairs.select("a", "b").distinct()
+        if self.known is not None:
+            pairs = pairs.join(self.known.select("a", "b"), ["a", "b"], "left_anti")
+        pairs = self.scratch.write(pairs)
+        words = self.scratch.write(self.words(pairs.select(F.explode(F.array("a", "b")).alias("d")).distinct()))
+        left, right = words.toDF("a", "left"), words.toDF("b", "right")
+        found = self.scratch.write(verify(pairs.join(left, "a").join(right, "b"), self.threshold))
+        self.known = found if self.known is None else self.known.unionByName(found)
+
+    def links(self) -> DataFrame:
+        return self.known.where("near").select("a", "b")
+
+    def place(self) -> DataFrame:
+        """(d, component, links) of the linked texts."""
+        linked = self.links()
+        degree = linked.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("links"))
+        return self.scratch.write(components(self.scratch, linked).join(degree, "node").withColumnRenamed("node", "d"))
+
+    def mixed(self, rows: DataFrame, place: DataFrame) -> DataFrame:
+        """The rows of buckets whose texts are in several components, with component c and links of each text and the size of its bucket."""
+        placed = rows.join(place, "d", "left").withColumn("c", F.coalesce("component", "d")).withColumn("links", F.coalesce("links", F.lit(0))).drop("component")
+        sizes = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("key", "size")
+        return self.scratch.write(placed.join(sizes, "key"))
+
+    def within(self, rows: DataFrame) -> DataFrame:
+        """Pairs of different components in buckets (key, d, n, c), both orders of a bucket's rows tested once."""
+        one = rows.select("key", "d", "n", "c").join(self.bits, "d")
+        two = one.select("key", F.col("d").alias("b"), F.col("n").alias("m"), F.col("c").alias("c2"), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
+        return one.withColumnRenamed("d", "a").join(two, "key").where("a < b AND c <> c2").where(self.may_be_near()).select("a", "b").distinct()
+
+
 def near_duplicates(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, sketches: int | None = None, picks: int = 2, threshold: float = 0.8,
-    recall: float = 0.98,
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, sketches: int | None = None, picks: int = 2, threshold: float = 0.8,
+    recall: float = 0.92,
 ) -> DataFrame:
     """The near-duplicate class of every document.
 
@@ -314,68 +408,49 @@ def near_duplicates(
     """
     scratch = Scratch(docs.sparkSession, "near-duplicates")
     all_ = scratch.write(sketched(docs, id_col, text_col, k, sketches or plan(threshold, recall, k, picks), picks, threshold))
-    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("words").alias("words"))
-    reps = scratch.write(same.where("n > 0").select(F.col("rep").alias("d"), "n", "sketch", "words"))
-    short = reps.where("words is not null").select("d", "words")
-
-    def alike(x: str, y: str) -> Column:
-        return F.least(x, y) >= F.greatest(x, y) * threshold - 1e-9
+    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), *[F.first(c).alias(c) for c in ("n", "sketch", "words", "bits")])
+    reps = scratch.write(same.where("n > 0").select(F.col("rep").alias("d"), "n", "sketch", "words", "bits"))
+    search = Search(scratch, docs, id_col, text_col, reps, threshold)
 
-    keys = reps.select(F.explode("sketch").alias("key"), "d", "n").unionByName(rare_keys(short, rarity(short), threshold))
+    short = reps.where("words is not null").select("d", "words")
+    first = rare_keys(rare_words(short, rarity(short), threshold)).select("key", "d", "n")
+    keys = reps.select(F.explode("sketch").alias("key"), "d", "n").unionByName(first)
     # the smallest id of each bucket leads first; lone rows are left out
-    lead = keys.groupBy("key").agg(F.min(F.struct("d", "n")).alias("l"), F.max("d").alias("last")).where("l.d <> last").select("key", F.col("l.d").alias("lead"), F.col("l.n").alias("n1"))
-    rest = scratch.write(keys.join(lead, "key").where("d <> lead"))
-    pairs = scratch.write(rest.where(alike("n", "n1")).select(F.col("lead").alias("a"), F.col("d").alias("b")).distinct())
-    involved = scratch.write(rest.select("d").unionByName(rest.select(F.col("lead").alias("d"))).distinct())
-    texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    words = scratch.write(as_words(texts.join(involved, "d", "left_semi")).where("octet_length(words) > 0"))
-    left = words.select(F.col("d").alias("a"), F.col("words").alias("left"))
-    right = words.select(F.col("d").alias("b"), F.col("words").alias("right"))
-
-    rest = rest.select("key", "d", "n")
-    known = None
-    rounds, leaders = 0, 2
-    while True:
-        rounds += 1
-        found = verify(pairs.join(left, "a").join(right, "b"), threshold)
-        known = scratch.write(found if known is None else known.unionByName(found))
-        linked = known.where("near").select("a", "b")
-        part = components(scratch, linked)
-        degree = linked.unionByName(linked.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.count("*").alias("links"))
-        place = scratch.write(part.join(degree, "node").withColumnRenamed("node", "d"))
-
-        def unsettled(rows: DataFrame, place: DataFrame = place) -> DataFrame:
-            """Rows of the buckets of which the texts left are in several components, with the component and the links of each text."""
-            placed = rows.join(place, "d", "left").select("key", "d", "n", F.coalesce("component", "d").alias("c"), F.coalesce("links", F.lit(0)).alias("links"))
-            mixed = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
-            return scratch.write(placed.join(mixed, "key"))
-
-        rest = unsettled(rest)
-        if rounds == 2:
-            crowded = rest.groupBy("key").agg(F.count("*").alias("size")).where(F.col("size") > CROWD).select("key")
-            narrow = words.join(rest.join(crowded, "key").select("d").distinct(), "d", "left_semi")
-            rest = unsettled(rest.join(crowded, "key", "left_anti").select("key", "d", "n").unionByName(rare_keys(narrow, rarity(narrow), threshold)))
-            leaders = CROWD
-        if rest.isEmpty():
-            break
-        # of each bucket the text with most links leads, and some of those outside its largest component, all where they are few
-        sizes = rest.groupBy("key", "c").agg(F.count("*").alias("size"), F.max(F.struct("links", -F.col("d"))).alias("hub"))
-        marks = sizes.groupBy("key").agg(F.max(F.struct("size", "c")).alias("top"), F.max("hub").alias("hub"), F.sum("size").alias("all"))
-        outside = F.col("all") - F.col("top.size")
-        drawn = (F.col("c") != F.col("top.c")) & (F.pmod(F.xxhash64("d", "key", F.lit(rounds)), outside) < leaders)
-        leading = scratch.write(rest.join(marks, "key").where((F.col("d") == -F.col("hub.col2")) | drawn).select("key", F.col("d").alias("lead"), F.col("c").alias("c1"), F.col("n").alias("n1")).distinct())
-        met = rest.join(leading, "key").where("c <> c1").where(alike("n", "n1"))
-        pairs = met.select(F.least("lead", "d").alias("a"), F.greatest("lead", "d").alias("b")).distinct()
-        pairs = scratch.write(pairs.join(known.select("a", "b"), ["a", "b"], "left_anti"))
-        rest = rest.join(leading.select("key", F.col("lead").alias("d")), ["key", "d"], "left_anti").select("key", "d", "n")
-        leaders *= 4 if rounds > 2 else 1
+    lead = keys.groupBy("key").agg(F.min(F.struct("d", "n")).alias("l"), F.max("d").alias("last")).where("l.d <> last").select("key", F.col("l.d").alias("a"), F.col("l.n").alias("m"))
+    rows = scratch.write(keys.join(lead, "key"))
+    search.verify(rows.where("d <> a").where(search.alike("n", "m")).select("a", F.col("d").alias("b"), "n", "m"))
+
+    # then, where a bucket's texts are in several components, the text with most links
+    rest = search.mixed(rows.select("key", "d", "n"), search.place())
+    hub = rest.groupBy("key").agg(F.max(F.struct("links", -F.col("d"), "n", "c")).alias("h")).select("key", (-F.col("h.col2")).alias("lead"), F.col("h.n").alias("m"), F.col("h.c").alias("led"))
+    met = rest.join(hub, "key").where("c <> led").where(search.alike("n", "m"))
+    search.verify(met.select(F.least("lead", "d").alias("a"), F.greatest("lead", "d").alias("b"), "n", "m"))
+
+    place = search.place()
+    rest = search.mixed(rest.select("key", "d", "n"), place)
+    pairs = search.within(rest.where(F.col("size") <= CROWD))
+    crowded = rest.where(F.col("size") > CROWD)
+    if not crowded.isEmpty():
+        words = scratch.write(search.words(crowded.select("d").distinct()))
+        rare = scratch.write(rare_words(words, rarity(words), threshold))
+        narrow = rare_keys(rare)
+        for depth in range(1, DEPTH + 1):
+            narrow = search.mixed(narrow, place)
+            # what shares so many rare words and a range of lengths is compared in full
+            small = narrow if depth == DEPTH else narrow.where(F.col("size") <= CROWD)
+            pairs = pairs.unionByName(scratch.write(search.within(small)))
+            narrow = narrow.where(F.col("size") > CROWD).select("key", "d", "n", "used")
+            if depth == DEPTH or narrow.isEmpty():
+                break
+            narrow = rarer_keys(narrow, rare, depth + 1)
+    search.verify(pairs, bounded=True)
 
     same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
-    edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b")).unionByName(known.where("near").select("a", "b"))
+    edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b")).unionByName(search.links())
     label = components(scratch, edges)
     each = same_text.groupBy("d").agg(F.min("rep").alias("same_as"))
     cluster = F.coalesce("component", "d")
-    return each.join(label, each.d == label.node, "left").select(F.col("d").alias(id_col), "same_as", cluster.alias("cluster_id"), (cluster == F.col("d")).alias("kept"))
+    return scratch.finish(each.join(label, each.d == label.node, "left").select(F.col("d").alias(id_col), "same_as", cluster.alias("cluster_id"), (cluster == F.col("d")).alias("kept")))
 
 
 def _blocks(column) -> Iterator[list[str]]:
