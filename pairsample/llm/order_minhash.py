@@ -9,15 +9,16 @@ reaches ``threshold``.
 
 Groups may hold any share of the rows, so no group is expanded. Equal texts fall together first. In each bucket the smallest id leads and meets
 all others; then, where the texts of a bucket are still in several components, the one with most links leads. What stays mixed after that is
-compared in full if it is small. Crowded buckets go on by keys that every near pair shares and that grow more special step by step: a
-range of lengths and one of the rarest words, then two, then three of them. Before any text is fetched, a pair must pass bounds that no near
-pair fails: the lengths, and bitmaps of labelled words. Verified links are closed to components.
+compared as far as components differ, if that is little work. The texts of other buckets go on by keys that every near pair shares and
+that grow more special step by step: one of the rarest words, then two, then three of them. Before it is aligned, a pair must pass bounds
+that no near pair fails: the lengths, and bitmaps of labelled words. Verified links are closed to components.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -35,12 +36,14 @@ BINS = 2048
 SHORT = 50
 #: Slots of the counts by which words are rare.
 SLOTS = 1 << 16
-#: Buckets of more texts are narrowed, smaller ones compared in full.
-CROWD = 128
+#: Comparisons up to which a bucket is compared in full: of its sketch, and of rare words.
+WORK, RARE_WORK = 256, 1 << 16
 #: How many of the rarest words a narrowed key holds at most.
 DEPTH = 3
 #: Words of 64 bits in a text's bitmap.
 BITS = 8
+#: Bits of the filter of the ids whose words are fetched: beyond it more words are fetched and left out later.
+FILTER = 1 << 26
 
 
 def plan(threshold: float, recall: float, k: int, picks: int) -> int:
@@ -156,16 +159,28 @@ def sketched(docs: DataFrame, id_col: str, text_col: str, k: int, sketches: int,
     return source.mapInArrow(run, "d long, t1 long, t2 long, n int, sketch array<long>, words binary, bits array<long>")
 
 
-def as_words(docs: DataFrame) -> DataFrame:
-    """(d, text) to (d, words): 32-bit hashes of the words in one binary."""
+def as_words(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """(d, text) to (d, words) of the texts whose id is in ``ids``: 32-bit hashes of the words in one binary.
+
+    A bitmap of the ids, of a fixed size, leaves most other texts out before anything is shuffled.
+    """
+    slot = F.pmod(F.xxhash64("d"), F.lit(FILTER))
+    marked = ids.select(F.shiftright(slot, 5).alias("at"), F.expr(f"shiftleft(1L, CAST(pmod(xxhash64(d), {FILTER}L) AS INT) & 31)").alias("bit")).groupBy("at").agg(F.bit_or("bit").alias("bits")).toPandas()
+    known = np.zeros(FILTER // 32, np.uint32)
+    known[marked["at"].to_numpy(np.int64)] = marked["bits"].to_numpy(np.int64).astype(np.uint32)
+    sent = docs.sparkSession.sparkContext.broadcast(known)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for batch in batches:
-            words = [hasher.hashes((t.as_py() or "").lower().split()).astype("<u4").tobytes() for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.binary())], names=["d", "words"])
+            place = batch.column(2).to_numpy()
+            hit = batch.filter(pa.array((sent.value[place >> 5] >> (place & 31).astype(np.uint32) & 1).astype(bool)))
+            for at in range(0, hit.num_rows, 500):
+                part = hit.slice(at, 500)
+                words = [hasher.hashes((t.as_py() or "").lower().split()).astype("<u4").tobytes() for t in part.column(1)]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(words, pa.binary())], names=["d", "words"])
 
-    return docs.mapInArrow(run, "d long, words binary")
+    return docs.select("d", "text", slot.alias("slot")).mapInArrow(run, "d long, words binary").where("octet_length(words) > 0").join(ids, "d", "left_semi")
 
 
 def rarity(texts: DataFrame) -> np.ndarray:
@@ -199,7 +214,7 @@ def rarest(words: np.ndarray, count: np.ndarray, threshold: float, more: int = 0
 
 
 def rare_words(texts: DataFrame, count: np.ndarray, threshold: float) -> DataFrame:
-    """(d, words) to (d, n, p, low, rare): the rarest words of each text, of which the first p make keys, and the range of its length."""
+    """(d, words) to (d, p, rare): the rarest words of each text, of which the first p make keys."""
     sent = texts.sparkSession.sparkContext.broadcast(count)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,25 +222,17 @@ def rare_words(texts: DataFrame, count: np.ndarray, threshold: float) -> DataFra
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)
                 texts = [np.frombuffer(x.as_py(), "<u4") for x in part.column(1)]
-                n = [len(t) for t in texts]
-                p = [int((1 - threshold) * x + 1e-9) + 1 for x in n]
-                low = [math.floor(math.log(x) / -math.log(threshold) + 1e-9) for x in n]
+                p = [int((1 - threshold) * len(t) + 1e-9) + 1 for t in texts]
                 rare = [rarest(t, sent.value, threshold, DEPTH - 1).view(np.int64) for t in texts]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int32()), pa.array(p, pa.int32()), pa.array(low, pa.int32()), pa.array(rare, pa.list_(pa.int64()))], names=["d", "n", "p", "low", "rare"])
-
-    return texts.select("d", "words").mapInArrow(run, "d long, n int, p int, low int, rare array<long>")
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p, pa.int32()), pa.array(rare, pa.list_(pa.int64()))], names=["d", "p", "rare"])
 
-
-def rare_keys(rare: DataFrame) -> DataFrame:
-    """(key, d, n, used) by one rare word and each of the two ranges of lengths that a text belongs to."""
-    one = rare.select("d", "n", "low", F.explode(F.expr("slice(rare, 1, p)")).alias("w"))
-    return one.select("d", "n", "w", F.explode(F.expr("array(low + 1, low + 2)")).alias("at")).select(F.xxhash64("w", "at").alias("key"), "d", "n", F.array("w").alias("used"))
+    return texts.select("d", "words").mapInArrow(run, "d long, p int, rare array<long>")
 
 
 def rarer_keys(rows: DataFrame, rare: DataFrame, depth: int) -> DataFrame:
-    """Rows (key, d, n, used) of keys of depth - 1 words go on by each further rare word of their text."""
-    more = rows.join(rare.select("d", "p", "rare"), "d").select("key", "d", "n", "used", F.explode(F.expr(f"filter(slice(rare, 1, p + {depth - 1}), x -> NOT array_contains(used, x))")).alias("w"))
-    return more.select(F.xxhash64("key", "w").alias("key"), "d", "n", F.expr("array_append(used, w)").alias("used"))
+    """Rows (key, d, used) of keys of depth - 1 rare words go on by each further rare word of their text."""
+    more = rows.join(rare, "d").select("key", "d", "used", F.explode(F.expr(f"filter(slice(rare, 1, p + {depth - 1}), x -> NOT array_contains(used, x))")).alias("w"))
+    return more.select(F.xxhash64("key", "w").alias("key"), "d", F.expr("array_append(used, w)").alias("used"))
 
 
 def band_distances(pairs: list[tuple[np.ndarray, np.ndarray]], limits: np.ndarray, half: int) -> np.ndarray:
@@ -337,38 +344,35 @@ def verify(pairs: DataFrame, threshold: float) -> DataFrame:
 class Search:
     """The state of one search: scratch tables, verified pairs, and what a pair is verified with."""
 
-    def __init__(self, scratch: Scratch, docs: DataFrame, id_col: str, text_col: str, reps: DataFrame, threshold: float) -> None:
-        self.scratch, self.reps, self.threshold = scratch, reps, threshold
-        self.texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-        self.bits = reps.select("d", *[F.col("bits")[i].alias(f"x{i}") for i in range(BITS)])
+    def __init__(self, scratch: Scratch, reps: DataFrame, threshold: float) -> None:
+        self.scratch, self.threshold = scratch, threshold
+        self.bits = reps.select("d", "n", *[F.col("bits")[i].alias(f"x{i}") for i in range(BITS)])
+        self.words: DataFrame | None = None
         self.known: DataFrame | None = None
 
-    def words(self, ids: DataFrame) -> DataFrame:
-        """(d, words) of the texts of some ids."""
-        return as_words(self.texts.join(ids, "d", "left_semi")).where("octet_length(words) > 0")
+    def may_be_near(self) -> Column:
+        """Whether lengths n, m and bitmaps x0.., y0.. leave a pair a chance: each word without a partner costs an edit."""
+        most = F.floor(F.greatest("n", "m") * (1 - self.threshold) + 1e-9)
 
-    def alike(self, x: str, y: str) -> Column:
-        return F.least(x, y) >= F.greatest(x, y) * self.threshold - 1e-9
+        def alone(x: str, y: str) -> Column:
+            return reduce(Column.__add__, [F.bit_count(F.col(f"{x}{i}").bitwiseAND(F.bitwise_not(f"{y}{i}"))) for i in range(BITS)])
 
-    def may_be_near(self, n: str = "n", m: str = "m") -> Column:
-        """Whether lengths n, m and bitmaps x0.., y0.. leave a pair a chance: each word without a partner costs an edit."""
-        most = F.floor(F.greatest(n, m) * (1 - self.threshold) + 1e-9)
-        bits = lambda a, b: sum((F.bit_count(F.col(f"{a}{i}").bitwiseAND(F.bitwise_not(f"{b}{i}"))) for i in range(1, BITS)), F.bit_count(F.col(f"{a}0").bitwiseAND(F.bitwise_not(f"{b}0"))))
-        return self.alike(n, m) & (bits("x", "y") <= most) & (bits("y", "x") <= most)
-
-    def other(self, df: DataFrame, at: str) -> DataFrame:
-        return df.select(F.col("d").alias(at), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
-
-    def verify(self, pairs: DataFrame, bounded: bool = False) -> None:
-        """Verify pairs (a, b, n, m) that haven't been; ``bounded`` tells that they have passed their bounds."""
-        if not bounded:
-            pairs = pairs.distinct().join(self.bits.withColumnRenamed("d", "a"), "a").join(self.other(self.bits, "b"), "b").where(self.may_be_near())
-        pairs = pairs.select("a", "b").distinct()
+        return (F.least("n", "m") >= F.greatest("n", "m") * self.threshold - 1e-9) & (alone("x", "y") <= most) & (alone("y", "x") <= most)
+
+    def of_b(self) -> DataFrame:
+        return self.bits.select(F.col("d").alias("b"), F.col("n").alias("m"), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
+
+    def bounded(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (a, b) that pass the bounds."""
+        both = pairs.distinct().join(self.bits.withColumnRenamed("d", "a"), "a").join(self.of_b(), "b")
+        return both.where(self.may_be_near()).select("a", "b")
+
+    def verify(self, pairs: DataFrame) -> None:
+        """Align the pairs (a, b) that haven't been."""
+        pairs = pairs.distinct()
         if self.known is not None:
             pairs = pairs.join(self.known.select("a", "b"), ["a", "b"], "left_anti")
-        pairs = self.scratch.write(pairs)
-        words = self.scratch.write(self.words(pairs.select(F.explode(F.array("a", "b")).alias("d")).distinct()))
-        left, right = words.toDF("a", "left"), words.toDF("b", "right")
+        left, right = self.words.toDF("a", "left"), self.words.toDF("b", "right")
         found = self.scratch.write(verify(pairs.join(left, "a").join(right, "b"), self.threshold))
         self.known = found if self.known is None else self.known.unionByName(found)
 
@@ -382,16 +386,19 @@ class Search:
         return self.scratch.write(components(self.scratch, linked).join(degree, "node").withColumnRenamed("node", "d"))
 
     def mixed(self, rows: DataFrame, place: DataFrame) -> DataFrame:
-        """The rows of buckets whose texts are in several components, with component c and links of each text and the size of its bucket."""
+        """The rows of buckets whose texts are in several components: with the component c and the links of each text, the largest component
+        ``top`` of its bucket, and ``work``, the comparisons of the texts outside it with all."""
         placed = rows.join(place, "d", "left").withColumn("c", F.coalesce("component", "d")).withColumn("links", F.coalesce("links", F.lit(0))).drop("component")
-        sizes = placed.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("key", "size")
-        return self.scratch.write(placed.join(sizes, "key"))
+        parts = placed.groupBy("key", "c").agg(F.count("*").alias("n")).groupBy("key").agg(F.max(F.struct("n", "c")).alias("most"), F.sum("n").alias("size"))
+        several = parts.where("size > most.n").select("key", F.col("most.c").alias("top"), ((F.col("size") - F.col("most.n")) * F.col("size")).alias("work"))
+        return self.scratch.write(placed.join(several, "key"))
 
     def within(self, rows: DataFrame) -> DataFrame:
-        """Pairs of different components in buckets (key, d, n, c), both orders of a bucket's rows tested once."""
-        one = rows.select("key", "d", "n", "c").join(self.bits, "d")
-        two = one.select("key", F.col("d").alias("b"), F.col("n").alias("m"), F.col("c").alias("c2"), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
-        return one.withColumnRenamed("d", "a").join(two, "key").where("a < b AND c <> c2").where(self.may_be_near()).select("a", "b").distinct()
+        """Pairs (a, b) of different components of a bucket that pass the bounds; only texts outside the largest component are compared with others."""
+        one = rows.where("c <> top").select("key", F.col("d").alias("a"), "c").join(self.bits.withColumnRenamed("d", "a"), "a")
+        two = rows.select("key", F.col("d").alias("b"), F.col("c").alias("c2"), "top").join(self.of_b(), "b")
+        met = one.join(two, "key").where("c <> c2 AND (c2 = top OR a < b)").where(self.may_be_near())
+        return self.scratch.write(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
 
 
 def near_duplicates(
@@ -408,44 +415,48 @@ def near_duplicates(
     """
     scratch = Scratch(docs.sparkSession, "near-duplicates")
     all_ = scratch.write(sketched(docs, id_col, text_col, k, sketches or plan(threshold, recall, k, picks), picks, threshold))
-    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("rep"), *[F.first(c).alias(c) for c in ("n", "sketch", "words", "bits")])
-    reps = scratch.write(same.where("n > 0").select(F.col("rep").alias("d"), "n", "sketch", "words", "bits"))
-    search = Search(scratch, docs, id_col, text_col, reps, threshold)
+    ids = scratch.write(all_.select("d", "t1", "t2"))
+    same = all_.groupBy("t1", "t2").agg(F.min("d").alias("d"), *[F.first(c).alias(c) for c in ("n", "sketch", "words", "bits")])
+    reps = scratch.write(same.where("n > 0").select("d", "n", "sketch", "words", "bits"))
+    scratch.drop(all_)
+    search = Search(scratch, reps, threshold)
 
     short = reps.where("words is not null").select("d", "words")
-    first = rare_keys(rare_words(short, rarity(short), threshold)).select("key", "d", "n")
-    keys = reps.select(F.explode("sketch").alias("key"), "d", "n").unionByName(first)
+    by_word = rare_words(short, rarity(short), threshold).select(F.explode(F.expr("slice(rare, 1, p)")).alias("key"), "d")
+    keys = reps.select(F.explode("sketch").alias("key"), "d").unionByName(by_word)
     # the smallest id of each bucket leads first; lone rows are left out
-    lead = keys.groupBy("key").agg(F.min(F.struct("d", "n")).alias("l"), F.max("d").alias("last")).where("l.d <> last").select("key", F.col("l.d").alias("a"), F.col("l.n").alias("m"))
-    rows = scratch.write(keys.join(lead, "key"))
-    search.verify(rows.where("d <> a").where(search.alike("n", "m")).select("a", F.col("d").alias("b"), "n", "m"))
+    lead = keys.groupBy("key").agg(F.min("d").alias("a"), F.max("d").alias("last")).where("a <> last").select("key", "a")
+    rest = scratch.write(keys.join(lead.hint("merge"), "key"))
+    texts = docs.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    search.words = scratch.write(as_words(texts, scratch.write(rest.select("d").distinct())))
+    search.verify(search.bounded(rest.where("d <> a").select("a", F.col("d").alias("b"))))
 
     # then, where a bucket's texts are in several components, the text with most links
-    rest = search.mixed(rows.select("key", "d", "n"), search.place())
-    hub = rest.groupBy("key").agg(F.max(F.struct("links", -F.col("d"), "n", "c")).alias("h")).select("key", (-F.col("h.col2")).alias("lead"), F.col("h.n").alias("m"), F.col("h.c").alias("led"))
-    met = rest.join(hub, "key").where("c <> led").where(search.alike("n", "m"))
-    search.verify(met.select(F.least("lead", "d").alias("a"), F.greatest("lead", "d").alias("b"), "n", "m"))
+    rest = search.mixed(rest.select("key", "d"), search.place())
+    hub = rest.groupBy("key").agg(F.max(F.struct("links", -F.col("d"), "c")).alias("h")).select("key", (-F.col("h.col2")).alias("lead"), F.col("h.c").alias("led"))
+    met = rest.join(hub, "key").where("c <> led")
+    search.verify(search.bounded(met.select(F.least("lead", "d").alias("a"), F.greatest("lead", "d").alias("b"))))
 
     place = search.place()
-    rest = search.mixed(rest.select("key", "d", "n"), place)
-    pairs = search.within(rest.where(F.col("size") <= CROWD))
-    crowded = rest.where(F.col("size") > CROWD)
-    if not crowded.isEmpty():
-        words = scratch.write(search.words(crowded.select("d").distinct()))
+    rest = search.mixed(rest.select("key", "d"), place)
+    pairs = search.within(rest.where(F.col("work") <= WORK))
+    crowded = rest.where(F.col("work") > WORK).select("d").distinct()
+    words = scratch.write(search.words.join(crowded, "d", "left_semi"))
+    if not words.isEmpty():
         rare = scratch.write(rare_words(words, rarity(words), threshold))
-        narrow = rare_keys(rare)
+        narrow = rare.select(F.explode(F.expr("slice(rare, 1, p)")).alias("key"), "d").withColumn("used", F.array("key"))
         for depth in range(1, DEPTH + 1):
             narrow = search.mixed(narrow, place)
-            # what shares so many rare words and a range of lengths is compared in full
-            small = narrow if depth == DEPTH else narrow.where(F.col("size") <= CROWD)
-            pairs = pairs.unionByName(scratch.write(search.within(small)))
-            narrow = narrow.where(F.col("size") > CROWD).select("key", "d", "n", "used")
+            # what shares so many rare words is compared in full
+            pairs = pairs.unionByName(search.within(narrow if depth == DEPTH else narrow.where(F.col("work") <= RARE_WORK)))
+            narrow = narrow.where(F.col("work") > RARE_WORK).select("key", "d", "used")
             if depth == DEPTH or narrow.isEmpty():
                 break
             narrow = rarer_keys(narrow, rare, depth + 1)
-    search.verify(pairs, bounded=True)
+    search.verify(pairs)
 
-    same_text = all_.select("d", "t1", "t2").join(same.select("t1", "t2", "rep"), ["t1", "t2"]).select("d", "rep").distinct()
+    first = ids.groupBy("t1", "t2").agg(F.min("d").alias("rep"))
+    same_text = ids.join(first, ["t1", "t2"]).select("d", "rep").distinct()
     edges = same_text.where("d <> rep").select(F.col("rep").alias("a"), F.col("d").alias("b")).unionByName(search.links())
     label = components(scratch, edges)
     each = same_text.groupBy("d").agg(F.min("rep").alias("same_as"))
