@@ -67,6 +67,7 @@ class Weights:
         self.idf = by.idf if by else {t: math.log((1 + len(bags)) / (1 + n)) + 1 for t, n in sorted(df.items())}
         self.other = by.other if by else math.log(1 + len(bags)) + 1
         self.vectors = []
+        self.names = [name for name, _ in templates]
         needed = set()
         for k, ((name, _), bag) in enumerate(zip(templates, bags, strict=True)):
             weight = {t: n * self.idf.get(t, self.other) for t, n in sorted(bag.items())}
@@ -105,9 +106,13 @@ def scan_licenses(
     scratch = Scratch(spark, "licenses")
     known = Weights(templates or TEMPLATES, threshold)
     full = Weights([] if templates else full_texts(), FULL, known)
-    idf = spark.createDataFrame(list(known.idf.items()), "term string, idf double")
-    both = [(k, name, t, w, False) for k, name, t, w in known.vectors] + [(-1 - k, name, t, w, True) for k, name, t, w in full.vectors]
-    vectors = spark.createDataFrame(both, "template int, name string, term string, w double, full boolean")
+    # a row for each term: its weight, and its place in the vector of every template, full texts last
+    vectors = {t: [None] * (len(known.names) + len(full.names)) for t in {*known.idf, *(t for _, _, t, _ in full.vectors)}}
+    for shift, of in ((0, known), (len(known.names), full)):
+        for k, _, t, w in of.vectors:
+            vectors[t][shift + k] = w
+    by_term = spark.createDataFrame([(t, known.idf.get(t, known.other), v) for t, v in sorted(vectors.items())], "term string, idf double, w array<double>")
+    names = known.names + full.names
     own = files.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(path_col).cast("string"), F.lit("/")).alias("path"), F.lower(F.col(text_col).cast("string")).alias("text"))
     is_full = lambda x: F.col(x).rlike(full.pattern()) if full.needed else F.lit(False)
     hit = own.where(F.col("text").rlike(known.pattern()) | is_full("text"))
@@ -117,18 +122,22 @@ def scan_licenses(
     paragraphs = F.when(F.size(cut) > 1, F.transform(cut, lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))).otherwise(F.array().cast("array<struct<kind:string,unit:string>>"))
     whole = F.array(F.struct(F.lit("file").alias("kind"), F.col("text").alias("unit")))
     units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()) | ((F.col("x.kind") == "file") & is_full("x.unit")))
-    # a unit is named by what it holds, so rows that repeat an id stay apart; a row that comes twice only doubles all its counts
-    # its last bit tells whole texts from other units
-    of = F.shiftleft(F.xxhash64("d", "path", "u", "x.unit"), 1).bitwiseOR((F.col("x.kind") == "file").cast("long"))
-    named = units.select("d", "path", "x.kind", of.alias("unit"), "x.unit")
-    named = named.toDF("d", "path", "kind", "unit", "words")
-    counts = named.select("unit", F.explode(F.regexp_extract_all("words", F.lit(TERM), 0)).alias("term")).groupBy("unit", "term").agg(F.count("*").alias("tf"))
-    weighed = counts.join(F.broadcast(idf), "term", "left").withColumn("x", F.col("tf") * F.coalesce("idf", F.lit(known.other)))
-    norms = weighed.groupBy("unit").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    dots = weighed.join(F.broadcast(vectors), "term").where("not full or (unit & 1) = 1").groupBy("unit", "template", "name").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
-    close = dots.join(norms, "unit").withColumn("score", F.round(F.col("dot") / F.col("norm"), 6))
-    close = close.where(F.col("score") >= F.when(F.col("template") < 0, FULL).otherwise(threshold)).select("unit", "name", "score")
-    scored = scratch.write(close.join(named.select("unit", "d", "path", "kind").distinct(), "unit").select("d", "path", "kind", "name", "score"))
+    # a unit is named by what it holds, so rows that repeat an id stay apart
+    of = F.xxhash64("d", "path", "u", "x.unit")
+    # terms of a unit are counted in its row, so nothing is shuffled but one row of sums for each unit
+    listed = units.select("d", "path", "x.kind", of.alias("unit"), F.array_sort(F.regexp_extract_all("x.unit", F.lit(TERM), F.lit(0))).alias("s")).where("size(s) > 0")
+    listed = listed.withColumn("at", F.expr("filter(sequence(1, size(s)), i -> i = 1 OR s[i - 1] <> s[i - 2])"))
+    counted = listed.select("d", "path", "kind", "unit", F.posexplode(F.expr("transform(at, (p, k) -> struct(s[p - 1] AS term, coalesce(get(at, k + 1), size(s) + 1) - p AS tf))")).alias("pos", "t"))
+    # the table of terms grows with the templates alone; beyond a million entries it is shuffled
+    terms_of = F.broadcast(by_term) if len(vectors) * len(names) <= 1_000_000 else by_term
+    weighed = counted.select("d", "path", "kind", "unit", "pos", "t.term", "t.tf").join(terms_of, "term", "left").withColumn("x", F.col("tf") * F.coalesce("idf", F.lit(known.other)))
+    sums = [F.sum(F.col("x") * F.get("w", F.lit(k))).alias(f"w{k}") for k in range(len(names))]
+    # rows that come more than once add up to a multiple, which copies takes out again
+    units = weighed.groupBy("unit").agg(*[F.first(c).alias(c) for c in ("d", "path", "kind")], F.count(F.when(F.col("pos") == 0, 1)).alias("copies"), F.sum(F.col("x") * F.col("x")).alias("square"), *sums)
+    cosine = [F.round(F.col(f"w{k}") / F.sqrt(F.col("copies") * F.col("square")), 6) for k in range(len(names))]
+    enough = [(c >= (threshold if k < len(known.names) else FULL)) & (F.lit(k < len(known.names)) | (F.col("kind") == "file")) for k, c in enumerate(cosine)]
+    found = F.array_compact(F.array(*[F.when(e, F.struct(F.lit(n).alias("name"), c.alias("score"))) for e, n, c in zip(enough, names, cosine, strict=True)]))
+    scored = scratch.write(units.select("d", "path", "kind", F.explode(found).alias("m")).select("d", "path", "kind", "m.name", "m.score"))
     # a licence file says more than a statement; then the better score, then the name
     ranked = F.struct((F.col("kind") == "file").cast("int").alias("f"), F.col("score").alias("s"), F.lit(0).alias("z"))
     best = scored.groupBy("d", "path", "kind", "name").agg(F.max("score").alias("score"))
@@ -145,13 +154,13 @@ def scan_licenses(
     each = own.select("d", "path", folder.alias("folder")).distinct()
     joined = each.join(stated, ["d", "path"], "left").join(nearest.select("folder", "near.of"), "folder", "left")
     stands = F.col("license").isNotNull()
-    return joined.select(
+    return scratch.finish(joined.select(
         F.col("d").alias(id_col), "path",
         F.coalesce("license", "of.license").alias("license"),
         F.when(stands, F.col("kind")).when(F.col("of").isNotNull(), "inherited").otherwise("none").alias("basis"),
         F.coalesce("score", "of.score").alias("score"),
         F.when(stands, F.col("path")).otherwise(F.col("of.path")).alias("from_path"),
-    )
+    ))
 
 
 def document_files(documents: DataFrame) -> DataFrame:
