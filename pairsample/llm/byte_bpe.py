@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairsample.llm.common import kept_by_worker
+
 BLOCK_CHARS = 1_320_000
 REPLAY_BYTES = 1_000_000
 #: Letters, numbers and white space among the characters up to U+024F: the classes of the pattern, for the faster standard matcher.
@@ -213,14 +215,9 @@ class Encoder:
         return [b"".join(map(kept.__getitem__, words)) for words in cut]
 
 
-_ENCODERS: dict = {}
-
-
 def worker_encoder(path: str | None, room: int) -> Encoder:
     """One encoder for a worker process, so that its tasks share what they have learned."""
-    if (path, room) not in _ENCODERS:
-        _ENCODERS[path, room] = Encoder(path, room)
-    return _ENCODERS[path, room]
+    return kept_by_worker(("byte_bpe", path, room), lambda: Encoder(path, room))
 
 
 def blocks(texts: Iterator[str]) -> Iterator[list[str]]:
@@ -255,14 +252,36 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rank
     return source.mapInArrow(run, "key long, ids binary").select(F.col("key").alias(id_col), "ids")
 
 
+def decoded_bytes(ids: bytes, text: dict[int, bytes]) -> bytes:
+    return b"".join(map(text.__getitem__, np.frombuffer(ids, "<u4").tolist()))
+
+
 def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", ranks_path: str | None = None) -> DataFrame:
     """The bytes that the ids stand for, as (id_col, ids, decoded). Null ids give no bytes; an unknown id is an error."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         text = token_bytes(ranks_path)
         for batch in batches:
-            decoded = [b"".join(map(text.__getitem__, np.frombuffer(x.as_py() or b"", "<u4").tolist())) for x in batch.column(1)]
+            decoded = [decoded_bytes(x.as_py() or b"", text) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(decoded, pa.binary())], names=["key", "ids", "decoded"])
 
     source = encoded.select(F.col(id_col).cast("long").alias("key"), F.col(ids_col).alias("ids"))
     return source.mapInArrow(run, "key long, ids binary, decoded binary").select(F.col("key").alias(id_col), "ids", "decoded")
+
+
+def round_trip(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ranks_path: str | None = None, cache_size: int = 320_000) -> DataFrame:
+    """What ``encode`` and then ``decode`` give, as (id_col, ids, decoded), by one worker instead of two for each task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = worker_encoder(ranks_path, cache_size)
+        text = {i: t for t, i in encoder.vocabulary.whole.items()}
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                part = batch.slice(at, 1000)
+                ids: list[bytes] = []
+                for block in blocks(t.as_py() or "" for t in part.column(1)):
+                    ids += encoder.encode(block)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.binary()), pa.array([decoded_bytes(x, text) for x in ids], pa.binary())], names=["key", "ids", "decoded"])
+
+    source = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).cast("string").alias("text"))
+    return source.mapInArrow(run, "key long, ids binary, decoded binary").select(F.col("key").alias(id_col), "ids", "decoded")

@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
+from collections.abc import Callable
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -25,6 +29,28 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
 
 
+_KEPT: dict = {}
+
+
+def kept_by_worker(key: tuple | None, make: Callable[[], Any] = lambda: None) -> Any:
+    """The one object that a worker process keeps between tasks, made anew where another is wanted; None keeps none.
+
+    Workers serve all operators of a job one after another, so a cache of one must not stay beside that of the next.
+    """
+    if key not in _KEPT:
+        if _KEPT:
+            _KEPT.clear()
+            gc.collect()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # another C library: freed memory stays with the process
+                pass
+        if key is None:
+            return None
+        _KEPT[key] = make()
+    return _KEPT[key]
+
+
 class Scratch:
     """Tables that cut lineage: each is written once to the shared folder and read back with the same schema."""
 

@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairsample.llm.common import kept_by_worker
 from pairsample.llm.crf import Chain, hashed, padded
 
 WORD = re.compile(r"[^\W\d_]+")
@@ -24,6 +25,8 @@ WIDTH = 1 << 17
 #: Words of a sequence; longer lines go on in the next one.
 SPAN = 96
 UNKNOWN = "und"
+#: Letters of a word whose n-grams are listed at once.
+LONG = 100_000
 
 
 def words_of(text: str) -> list[str]:
@@ -33,7 +36,7 @@ def words_of(text: str) -> list[str]:
 
 
 def trigrams(word: str) -> list[str]:
-    framed = f"<{word[:40]}>"
+    framed = f"<{word}>"
     return [framed[i : i + 3] for i in range(len(framed) - 2)]
 
 
@@ -46,25 +49,37 @@ class Model:
         self.seen: dict[str, tuple[int, int]] = {}
         self.number: dict[str, int] = {}
         self.rows: list[np.ndarray] = []
+        self.held = 0
 
     def __getstate__(self):
-        return {**self.__dict__, "number": {}, "rows": [], "seen": {}}
+        return {**self.__dict__, "number": {}, "rows": [], "held": 0, "seen": {}}
 
     def features(self, word: str) -> list[int]:
-        framed = f"<{word[:40]}>"
+        framed = f"<{word}>"
         names = ["bias", "lexicon " + self.lexicon.get(word, "-")]
         names += [f"start {word[:n]}" for n in (1, 2, 3)] + [f"end {word[-n:]}" for n in (1, 2, 3)]
-        names += [f"in {framed[i : i + n]}" for n in (2, 3) for i in range(len(framed) - n + 1)]
+        names += [f"in {framed[i : i + n]}" for n in (2, 3) for i in range(min(LONG, len(framed) - n + 1))]
         return hashed(names, WIDTH)
 
+    def emissions(self, words: list[str]) -> np.ndarray:
+        """Emission rows; of words longer than LONG the letter n-grams are added up piece by piece."""
+        out = self.chain.emissions([self.features(w) for w in words])
+        for k, word in enumerate(words):
+            framed = f"<{word}>"
+            for at in range(LONG, len(framed), LONG):
+                part = [f"in {framed[i : i + n]}" for n in (2, 3) for i in range(at, min(at + LONG, len(framed) - n + 1))]
+                out[k] += self.chain.emissions([hashed(part, WIDTH)])[0] if part else 0
+        return out
+
     def scores(self, words: list[str]) -> np.ndarray:
         """Emission rows of words, computed once for each word that the cache lacks."""
-        if len(self.number) > self.room:
-            self.number, self.rows = {}, []
+        if len(self.number) > self.room or self.held > self.room * 64:
+            self.number, self.rows, self.held = {}, [], 0
         number = self.number
         new = list(dict.fromkeys(w for w in words if w not in number))
         if new:
-            self.rows.append(self.chain.emissions([self.features(w) for w in new]))
+            self.held += sum(map(len, new))
+            self.rows.append(self.emissions(new))
             number.update(zip(new, range(len(number), len(number) + len(new)), strict=True))
             self.rows = [np.concatenate(self.rows)]
         return self.rows[0][np.fromiter(map(number.__getitem__, words), np.int64, len(words))]
@@ -157,6 +172,7 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept_by_worker(None)
         known = sent.value
         for batch in batches:
             lang, score = [], []
@@ -184,6 +200,7 @@ def keep_identified(docs: DataFrame, model: Model, text_col: str = "text", min_s
     place = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept_by_worker(None)
         known = sent.value
         for batch in batches:
             keep = []

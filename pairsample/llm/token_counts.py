@@ -18,6 +18,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairsample.llm.common import kept_by_worker
+
 #: Spaces with the word that follows them; a line feed is a token of its own bytes and ends a word.
 UNITS = re.compile(r"\n| *[^ \n]+| +")
 SPACE = "▁"
@@ -73,16 +75,9 @@ class Lengths(dict):
         return n
 
 
-_LENGTHS: dict = {}
-
-
 def worker_lengths(table, model_path: str | None, room: int) -> Lengths:
     """One cache for a worker process; a new broadcast table replaces it."""
-    key = (id(table), len(table), model_path, room)
-    if key not in _LENGTHS:
-        _LENGTHS.clear()
-        _LENGTHS[key] = Lengths(table, load(model_path), room)
-    return _LENGTHS[key]
+    return kept_by_worker(("token_counts", id(table), len(table), model_path, room), lambda: Lengths(table, load(model_path), room))
 
 
 def frequent_units(docs: DataFrame, text_col: str, size: int) -> list[str]:
