@@ -5,13 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 
 from pairsample.functions.measures import Measure, get
-from pairsample.operators.baskets import transactions
+from pairsample.operators.baskets import known_supports, transactions
 from pairsample.operators.refining import filter_minhash, filter_smaller_set, minhash_sketch, verify_exact
 from pairsample.operators.reporting import report
 from pairsample.operators.rules import rules_exact, rules_sampled
 from pairsample.operators.sampling import sample_pairs
 from pairsample.plans.cost import compare
-from pairsample.plans.planner import choose
+from pairsample.plans.planner import choose_strategy
 
 __all__ = ["compare", "find_pairs", "rules_exact", "rules_sampled"]
 
@@ -27,7 +27,9 @@ def find_pairs(
     """
     of = get(measure)
     m = transactions(baskets) if of.uses_m else None
-    found = report(sample_pairs(baskets, of, mu, delta, seed, strategy or choose(baskets, mu)["strategy"]), of, mu, delta, rule, m=m)
+    support = known_supports(baskets)
+    how = strategy or choose_strategy(baskets, support, mu)
+    found = report(sample_pairs(baskets, of, mu, delta, seed, how, support=support), of, mu, delta, rule, m=m)
     if refine == "exact":
         return verify_exact(found, baskets, of, delta, m)
     if refine == "minhash":

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
@@ -12,17 +12,33 @@ def as_baskets(df: DataFrame, t: str, i: str, distinct: bool = False) -> DataFra
     return rows if distinct else rows.distinct()
 
 
-def support_counts(baskets: DataFrame, how: str = "hash") -> DataFrame:
-    """(i, c), the number of transactions of each item; with ``sort`` (t, i, c), counted over sorted runs without a join back."""
+def support_counts(baskets: DataFrame, how: str = "hash", salts: int = 64) -> DataFrame:
+    """(i, c), the number of transactions of each item; with ``sort`` (t, i, c), counted over sorted runs.
+
+    Runs are salted by transaction, so a hot item's rows are spread over ``salts`` runs, both to be counted and to get their total.
+    """
     if how == "hash":
         return baskets.groupBy("i").agg(F.count("*").alias("c"))
-    return baskets.withColumn("c", F.count("*").over(Window.partitionBy("i")))
+    salted = baskets.withColumn("salt", F.pmod(F.xxhash64("t"), F.lit(salts)).cast("int"))
+    total = salted.groupBy("i", "salt").agg(F.count("*").alias("p")).groupBy("i").agg(F.sum("p").alias("c"), F.collect_list("salt").alias("salts"))
+    # at most ``salts`` rows for each item: one for each of its runs
+    spread = total.select("i", "c", F.explode("salts").alias("salt"))
+    return salted.join(spread.hint("merge"), ["i", "salt"]).select("t", "i", "c")
+
+
+def known_supports(baskets: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame | None:
+    """The support table computed once and held as a local table, if it has at most ``broadcast_rows`` items; else None."""
+    counts = support_counts(baskets)
+    found = counts.limit(broadcast_rows + 1).toArrow()
+    return baskets.sparkSession.createDataFrame(found, counts.schema) if found.num_rows <= broadcast_rows else None
 
 
 def enrich(baskets: DataFrame, support: DataFrame | None = None, broadcast_rows: int = 1_000_000) -> DataFrame:
     """(t, i, c). The support table is broadcast only if a count shows that it has at most ``broadcast_rows`` items."""
-    counts = support if support is not None else support_counts(baskets)
-    small = counts.limit(broadcast_rows + 1).count() <= broadcast_rows
+    counts = support if support is not None else known_supports(baskets, broadcast_rows)
+    if counts is None:
+        return baskets.join(support_counts(baskets), "i").select("t", "i", "c")
+    small = support is None or counts.limit(broadcast_rows + 1).count() <= broadcast_rows
     return baskets.join(F.broadcast(counts) if small else counts, "i").select("t", "i", "c")
 
 

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -11,14 +16,62 @@ from pairsample.operators.reporting import with_transactions
 
 #: A prime below 2^31, so that products of two numbers below it stay inside 63 bits.
 PRIME = 2147483647
-
-
-def verify_exact(pairs: DataFrame, baskets: DataFrame, measure: str | Measure, delta: float, m: DataFrame | None = None) -> DataFrame:
-    """(i, j, k, ci, cj, sim) of the candidate pairs whose exact similarity reaches delta: candidates meet the rows of i, then those of (j, t)."""
+#: Rows looked up at once.
+LOOK_UPS = 4_000_000
+
+
+def counted_in_memory(candidates: DataFrame, sets: pa.Table) -> DataFrame:
+    """(i, j, k, ci, cj) of the candidates, each counted where it stands against broadcast sets (i, t): the rows of j are marked, those of i looked up."""
+    codes = sets["i"].combine_chunks().dictionary_encode()
+    item = codes.indices.to_numpy(zero_copy_only=False)
+    place = np.argsort(item, kind="stable")
+    at = sets["t"].combine_chunks().dictionary_encode().indices.to_numpy(zero_copy_only=False).astype(np.int32)[place]
+    ends = np.cumsum(np.bincount(item, minlength=len(codes.dictionary)))
+    sent = candidates.sparkSession.sparkContext.broadcast((codes.dictionary, at, ends))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        items, at, ends = sent.value
+        begins = np.append(0, ends[:-1])
+        marked = np.zeros(int(at.max()) + 1 if len(at) else 1, bool)
+        for batch in batches:
+            i, j = (pc.index_in(batch.column(x), value_set=items).to_numpy(zero_copy_only=False) for x in (0, 1))
+            k = np.zeros(len(i), np.int64)
+            order = np.argsort(j, kind="stable")
+            for rows in np.split(order, np.flatnonzero(np.diff(j[order])) + 1) if len(order) else ():
+                own = at[begins[j[rows[0]]] : ends[j[rows[0]]]]
+                marked[own] = True
+                sizes = ends[i[rows]] - begins[i[rows]]
+                starts = np.cumsum(sizes) - sizes
+                for part in np.split(np.arange(len(rows)), np.flatnonzero(np.diff(starts // LOOK_UPS)) + 1):
+                    size = sizes[part]
+                    first = np.cumsum(size) - size
+                    seen = marked[at[np.repeat(begins[i[rows[part]]] - first, size) + np.arange(size.sum())]]
+                    k[rows[part]] = np.add.reduceat(seen, first, dtype=np.int64)
+                marked[own] = False
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(k), *batch.columns[2:4]], names=["i", "j", "k", "ci", "cj"])
+
+    kind = candidates.schema["i"].dataType.simpleString()
+    return candidates.select("i", "j", "ci", "cj").mapInArrow(run, f"i {kind}, j {kind}, k long, ci long, cj long")
+
+
+def verify_exact(pairs: DataFrame, baskets: DataFrame, measure: str | Measure, delta: float, m: DataFrame | None = None, in_memory_rows: int = 4_000_000) -> DataFrame:
+    """(i, j, k, ci, cj, sim) of the candidate pairs whose exact similarity reaches delta.
+
+    Pairs that the report marks as exact keep their count. The others are counted against sets held in memory where the baskets have at most
+    ``in_memory_rows`` rows, which is checked; beyond that, candidates meet the rows of i, then those of (j, t).
+    """
     of = get(measure)
     candidates = pairs.select("i", "j", "ci", "cj")
-    at = candidates.join(baskets, "i").select("t", "i", "j", "ci", "cj")
-    both = at.join(baskets.select(F.col("t"), F.col("i").alias("j")), ["t", "j"]).groupBy("i", "j").agg(F.count("*").alias("k"), F.first("ci").alias("ci"), F.first("cj").alias("cj"))
+    if "exact" in pairs.columns:
+        candidates = pairs.where("NOT exact").select("i", "j", "ci", "cj")
+    sets = baskets.select("i", "t").limit(in_memory_rows + 1).toArrow()
+    if sets.num_rows <= in_memory_rows:
+        both = counted_in_memory(candidates, sets)
+    else:
+        met = candidates.join(baskets, "i").select("t", "i", "j", "ci", "cj").join(baskets.select(F.col("t"), F.col("i").alias("j")), ["t", "j"])
+        both = met.groupBy("i", "j").agg(F.count("*").alias("k"), F.first("ci").alias("ci"), F.first("cj").alias("cj"))
+    if "exact" in pairs.columns:
+        both = both.unionByName(pairs.where("exact").select("i", "j", "k", "ci", "cj"))
     rows = with_transactions(both, m if of.uses_m else None).withColumn("sim", F.expr(of.sim_sql()))
     return rows.where(F.col("sim") >= delta - 1e-12).select("i", "j", "k", "ci", "cj", F.round("sim", 6).alias("sim"))
 

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from pairsample.functions import draws
 from pairsample.functions.measures import Measure, dbl, get
-from pairsample.operators.baskets import enrich, transactions
+from pairsample.operators.baskets import enrich, support_counts, transactions
 
 STRATEGIES = ("arrow", "prefix", "shuffle", "blocked", "selfjoin")
 
@@ -196,7 +196,7 @@ def sample_pairs(
     if scope == "anchor" and strategy not in ("selfjoin", "blocked"):
         raise ValueError("one draw for each item isn't kept in packed transactions; take 'selfjoin' or 'blocked'")
     if strategy == "shuffle":
-        counted = support_over_runs(baskets)
+        counted = support_counts(baskets, "sort")
         return count_pairs(shuffle_counts(with_m(drawn(counted, seed), baskets, of), of, mu, delta))
     if strategy == "prefix":
         return count_pairs(prefix_pairs(pack(rows), of, mu, delta))
@@ -205,11 +205,3 @@ def sample_pairs(
     if strategy == "selfjoin":
         return count_pairs(selfjoin_pairs(rows, of, mu, delta))
     return count_pairs(arrow_counts(pack(rows), of, mu, delta))
-
-
-def support_over_runs(baskets: DataFrame, salts: int = 16) -> DataFrame:
-    """(t, i, c) by sorting instead of a table of items: counts come from salted runs, so a hot item is never in one place."""
-    salted = baskets.withColumn("salt", F.pmod(F.xxhash64("t"), F.lit(salts)))
-    part = salted.groupBy("i", "salt").agg(F.count("*").alias("p"))
-    total = part.groupBy("i").agg(F.sum("p").alias("c"))
-    return baskets.join(total.hint("merge"), "i").select("t", "i", "c")

@@ -26,6 +26,13 @@ def estimate(baskets: DataFrame, measure: str | Measure = "cosine", mu: float =
     return thin.agg(F.count_distinct("t").alias("looked_at")).crossJoin(counted).withColumn("estimate", F.round(F.col("inserted") / rate, 3))
 
 
+def choose_strategy(baskets: DataFrame, support: DataFrame | None, mu: float = 15.0, max_packed: int = 100_000) -> str:
+    """The form that fits the input. No transaction has more items than there are, so a short support table settles it without a look at the transactions."""
+    if support is not None and support.count() <= max_packed:
+        return "arrow"
+    return choose(baskets, mu, max_packed)["strategy"]
+
+
 def choose(baskets: DataFrame, mu: float = 15.0, max_packed: int = 100_000, max_items: int = 50_000_000) -> dict:
     """The form that fits the input, from one row of statistics, and whether sampling can be expected to gain over exact counting."""
     s = basket_stats(baskets).first()
