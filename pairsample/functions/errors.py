@@ -68,3 +68,11 @@ def poisson_curves(spark: SparkSession, mu: float, ratios: list[float], upto: in
     mean = F.col("ratio") * mu
     log_factorial = F.expr("aggregate(sequence(0, k), 0D, (a, x) -> a + ln(greatest(CAST(x AS DOUBLE), 1D)))")
     return rows.select(F.round("ratio", 6).alias("ratio"), "k", F.round(F.exp(-mean + F.col("k") * F.log(mean) - log_factorial), 9).alias("probability"))
+
+
+def binomial_below_sql(k: str, p: str, cut: int) -> str:
+    """The chance of at most ``cut`` successes in k trials of chance p, each term from the one before."""
+    p = f"CAST({p} AS DOUBLE)"
+    step = f"(a, x) -> named_struct('term', a.term * ({k} - x) / (x + 1e0) * {p} / (1e0 - {p}), 'sum', a.sum + a.term)"
+    tail = f"aggregate(sequence(0, CAST(least({cut}, {k}) AS INT)), named_struct('term', pow(1e0 - {p}, CAST({k} AS DOUBLE)), 'sum', 0e0), {step}, a -> a.sum)"
+    return f"CASE WHEN {p} < 1e0 THEN {tail} WHEN {k} <= {cut} THEN 1e0 ELSE 0e0 END"

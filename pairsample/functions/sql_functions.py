@@ -22,20 +22,21 @@ def register_measures(spark: SparkSession) -> list[str]:
 def register_pairs_of(spark: SparkSession, measure: str = "cosine", name: str = "pairs_of") -> None:
     """``pairs_of(items, supports, r, delta, mu, m)``: the sampled pairs of one transaction, for lateral joins."""
 
-    @F.udtf(returnType="i string, j string, ci bigint, cj bigint")
+    @F.udtf(returnType="i string, j string, ci bigint, cj bigint", useArrow=True)
     class PairsOf:
         def eval(self, items, supports, r: float, delta: float, mu: float, m: float):
             import numpy as np
 
             from pairsample.operators.sampling import last_admitted
 
-            order = sorted(zip(supports, map(str, items), strict=True))
-            c = np.array([x for x, _ in order], np.int64)
+            name, c = np.array([str(x) for x in items], object), np.array(supports, np.int64)
             if len(c) < 2:
                 return
-            last = last_admitted(c, np.full(len(c), len(c) - 1), np.full(len(c), r), float(m), get(measure), mu, delta)
-            for p, q in enumerate(last.tolist()):
-                for k in range(p + 1, q + 1):
-                    yield order[p][1], order[k][1], order[p][0], order[k][0]
+            order = np.lexsort((name, c))
+            name, c = name[order], c[order]
+            sizes = last_admitted(c, np.full(len(c), len(c) - 1), np.full(len(c), r), float(m), get(measure), mu, delta) - np.arange(len(c))
+            x = np.repeat(np.arange(len(c)), sizes)
+            y = x + 1 + np.arange(len(x)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            yield from zip(name[x].tolist(), name[y].tolist(), c[x].tolist(), c[y].tolist(), strict=True)
 
     spark.udtf.register(name, PairsOf)

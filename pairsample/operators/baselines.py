@@ -45,13 +45,18 @@ def signature_all_pairs(baskets: DataFrame, size: int, at_least: float) -> DataF
     return rows.where(F.col("e") >= at_least - 1e-12).select("i", "j", F.round("e", 6).alias("est_jaccard"))
 
 
-def hyperplane_pairs(vectors: DataFrame, id_col: str, vector_col: str, bits: int = 12, bands: int = 12, at_least: float = 0.9, seed: int = 3) -> DataFrame:
-    """(i, j, cos): vectors that agree in all signs of one band of random hyperplanes, with their exact cosine."""
+def planes(bands: int, bits: int, dim: int, seed: int = 3):
+    """(bands, bits, dim): the normals of random hyperplanes."""
     import numpy as np
 
+    return np.random.default_rng(seed).standard_normal((bands, bits, dim)).round(6)
+
+
+def hyperplane_pairs(vectors: DataFrame, id_col: str, vector_col: str, bits: int = 12, bands: int = 12, at_least: float = 0.9, seed: int = 3) -> DataFrame:
+    """(i, j, cos): vectors that agree in all signs of one band of random hyperplanes, with their exact cosine."""
     first = vectors.select(F.size(vector_col).alias("n")).where("n > 0").first()
     dim = first["n"] if first else 1
-    planes = np.random.default_rng(seed).standard_normal((bands, bits, dim)).round(6)
+    normals = planes(bands, bits, dim, seed)
     x = F.col("x")
 
     def side(plane) -> F.Column:
@@ -59,7 +64,7 @@ def hyperplane_pairs(vectors: DataFrame, id_col: str, vector_col: str, bits: int
         return F.when(dot > 0, 1).otherwise(0)
 
     rows = vectors.select(F.col(id_col).alias("v"), F.col(vector_col).cast("array<double>").alias("x")).where(F.size("x") == dim)
-    keyed = rows.select("v", "x", F.explode(F.array(*[F.struct(F.lit(b).alias("band"), F.concat(*[side(p).cast("string") for p in planes[b]]).alias("key")) for b in range(bands)])).alias("s"))
+    keyed = rows.select("v", "x", F.explode(F.array(*[F.struct(F.lit(b).alias("band"), F.concat(*[side(p).cast("string") for p in normals[b]]).alias("key")) for b in range(bands)])).alias("s"))
     near = keyed.select("v", "s.band", "s.key").join(keyed.select(F.col("v").alias("w"), "s.band", "s.key"), ["band", "key"]).where("v < w").select("v", "w").distinct()
     pairs = near.join(rows, "v").join(rows.select(F.col("v").alias("w"), F.col("x").alias("y")), "w")
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)

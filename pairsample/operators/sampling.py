@@ -42,19 +42,33 @@ def ordered(enriched: DataFrame) -> DataFrame:
     return enriched.withColumn("place", F.row_number().over(Window.partitionBy("t").orderBy("c", "i")))
 
 
-def prefix_pairs(packed: DataFrame, measure: Measure, mu: float, delta: float) -> DataFrame:
-    """Sampled pairs (t, i, j, ci, cj) by a binary search for each item over the array of its transaction."""
+def searched(packed: DataFrame, measure: Measure, mu: float, delta: float) -> DataFrame:
+    """(t, n, a, f): for each place p of a transaction but the last one the last place that it is sampled with, by binary search."""
     test = f"{measure.weight_sql(delta, 'a[p - 1].c', 'a[mid - 1].c')} * {dbl(mu)} > r"
     search = (
         "transform(sequence(1, n - 1), p -> aggregate(sequence(1, CAST(ceil(log2(n + 1)) AS INT)), named_struct('lo', p, 'hi', n), "
         "(s, x) -> IF(s.lo >= s.hi, s, element_at(transform(array((s.lo + s.hi + 1) DIV 2), "
         f"mid -> IF({test}, named_struct('lo', CAST(mid AS INT), 'hi', s.hi), named_struct('lo', s.lo, 'hi', CAST(mid - 1 AS INT)))), 1)), s -> named_struct('p', p, 'last', s.lo)))"
     )
-    found = packed.where("n > 1").select("t", "a", F.explode(F.expr(search)).alias("f")).where("f.last > f.p")
+    return packed.where("n > 1").select("t", "n", "a", F.explode(F.expr(search)).alias("f"))
+
+
+def prefix_pairs(packed: DataFrame, measure: Measure, mu: float, delta: float) -> DataFrame:
+    """Sampled pairs (t, i, j, ci, cj) by a binary search for each item over the array of its transaction."""
+    found = searched(packed, measure, mu, delta).where("f.last > f.p")
     pairs = found.select("t", F.expr("a[f.p - 1]").alias("x"), F.explode(F.expr("slice(a, f.p + 1, f.last - f.p)")).alias("y"))
     return pairs.select("t", F.col("x.i").alias("i"), F.col("y.i").alias("j"), F.col("x.c").alias("ci"), F.col("y.c").alias("cj"))
 
 
+def count_tests(packed: DataFrame, measure: Measure, mu: float, delta: float) -> DataFrame:
+    """One row: pairs of all transactions, sampled ones, and the tests of a scan that leaves an item at its first miss."""
+    rows = searched(packed, measure, mu, delta)
+    return rows.agg(
+        F.sum(F.expr("CAST(n - f.p AS BIGINT)")).alias("pairs"), F.sum(F.expr("CAST(f.last - f.p AS BIGINT)")).alias("inserted"),
+        F.sum(F.expr("CAST(least(n - f.p, f.last - f.p + 1) AS BIGINT)")).alias("tests_with_stop"),
+    )
+
+
 def last_admitted(c: np.ndarray, ends: np.ndarray, r: np.ndarray, m, measure: Measure, mu: float, delta: float) -> np.ndarray:
     """For each row of ordered transactions laid one after another, the last row whose item it is sampled with; itself if none.
 

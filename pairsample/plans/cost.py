@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairsample.functions.errors import binomial_below_sql
 from pairsample.functions.measures import Measure, dbl, get
 from pairsample.operators.baselines import all_pairs
 from pairsample.operators.baskets import support_counts, transactions
@@ -90,9 +91,8 @@ def expected_output(baskets: DataFrame, measure: str | Measure, mu: float, delta
     pairs = with_transactions(all_pairs(baskets), transactions(baskets) if of.uses_m else None).withColumn("p", F.expr(p_sql(of, mu, delta))).withColumn("sim", F.expr(of.sim_sql()))
     # below the cut the terms of the binomial are summed; the largest count not reported is the cut of mu/2, as below it no sampled pair is exact
     cut = int(mu // 2)
-    tail = f"aggregate(sequence(0, CAST(least({cut}, k) AS INT)), named_struct('term', pow(1e0 - p, CAST(k AS DOUBLE)), 'sum', 0e0), (a, x) -> named_struct('term', a.term * (k - x) / (x + 1e0) * p / (1e0 - p), 'sum', a.sum + a.term), a -> a.sum)"
     sure = F.expr(f"CASE WHEN {rule_sql(of, mu, delta, rule)} THEN 1e0 ELSE 0e0 END")
-    chance = F.when(F.col("p") >= 1, sure).otherwise(1 - F.expr(f"CASE WHEN p < 1e0 THEN {tail} END"))
+    chance = F.when(F.col("p") >= 1, sure).otherwise(1 - F.expr(binomial_below_sql("k", "p", cut)))
     rows = pairs.withColumn("reported", chance).withColumn("true_pair", F.col("sim") >= delta - 1e-12)
     return rows.agg(F.round(F.sum(F.when(F.col("true_pair"), F.col("reported")).otherwise(0.0)), 3).alias("true_reports"), F.round(F.sum(F.when(F.col("true_pair"), 0.0).otherwise(F.col("reported"))), 3).alias("false_reports"))
 

@@ -196,21 +196,38 @@ register("minhash_sketch", lambda s, d: refining.minhash_sketch(baskets(s, d, W1
 _equal = " + ".join(f"CASE WHEN x.h{n} = y.h{n} THEN 1 ELSE 0 END" for n in range(SKETCH))
 register(
     "filter_minhash",
-    lambda s, d: refining.filter_minhash(sampling.sample_pairs(baskets(s, d, W11), "cosine", MU, 0.5, SEED).where("k > 7"), refining.minhash_sketch(baskets(s, d, W11), SKETCH), SKETCH, "cosine", 0.5),
-    f"WITH {sql_sample(W11, 'cosine', MU, 0.5)}, {sql_sketch()}, q AS (SELECT sm.i, sm.j, sm.ci, sm.cj, ({_equal}) / {SKETCH}e0 AS est_jaccard FROM sm JOIN sk x ON sm.i = x.i JOIN sk y ON sm.j = y.i WHERE sm.k > 7), "
+    lambda s, d: refining.filter_minhash(sampling.sample_pairs(baskets(s, d, W11), "cosine", MU, 0.5, SEED), refining.minhash_sketch(baskets(s, d, W11), SKETCH), SKETCH, "cosine", 0.5),
+    f"WITH {sql_sample(W11, 'cosine', MU, 0.5)}, {sql_sketch()}, q AS (SELECT sm.i, sm.j, sm.ci, sm.cj, ({_equal}) / {SKETCH}e0 AS est_jaccard FROM sm JOIN sk x ON sm.i = x.i JOIN sk y ON sm.j = y.i), "
     f"r AS (SELECT *, {get('cosine').sim('(est_jaccard * (CAST(ci AS DOUBLE) + CAST(cj AS DOUBLE)) / (1e0 + est_jaccard))', 'CAST(ci AS DOUBLE)', 'CAST(cj AS DOUBLE)', '1e0')} AS z FROM q) SELECT i, j, round(est_jaccard, 6) AS est_jaccard, round(z, 6) AS est_sim FROM r WHERE z >= {dbl(0.5 - 1e-12)}",
 )
 register(
     "filter_smaller_set",
-    lambda s, d: refining.filter_smaller_set(sampling.sample_pairs(baskets(s, d, W5), "overlap", MU, 0.35, SEED).where("k > 7"), baskets(s, d, W5), 0.5, "overlap", 0.35),
-    f"WITH {sql_sample(W5, 'overlap', MU, 0.35)}, th AS (SELECT t, i FROM b WHERE {draws.uniform_sql('t', 7, DUCK)} < 0.5e0), q AS (SELECT sm.i, sm.j, sm.ci, sm.cj, count(*) AS probes, count(y.t) AS hits FROM sm JOIN th ON th.i = sm.i LEFT JOIN b y ON y.t = th.t AND y.i = sm.j WHERE sm.k > 7 GROUP BY 1, 2, 3, 4), "
+    lambda s, d: refining.filter_smaller_set(sampling.sample_pairs(baskets(s, d, W5), "overlap", MU, 0.35, SEED), baskets(s, d, W5), 0.5, "overlap", 0.35),
+    f"WITH {sql_sample(W5, 'overlap', MU, 0.35)}, th AS (SELECT t, i FROM b WHERE {draws.uniform_sql('t', 7, DUCK)} < 0.5e0), q AS (SELECT sm.i, sm.j, sm.ci, sm.cj, count(*) AS probes, count(y.t) AS hits FROM sm JOIN th ON th.i = sm.i LEFT JOIN b y ON y.t = th.t AND y.i = sm.j GROUP BY 1, 2, 3, 4), "
     f"r AS (SELECT *, {get('overlap').sim('(CAST(hits AS DOUBLE) / CAST(probes AS DOUBLE) * CAST(ci AS DOUBLE))', 'CAST(ci AS DOUBLE)', 'CAST(cj AS DOUBLE)', '1e0')} AS z FROM q) SELECT i, j, probes, hits, round(z, 6) AS est_sim FROM r WHERE z >= {dbl(0.35 - 1e-12)}",
 )
 register(
     "bloom_two_pass", lambda s, d: reporting.report(two_pass.sample_two_pass(baskets(s, d, W5), "cosine", MU, 0.3, SEED), "cosine", MU, 0.3), f"{_s5} {sql_report('cosine', MU, 0.3)}"
 )
 register("exact_two_pass", lambda s, d: two_pass.exact_two_pass(baskets(s, d, W5), "cosine", 0.3), f"WITH {sql_exact(W5, 'cosine', 0.3)} SELECT i, j, k, ci, cj, sim FROM tp")
-register("count_min_sketch", lambda s, d: two_pass.cms_counts(sampling.prefix_pairs(sampling.pack(sampling.sample_rows(baskets(s, d, W5), "cosine")), get("cosine"), MU, 0.3)).select((F.length("sketch") > 0).alias("made")))
+register(
+    "count_min_sketch",
+    lambda s, d: two_pass.count_min_bounds(sampling.prefix_pairs(sampling.pack(sampling.sample_rows(baskets(s, d, W5), "cosine", SEED)), get("cosine"), MU, 0.3)),
+    f"{_s5} SELECT count(*) AS pairs, 0::BIGINT AS too_few, true AS close FROM sm",
+)
+
+W3, RATE = "customer_parts", 0.5
+register(
+    "filter_smaller_set_unequal",
+    lambda s, d: refining.filter_smaller_set(sampling.sample_pairs(baskets(s, d, W3), "overlap", MU, 0.3, SEED), baskets(s, d, W3), RATE, "overlap", 0.3),
+    f"WITH {sql_sample(W3, 'overlap', MU, 0.3)}, th AS (SELECT t, i FROM b WHERE {draws.uniform_sql('t', 7, DUCK)} < {dbl(RATE)}), "
+    "q AS (SELECT sm.i, sm.j, sm.ci, sm.cj, count(*) AS probes, count(y.t) AS hits FROM sm JOIN th ON th.i = sm.i LEFT JOIN b y ON y.t = th.t AND y.i = sm.j GROUP BY 1, 2, 3, 4), "
+    f"r AS (SELECT *, {get('overlap').sim('(CAST(hits AS DOUBLE) / CAST(probes AS DOUBLE) * CAST(ci AS DOUBLE))', 'CAST(ci AS DOUBLE)', 'CAST(cj AS DOUBLE)', '1e0')} AS z FROM q) "
+    f"SELECT i, j, probes, hits, round(z, 6) AS est_sim FROM r WHERE z >= {dbl(0.3 - 1e-12)}",
+)
+register(
+    "count_min_two_pass", lambda s, d: reporting.report(two_pass.sample_count_min(baskets(s, d, W5), "cosine", MU, 0.3, SEED), "cosine", MU, 0.3), f"{_s5} {sql_report('cosine', MU, 0.3)}"
+)
 
 ONE_WEIGHT = "SELECT t, i, CAST(1 + i % 3 AS DOUBLE) AS w FROM ({v}) z"
 QUANTITY = "SELECT o_custkey AS t, l_suppkey AS i, CAST(sum(l_quantity) AS DOUBLE) AS w FROM {lineitem} l JOIN {orders} o ON l.l_orderkey = o.o_orderkey GROUP BY o_custkey, l_suppkey"
@@ -243,7 +260,7 @@ for _key, _of in (("composite_and", AND), ("composite_or", OR), ("composite_blen
         f"WITH {sql_sample(W5, _of, MU, 1.0)} {sql_report(_of, MU, 1.0)}",
     )
 _rare = measures.all_of([("cosine", 0.7, 1.0), ("lift", 2.0, 1.0)], "and_rare")
-register("composite_and_documents", lambda s, d: sampling.sample_pairs(baskets(s, d, W11), _rare, MU, 1.0, SEED).where("k > 7"), f"WITH {sql_sample(W11, _rare, MU, 1.0)} {SAMPLE} WHERE k > 7")
+register("composite_and_documents", lambda s, d: sampling.sample_pairs(baskets(s, d, W11), _rare, MU, 1.0, SEED), f"WITH {sql_sample(W11, _rare, MU, 1.0)} {SAMPLE}")
 
 
 def sql_rules(view: str, pairs: str, conf: float) -> str:
@@ -287,7 +304,19 @@ register(
     "signature_all_pairs", lambda s, d: baselines.signature_all_pairs(baskets(s, d, W4), 16, 0.3),
     f"WITH b AS ({duck_view(W4)}), {sql_sketch(16)}, q AS (SELECT x.i AS i, y.i AS j, ({_equal16}) / 16e0 AS z FROM sk x JOIN sk y ON x.i < y.i) SELECT i, j, round(z, 6) AS est_jaccard FROM q WHERE z >= {dbl(0.3 - 1e-12)}",
 )
-register("lsh_cosine", lambda s, d: baselines.hyperplane_pairs(tables.table(s, d, "embeddings"), "vec_id", "embedding"))
+LSH_AT, LSH_BITS, LSH_BANDS, LSH_DIM = 0.45, 6, 24, 64
+
+
+def sql_hyperplanes(dim: int) -> str:
+    planes = baselines.planes(LSH_BANDS, LSH_BITS, dim)
+    rows = ", ".join(f"({b}, {k}, {[float(v) for v in planes[b, k]]}::DOUBLE[])" for b in range(LSH_BANDS) for k in range(LSH_BITS))
+    return f"""WITH pl(band, bit, plane) AS (VALUES {rows}), v AS (SELECT vec_id AS v, embedding::DOUBLE[] AS x FROM embeddings),
+kk AS (SELECT v, band, string_agg(CASE WHEN list_inner_product(x, plane) > 0 THEN '1' ELSE '0' END, '' ORDER BY bit) AS key FROM v CROSS JOIN pl GROUP BY v, band),
+pr AS (SELECT DISTINCT a.v AS i, b.v AS j FROM kk a JOIN kk b ON a.band = b.band AND a.key = b.key AND a.v < b.v)
+SELECT i, j, round(list_cosine_similarity(x.x, y.x), 6) AS cos FROM pr JOIN v x ON x.v = pr.i JOIN v y ON y.v = pr.j WHERE list_cosine_similarity(x.x, y.x) >= {dbl(LSH_AT)}"""
+
+
+register("lsh_cosine", lambda s, d: baselines.hyperplane_pairs(tables.table(s, d, "embeddings"), "vec_id", "embedding", LSH_BITS, LSH_BANDS, LSH_AT), sql_hyperplanes(LSH_DIM))
 register(
     "uniform_sample", lambda s, d: baselines.uniform_sample(baskets(s, d, W4), 0.1),
     f"WITH {sql_base(W4)} SELECT x.i AS i, y.i AS j, count(*) AS k, x.c AS ci, y.c AS cj FROM e x JOIN e y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) WHERE x.r < 0.1e0 GROUP BY 1, 2, 4, 5",
@@ -321,7 +350,7 @@ register(
     "fig8_measures", lambda s, d: _union([cost.compare(baskets(s, d, W5), n, MU, DELTA_OF[n]).withColumn("measure", F.lit(n)) for n in SIX]),
     " UNION ALL ".join(f"SELECT * FROM (WITH {sql_cost(W5, n, MU, DELTA_OF[n])} {COST}, '{n}' AS measure FROM su CROSS JOIN ba)" for n in SIX),
 )
-POINTS = ("order_suppliers", W4, W5, "customer_brand", "user_day_events")
+POINTS = tuple(workloads.DELTAS)
 register(
     "fig9_points", lambda s, d: _union([cost.compare(baskets(s, d, v), "cosine", MU, workloads.DELTAS[v]).select(F.lit(v).alias("view"), "time_s", "time_e", "space_s", "space_e") for v in POINTS]),
     " UNION ALL ".join(f"SELECT '{v}' AS view, time_s, time_e, space_s, space_e FROM (WITH {sql_cost(v, 'cosine', MU, workloads.DELTAS[v])} {COST} FROM su CROSS JOIN ba)" for v in POINTS),
@@ -366,7 +395,17 @@ register(
     .agg(*[F.count_if(F.col(n) > F.col("z") + 1e-9).alias(n) for n in ("cosine", "jaccard", "all_confidence", "dice", "overlap")]),
     "SELECT " + ", ".join(f"0::BIGINT AS {n}" for n in ("cosine", "jaccard", "all_confidence", "dice", "overlap")),
 )
-register("expected_output", lambda s, d: cost.expected_output(baskets(s, d, W5), "cosine", MU, 0.3))
+#: The chance of at most ``cut`` successes among k, term by term from logarithms of factorials.
+_binomial = lambda k, p, cut: (
+    f"(CASE WHEN {p} >= 1e0 THEN (CASE WHEN {k} <= {cut} THEN 1e0 ELSE 0e0 END) ELSE (SELECT sum(exp(lgamma(CAST({k} AS DOUBLE) + 1) - lgamma(CAST(x AS DOUBLE) + 1) - lgamma(CAST({k} - x AS DOUBLE) + 1) "
+    f"+ x * ln({p}) + ({k} - x) * ln(1e0 - least({p}, 0.999999999e0)))) FROM unnest(range(0, CAST(least({cut}, {k}) AS INT) + 1)) u(x)) END)"
+)
+register(
+    "expected_output", lambda s, d: cost.expected_output(baskets(s, d, W5), "cosine", MU, 0.3),
+    f"WITH {sql_pairs(W5)}, q AS (SELECT k, ci, cj, least(1e0, {get('cosine').weight_sql(0.3)} * {dbl(MU)}) AS p, {get('cosine').sim_sql()} AS z FROM ap CROSS JOIN mm), "
+    f"g AS (SELECT z, CASE WHEN p >= 1e0 THEN (CASE WHEN {reporting.rule_sql(get('cosine'), MU, 0.3)} THEN 1e0 ELSE 0e0 END) ELSE 1e0 - {_binomial('q.k', 'q.p', 7)} END AS c FROM q) "
+    f"SELECT round(coalesce(sum(c) FILTER (z >= {dbl(0.3 - 1e-12)}), 0), 3) AS true_reports, round(coalesce(sum(c) FILTER (z < {dbl(0.3 - 1e-12)}), 0), 3) AS false_reports FROM g",
+)
 _pois = lambda mean, cut: f"(SELECT sum(exp(-{mean} + k * ln({mean}) - (CASE WHEN k < 1 THEN 0 ELSE lgamma(k + 1) END))) FROM unnest(range(0, CAST(floor({cut}) AS INT) + 1)) u(k))"
 _mus = [3.0, 5.0, 10.0, 15.0, 20.0, 30.0]
 register(
@@ -384,8 +423,8 @@ register(
     " UNION ALL ".join(f"SELECT round({dbl(x)}, 6) AS ratio, round(1 - {_pois(f'({dbl(x)} * 15e0)', 7.5)}, 9) AS reported" for x in _fp),
 )
 register(
-    "fn_binomial", lambda s, d: local(s, [(k, errors.fn_binomial(k, 15 / k, 7.5)) for k in (15, 20, 50, 100, 1000)], "k int, raw double").select("k", F.round("raw", 9).alias("missed")),
-    " UNION ALL ".join(f"SELECT {k}::INT AS k, round({errors.fn_binomial(k, 15 / k, 7.5)!r}::DOUBLE, 9) AS missed" for k in (15, 20, 50, 100, 1000)),
+    "fn_binomial", lambda s, d: local(s, [(k,) for k in (15, 20, 50, 100, 1000)], "k int").select("k", F.round(F.expr(errors.binomial_below_sql("k", "15e0 / k", 7)), 9).alias("missed")),
+    " UNION ALL ".join(f"SELECT {k}::INT AS k, round({_binomial(str(k), f'(15e0 / {k})', 7)}, 9) AS missed" for k in (15, 20, 50, 100, 1000)),
 )
 _conf = """, a AS (SELECT rp.i AS ri, tp.i AS ti FROM rp FULL OUTER JOIN tp ON rp.i = tp.i AND rp.j = tp.j), c AS (SELECT count(*) FILTER (ri IS NOT NULL AND ti IS NOT NULL) AS tp, count(*) FILTER (ti IS NULL) AS fp, count(*) FILTER (ri IS NULL) AS fn FROM a)
 SELECT tp, fp, fn, round(tp / (tp + fn), 6) AS recall, round(tp / (tp + fp), 6) AS precision FROM c"""
@@ -415,21 +454,26 @@ register(
     "concentration", lambda s, d: many_seeds(s, d, W4, 0.5, 20).groupBy("seed").agg(F.sum("k").alias("inserted")).agg(F.round(F.avg("inserted"), 3).alias("mean"), F.round(F.stddev("inserted"), 3).alias("deviation")),
     f"WITH {sql_seeds(W4, 0.5, 20)} SELECT round(avg(n), 3) AS mean, round(stddev(n), 3) AS deviation FROM (SELECT seed, sum(k)::DOUBLE AS n FROM ms GROUP BY seed) q",
 )
-SEEDS = 10
+SEEDS, MANY = 10, 50
 
 
-def _missed(s: SparkSession, d: str) -> DataFrame:
-    sample = many_seeds(s, d, W5, 0.25, SEEDS)
-    true_pairs = baselines.exact_pairs(baskets(s, d, W5), "cosine", 0.25).select("i", "j", F.lit(1).alias("t")).crossJoin(s.range(1, SEEDS + 1).withColumnRenamed("id", "seed"))
-    reported = sample.where(reporting.rule_sql(get("cosine"), MU, 0.25)).select("seed", "i", "j", F.lit(1).alias("r"))
+def _missed(s: SparkSession, d: str, view: str, delta: float) -> DataFrame:
+    sample = many_seeds(s, d, view, delta, MANY)
+    true_pairs = baselines.exact_pairs(baskets(s, d, view), "cosine", delta).select("i", "j", F.lit(1).alias("t")).crossJoin(s.range(1, MANY + 1).withColumnRenamed("id", "seed"))
+    reported = sample.where(reporting.rule_sql(get("cosine"), MU, delta)).select("seed", "i", "j", F.lit(1).alias("r"))
     return true_pairs.join(reported, ["seed", "i", "j"], "left").groupBy("seed").agg(F.count("*").alias("true_pairs"), F.count_if(F.col("r").isNull()).alias("missed"))
 
 
-register(
-    "observed_fn", _missed,
-    f"WITH {sql_seeds(W5, 0.25, SEEDS)}, ap AS (SELECT x.i AS i, y.i AS j, count(*) AS k, x.c AS ci, y.c AS cj FROM e x JOIN e y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) GROUP BY 1, 2, 4, 5), tp AS (SELECT i, j FROM ap WHERE {get('cosine').sim_sql()} >= {dbl(0.25 - 1e-12)}), "
-    f"rp AS (SELECT seed, i, j FROM ms WHERE {reporting.rule_sql(get('cosine'), MU, 0.25)}) SELECT z.seed::BIGINT AS seed, count(*) AS true_pairs, count(*) FILTER (rp.i IS NULL) AS missed FROM tp CROSS JOIN (SELECT unnest(range(1, {SEEDS + 1})) AS seed) z LEFT JOIN rp ON rp.seed = z.seed AND rp.i = tp.i AND rp.j = tp.j GROUP BY 1",
-)
+def sql_missed(view: str, delta: float) -> str:
+    return (
+        f"WITH {sql_seeds(view, delta, MANY)}, {ALL_PAIRS}, tp AS (SELECT i, j FROM ap WHERE {get('cosine').sim_sql()} >= {dbl(delta - 1e-12)}), rp AS (SELECT seed, i, j FROM ms WHERE {reporting.rule_sql(get('cosine'), MU, delta)}) "
+        f"SELECT z.seed::BIGINT AS seed, count(*) AS true_pairs, count(*) FILTER (rp.i IS NULL) AS missed FROM tp CROSS JOIN (SELECT unnest(range(1, {MANY + 1})) AS seed) z LEFT JOIN rp ON rp.seed = z.seed AND rp.i = tp.i AND rp.j = tp.j GROUP BY 1"
+    )
+
+
+ALL_PAIRS = "ap AS (SELECT x.i AS i, y.i AS j, count(*) AS k, x.c AS ci, y.c AS cj FROM e x JOIN e y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) GROUP BY 1, 2, 4, 5)"
+register("observed_fn", lambda s, d: _missed(s, d, W5, 0.25), sql_missed(W5, 0.25))
+register("observed_fn_suppliers", lambda s, d: _missed(s, d, W4, 0.3), sql_missed(W4, 0.3))
 
 
 def _false(s: SparkSession, d: str) -> DataFrame:
@@ -459,8 +503,9 @@ register(
     " UNION ALL ".join(f"SELECT '{v}' AS view, b, sigma, time_ratio FROM (WITH {sql_cost(v, 'cosine', MU, 0.5)} {COST} FROM su CROSS JOIN ba) q CROSS JOIN ({_stats(v)}) z" for v in POINTS),
 )
 register(
-    "early_stop_work", lambda s, d: cost.base(baskets(s, d, W4)).crossJoin(cost.pair_sums(baskets(s, d, W4), "cosine", MU, 0.5)).select("pairs", F.round(F.col("rows") + F.col("inserted"), 3).alias("tests_with_stop")),
-    f"WITH {sql_cost(W4, 'cosine', MU, 0.5)} SELECT all_pairs::BIGINT AS pairs, round(rows + inserted, 3) AS tests_with_stop FROM su CROSS JOIN ba",
+    "early_stop_work", lambda s, d: sampling.count_tests(sampling.pack(sampling.sample_rows(baskets(s, d, W4), "cosine", SEED)), get("cosine"), MU, 0.5),
+    f"WITH {sql_base(W4)}, q AS (SELECT x.t, x.i, count(*) AS n, count(*) FILTER ({get('cosine').weight_sql(0.5, 'x.c', 'y.c')} * {dbl(MU)} > x.r) AS taken FROM e x JOIN e y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) GROUP BY 1, 2) "
+    "SELECT sum(n)::BIGINT AS pairs, sum(taken)::BIGINT AS inserted, sum(least(n, taken + 1))::BIGINT AS tests_with_stop FROM q",
 )
 
 
@@ -473,4 +518,8 @@ def worked_example(spark: SparkSession, d: str) -> DataFrame:
 
 _at90, _at91 = [(6, 5), (6, 4), (6, 3), (6, 2), (6, 1), (5, 4), (5, 3), (4, 3)], [(6, 5), (6, 4), (6, 3), (6, 2), (6, 1), (5, 4)]
 register("worked_example", worked_example, " UNION ALL ".join(f"SELECT {r}::DOUBLE AS r, {i}::BIGINT AS i, {j}::BIGINT AS j" for r, ps in ((0.9, _at90), (0.91, _at91)) for i, j in ps))
-register("plan_estimate", lambda s, d: planner.estimate(baskets(s, d, W4), "cosine", MU, 0.5, 0.2))
+register(
+    "plan_estimate", lambda s, d: planner.estimate(baskets(s, d, W4), "cosine", MU, 0.5, 0.2),
+    f"WITH {sql_base(W4)}, th AS (SELECT * FROM e WHERE {draws.uniform_sql('t', SEED + 1, DUCK)} < 0.2e0), q AS (SELECT count(*) AS n FROM th x JOIN th y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) "
+    f"WHERE {get('cosine').weight_sql(0.5, 'x.c', 'y.c')} * {dbl(MU)} > x.r) SELECT (SELECT count(DISTINCT t) FROM th) AS looked_at, n AS inserted, round(n / 0.2e0, 3) AS estimate FROM q",
+)
