@@ -36,6 +36,10 @@ def _attrs(s: dict) -> str:
     return " UNION ".join(f"SELECT {line} AS t, concat('{n}=', {v}) AS i FROM {{lineitem}} WHERE {v} IS NOT NULL" for n, v in values)
 
 
+#: Views made of others by leaving out frequent items.
+WITHOUT_FREQUENT = {"customer_brandtype_rare": "customer_brandtype"}
+
+
 def sql(view: str, dialect: str = "spark") -> str:
     s = SPELL[dialect]
     text = lambda x: f"CAST({x} AS {s['str']})"
@@ -56,16 +60,21 @@ def sql(view: str, dialect: str = "spark") -> str:
         "page_tags": f"SELECT page_id AS t, {s['tags']('html')} AS i FROM {{pages}}",
         "conv_words": f"SELECT t, i FROM (SELECT conv_id AS t, {s['words']('text')} AS i FROM {{conversations}}) x WHERE i <> ''",
     }
+    if view in WITHOUT_FREQUENT:
+        # the tenth of the items that occur most often left out
+        of = sql(WITHOUT_FREQUENT[view], dialect)
+        ranked = f"SELECT i, row_number() OVER (ORDER BY count(*) DESC, i) AS place, count(*) OVER () AS n FROM ({of}) x GROUP BY i"
+        return f"SELECT b.t, b.i FROM ({of}) b JOIN ({ranked}) r ON b.i = r.i WHERE r.place > 0.1 * r.n"
     return f"SELECT DISTINCT t, i FROM ({views[view]}) v WHERE t IS NOT NULL AND i IS NOT NULL"
 
 
 VIEWS = (
-    "order_parts order_suppliers customer_parts customer_suppliers customer_brandtype customer_brand line_attrs user_keys user_day_events doc_words word_docs supplier_parts page_tags conv_words"
+    "order_parts order_suppliers customer_parts customer_suppliers customer_brandtype customer_brand line_attrs user_keys user_day_events doc_words word_docs supplier_parts page_tags conv_words customer_brandtype_rare"
 ).split()
 #: Thresholds of the cost table, for the cosine.
 DELTAS = {
     "order_parts": 0.5, "order_suppliers": 0.5, "customer_parts": 0.5, "customer_suppliers": 0.5, "customer_brandtype": 0.3, "customer_brand": 0.7, "line_attrs": 0.5,
-    "user_keys": 0.5, "user_day_events": 0.5, "word_docs": 0.5, "supplier_parts": 0.5, "page_tags": 0.5, "conv_words": 0.5,
+    "user_keys": 0.5, "user_day_events": 0.5, "word_docs": 0.5, "supplier_parts": 0.5, "page_tags": 0.5, "conv_words": 0.5, "customer_brandtype_rare": 0.3,
 }
 
 
