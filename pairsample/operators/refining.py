@@ -21,7 +21,7 @@ LOOK_UPS = 4_000_000
 
 
 def counted_in_memory(candidates: DataFrame, sets: pa.Table) -> DataFrame:
-    """(i, j, k, ci, cj) of the candidates, each counted where it stands against broadcast sets (i, t): the rows of j are marked, those of i looked up."""
+    """(i, j, k, ci, cj) of candidates (i, j, ci, cj, sure, k), each that isn't sure counted where it stands against broadcast sets (i, t): the rows of j are marked, those of i looked up."""
     codes = sets["i"].combine_chunks().dictionary_encode()
     item = codes.indices.to_numpy(zero_copy_only=False)
     place = np.argsort(item, kind="stable")
@@ -35,8 +35,10 @@ def counted_in_memory(candidates: DataFrame, sets: pa.Table) -> DataFrame:
         marked = np.zeros(int(at.max()) + 1 if len(at) else 1, bool)
         for batch in batches:
             i, j = (pc.index_in(batch.column(x), value_set=items).to_numpy(zero_copy_only=False) for x in (0, 1))
-            k = np.zeros(len(i), np.int64)
-            order = np.argsort(j, kind="stable")
+            sure, k = (batch.column(x).to_numpy(zero_copy_only=False) for x in (4, 5))
+            k = k.copy()
+            order = np.flatnonzero(~sure)
+            order = order[np.argsort(j[order], kind="stable")]
             for rows in np.split(order, np.flatnonzero(np.diff(j[order])) + 1) if len(order) else ():
                 own = at[begins[j[rows[0]]] : ends[j[rows[0]]]]
                 marked[own] = True
@@ -51,27 +53,26 @@ def counted_in_memory(candidates: DataFrame, sets: pa.Table) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(k), *batch.columns[2:4]], names=["i", "j", "k", "ci", "cj"])
 
     kind = candidates.schema["i"].dataType.simpleString()
-    return candidates.select("i", "j", "ci", "cj").mapInArrow(run, f"i {kind}, j {kind}, k long, ci long, cj long")
+    return candidates.select("i", "j", "ci", "cj", "sure", "k").mapInArrow(run, f"i {kind}, j {kind}, k long, ci long, cj long")
 
 
-def verify_exact(pairs: DataFrame, baskets: DataFrame, measure: str | Measure, delta: float, m: DataFrame | None = None, in_memory_rows: int = 4_000_000) -> DataFrame:
+def verify_exact(pairs: DataFrame, baskets: DataFrame, measure: str | Measure, delta: float, m: DataFrame | None = None, in_memory_rows: int = 4_000_000, sets: pa.Table | None = None) -> DataFrame:
     """(i, j, k, ci, cj, sim) of the candidate pairs whose exact similarity reaches delta.
 
     Pairs that the report marks as exact keep their count. The others are counted against sets held in memory where the baskets have at most
-    ``in_memory_rows`` rows, which is checked; beyond that, candidates meet the rows of i, then those of (j, t).
+    ``in_memory_rows`` rows, which is checked (``sets`` if they are there already); beyond that, candidates meet the rows of i, then those of (j, t).
     """
     of = get(measure)
-    candidates = pairs.select("i", "j", "ci", "cj")
-    if "exact" in pairs.columns:
-        candidates = pairs.where("NOT exact").select("i", "j", "ci", "cj")
-    sets = baskets.select("i", "t").limit(in_memory_rows + 1).toArrow()
+    counted = F.col("exact") if "exact" in pairs.columns else F.lit(False)
+    candidates = pairs.select("i", "j", "ci", "cj", counted.alias("sure"), F.col("k") if "k" in pairs.columns else F.lit(0).cast("long").alias("k"))
+    sets = sets if sets is not None else baskets.select("i", "t").limit(in_memory_rows + 1).toArrow()
     if sets.num_rows <= in_memory_rows:
         both = counted_in_memory(candidates, sets)
     else:
-        met = candidates.join(baskets, "i").select("t", "i", "j", "ci", "cj").join(baskets.select(F.col("t"), F.col("i").alias("j")), ["t", "j"])
+        at = candidates.where("NOT sure").join(baskets, "i").select("t", "i", "j", "ci", "cj")
+        met = at.join(baskets.select(F.col("t"), F.col("i").alias("j")), ["t", "j"])
         both = met.groupBy("i", "j").agg(F.count("*").alias("k"), F.first("ci").alias("ci"), F.first("cj").alias("cj"))
-    if "exact" in pairs.columns:
-        both = both.unionByName(pairs.where("exact").select("i", "j", "k", "ci", "cj"))
+        both = both.unionByName(candidates.where("sure").select("i", "j", "k", "ci", "cj"))
     rows = with_transactions(both, m if of.uses_m else None).withColumn("sim", F.expr(of.sim_sql()))
     return rows.where(F.col("sim") >= delta - 1e-12).select("i", "j", "k", "ci", "cj", F.round("sim", 6).alias("sim"))
 
