@@ -25,9 +25,11 @@ WIDTH = 1 << 16
 # Elements of the HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset(
-    "a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr br".split()
+    "a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr br math mi mn mo mrow msup msub mfrac msqrt mtext semantics".split()
 )
-HIDDEN = frozenset("script style noscript template svg math iframe object".split())
+#: Elements whose content isn't shown; the first two go on to the end of the page where they aren't closed, the others count as ordinary elements then.
+RAW = frozenset("script style".split())
+HIDDEN = RAW | frozenset("noscript template svg iframe".split())
 #: Start tags that end an open element of these names.
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 #: Elements that such an implied end doesn't reach beyond.
@@ -53,7 +55,7 @@ def _words(attributes: str) -> tuple[str, ...]:
         value = next((v for v in m.groups()[1:] if v is not None), "")
         spaced = re.sub(r"([a-z])([A-Z])", r"\1 \2", value).lower()
         found += [f"{m[1].lower()}={w}" for w in NAME.findall(spaced)] or [m[1].lower()]
-    return tuple(dict.fromkeys(found))[:12]
+    return tuple(dict.fromkeys(found))
 
 
 def leaves(page: str) -> list[Leaf]:
@@ -61,7 +63,7 @@ def leaves(page: str) -> list[Leaf]:
     stack: list[tuple[str, tuple[str, ...]]] = []
     found: list[Leaf] = []
     parts: list[str] = []
-    linked = 0
+    linked = anchors = 0
     at, end = 0, len(page)
 
     def flush() -> None:
@@ -76,9 +78,15 @@ def leaves(page: str) -> list[Leaf]:
         if raw:
             text = html.unescape(raw) if "&" in raw else raw
             parts.append(text)
-            if any(x[0] == "a" for x in stack[-4:]):
+            if anchors:
                 linked += len(text.strip())
 
+    def close(k: int) -> None:
+        """End all open elements from the k-th on."""
+        nonlocal anchors
+        anchors -= sum(x[0] == "a" for x in stack[k:])
+        del stack[k:]
+
     while at < end:
         lt = page.find("<", at)
         if lt < 0:
@@ -103,16 +111,17 @@ def leaves(page: str) -> list[Leaf]:
                 flush()
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == name:
-                    del stack[k:]
+                    close(k)
                     break
                 if name in INLINE and stack[k][0] not in INLINE:
                     break
             continue
         if name in HIDDEN:
-            if not attributes.endswith("/") or name in ("script", "style"):
-                close = re.compile(f"</{name}\\b[^>]*>", re.I).search(page, at)
-                at = close.end() if close else end
-            continue
+            ended = attributes.endswith("/") and name not in RAW
+            found_end = None if ended else re.compile(f"</{name}\\b[^>]*>", re.I).search(page, at)
+            if ended or found_end or name in RAW:
+                at = at if ended else found_end.end() if found_end else end
+                continue
         if name == "br":
             parts.append(" ")
             continue
@@ -121,13 +130,14 @@ def leaves(page: str) -> list[Leaf]:
             for k in range(len(stack) - 1, -1, -1):
                 open_ = stack[k][0]
                 if open_ in ENDS.get(name, ()) or open_ == "p":
-                    del stack[k:]
+                    close(k)
                     if open_ != "p":
                         break
                 elif open_ in KEEPS:
                     break
         if name not in VOID:
             stack.append((name, _words(attributes) if attributes else ()))
+            anchors += name == "a"
     flush()
     return found
 
