@@ -3,8 +3,9 @@
 Every benchmark item is the set of its shingles (runs of ``k`` words; all its words where it has fewer). An item's
 MinHash sketch is its smallest shingle hashes, and its size sets how many: a document that holds the share
 ``threshold`` of an item misses at most ``size - ceil(threshold * size)`` shingles, so one more than that number of
-smallest hashes can't all be missing. Items are partitioned by size class; each class has its own largest sketch hash, and
-of a document only shingles up to the largest of all are probed. Candidates are verified by counting the item's shingles, as
+smallest hashes can't all be missing. Items are partitioned by their sizes: those of fewer than ``k`` words by their number of words, each such
+part with its own largest sketch hash, up to which a document's shingles of that length are probed; a document of fewer shingles than an item's size
+class needs isn't its candidate. Candidates are verified by counting the item's shingles, as
 text, in the document. Documents are never cut, and no member of a group is paired with another: only sketches are joined.
 """
 
@@ -34,16 +35,16 @@ def hashes(words: str, k: int, upto: int) -> Column:
 
 
 def sketch(benchmark: DataFrame, item_col: str, text_col: str, k: int, threshold: float) -> tuple[DataFrame, DataFrame]:
-    """(item, shingle, n, k) of all shingles, and (item, h, need, size_class) of the sketches."""
+    """(item, shingle, n, k) of all shingles, and (item, k, need, h) of the sketches."""
     cut = benchmark.select(F.col(item_col).alias("item"), words_of(F.col(text_col)).alias("w")).where("size(w) > 0")
     cut = cut.withColumn("k", F.least(F.size("w"), F.lit(k)))
     runs = F.expr("transform(sequence(1, size(w) - k + 1), i -> slice(w, i, k))")
     full = cut.select("item", "k", F.explode(runs).alias("shingle")).distinct()
     sizes = full.groupBy("item").agg(F.count("*").alias("n"))
     need = F.ceil(F.col("n") * threshold - 1e-9).cast("int")
-    ranked = full.select("item", F.xxhash64("shingle").alias("h")).groupBy("item").agg(F.array_sort(F.collect_set("h")).alias("hs"))
-    lists = ranked.join(sizes, "item").select("item", "n", need.alias("need"), F.expr(f"slice(hs, 1, n - ceil(n * {threshold} - 1e-9) + 1)").alias("hs"))
-    small = lists.select("item", "need", F.floor(F.log2(F.col("n"))).cast("int").alias("size_class"), F.explode("hs").alias("h"))
+    ranked = full.select("item", "k", F.xxhash64("shingle").alias("h")).groupBy("item", "k").agg(F.array_sort(F.collect_set("h")).alias("hs"))
+    lists = ranked.join(sizes, "item").select("item", "k", "n", need.alias("need"), F.expr(f"slice(hs, 1, n - ceil(n * {threshold} - 1e-9) + 1)").alias("hs"))
+    small = lists.select("item", "k", "need", F.explode("hs").alias("h"))
     return full.join(sizes, "item"), small
 
 
@@ -61,15 +62,15 @@ def find_leaks(
     scratch = Scratch(docs.sparkSession, "leaks")
     full, small = sketch(benchmark, item_col, item_text_col, k, threshold)
     full, small = scratch.write(full), scratch.write(small)
-    bounds = small.groupBy("size_class").agg(F.max("h").alias("top")).agg(F.max("top").alias("top")).first()
-    upto = bounds["top"] if bounds["top"] is not None else -(2**63) + 1
-    lengths = sorted(r["k"] for r in full.select("k").distinct().collect()) or [k]  # at most k values
+    # of each length of shingles, at most k of them, the largest hash of a sketch
+    upto = {r["k"]: r["top"] for r in small.groupBy("k").agg(F.max("h").alias("top")).collect()} or {k: -(2**63) + 1}
+    lengths = sorted(upto)
 
     def bounded(df: DataFrame) -> DataFrame:
         return F.broadcast(df) if df.limit(broadcast_rows + 1).count() <= broadcast_rows else df
 
     keyed = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("d"), F.xxhash64(F.col(text_col).cast("string")).alias("th"), words_of(F.col(text_col)).alias("w"))
-    probes = keyed.select("d", "th", F.size("w").alias("size"), F.explode(F.concat(*[hashes("w", n, upto) for n in lengths])).alias("h"))
+    probes = keyed.select("d", "th", F.size("w").alias("size"), F.explode(F.concat(*[hashes("w", n, upto[n]) for n in lengths])).alias("h"))
     candidates = scratch.write(
         probes.join(bounded(small), "h").where("size >= need").select("d", "th", "item").distinct()
     )
