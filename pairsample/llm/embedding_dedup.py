@@ -26,6 +26,8 @@ STEP = 3.0
 #: The ball's share of the threshold's angle.
 BALL = 0.125
 SIGNS = 128
+#: More than an angle from a cosine of doubles can be off by; pairs of balls closer to a bound are decided by their vectors.
+MARGIN = 1e-7
 
 
 def meets(distance: float, step: float) -> float:
@@ -170,8 +172,8 @@ def linked_vectors(
     )
     slack = F.col("radius") + F.col("other_radius")
     both = scratch.write(
-        sized.withColumn("angle", _angle(F.col("cos"))).where((F.col("angle") - slack <= theta + 1e-9) | (F.col("cos") >= threshold))
-        .withColumn("whole", F.when(slack == 0, F.col("cos") >= threshold).otherwise(F.col("angle") + slack <= theta - 1e-9))
+        sized.withColumn("angle", _angle(F.col("cos"))).where((F.col("angle") - slack <= theta + MARGIN) | (F.col("cos") >= threshold))
+        .withColumn("whole", F.when(slack == 0, F.col("cos") >= threshold).otherwise(F.col("angle") + slack <= theta - MARGIN))
     )
     single = both.where("whole or size + other_size > 2")
     halfway = single.where("not whole").select("ball", "other")
