@@ -1,7 +1,7 @@
 """Licence scan by sparse TF-IDF cosine to templates and inheritance from the nearest ancestor directory, with DataFrame functions only.
 
 Units of a file are its lines, its paragraphs and its whole text. A unit states a licence if the cosine of its term weights to a
-template's reaches ``threshold``. A file whose whole text does, or reaches it to a full licence text, is a licence file of its directory. A file without a
+template's reaches ``threshold``. A file whose whole text does, or reaches ``FULL`` to a full licence text, both without stop words, is a licence file of its directory. A file without a
 statement of its own takes the licence of the nearest directory above it that has a licence file.
 
 Inverse document frequencies come from the templates; a term in none of them weighs as one of document frequency 0. Before
@@ -14,9 +14,10 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from functools import reduce
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pairsample.llm.common import Scratch
@@ -43,7 +44,12 @@ TEMPLATES = [
 ]
 #: Common words, which are the first to do without when a match must hold one of a template's other terms.
 COMMON = tuple("the of and to in a is that are by this it for was with as be on at or from not all any may use you into without work".split())
-#: Cosine that a whole file must reach to a full licence text: plain prose reaches 0.703 by common words alone.
+#: Words without weight where whole files are compared with full licence texts, of which they would make up most.
+STOP = frozenset(COMMON) | frozenset(
+    "an if such your other which we our these those its but have has had no so will shall may can one two they them their there who when where while than then also "
+    "only each either more most must do does did been being within under over between through about out up s c".split()
+)
+#: Cosine that a whole file must reach to a full licence text.
 FULL = 0.9
 TERM = r"[a-z0-9]+(?:[.-][a-z0-9]+)*"
 
@@ -60,14 +66,16 @@ def full_texts() -> list[tuple[str, str]]:
 class Weights:
     """Unit vectors of the templates, the weight of each known term, that of any other, and the terms one of which a match must hold."""
 
-    def __init__(self, templates: list[tuple[str, str]], threshold: float, by: Weights | None = None) -> None:
-        """``by`` gives the weights of terms, if not the templates themselves."""
-        bags = [Counter(terms(t)) for _, t in templates]
+    def __init__(self, templates: list[tuple[str, str]], threshold: float, by: Weights | None = None, without: frozenset[str] = frozenset()) -> None:
+        """``by`` gives the weights of terms, if not the templates themselves; terms of ``without`` weigh nothing."""
+        bags = [Counter(t for t in terms(text) if t not in without) for _, text in templates]
         df = Counter(t for bag in bags for t in bag)
         self.idf = by.idf if by else {t: math.log((1 + len(bags)) / (1 + n)) + 1 for t, n in sorted(df.items())}
         self.other = by.other if by else math.log(1 + len(bags)) + 1
         self.vectors = []
         self.names = [name for name, _ in templates]
+        #: Of each template some sets of its heaviest terms: without any of one set, too little weight is left for a match.
+        self.sets: list[list[list[str]]] = []
         needed = set()
         for k, ((name, _), bag) in enumerate(zip(templates, bags, strict=True)):
             weight = {t: n * self.idf.get(t, self.other) for t, n in sorted(bag.items())}
@@ -80,14 +88,34 @@ class Weights:
                     rest += (w / norm) ** 2
                     light.add(t)
             needed |= set(weight) - light
+            sets: list[list[str]] = []
+            left = 0.0
+            for t, w in sorted(weight.items(), key=lambda x: (-x[1], x[0])):
+                if not sets or left > 1 - (threshold - 1e-9) ** 2:
+                    sets.append([])
+                    left = 0.0
+                sets[-1].append(t)
+                left += (w / norm) ** 2
+            self.sets.append(sets if left > 1 - (threshold - 1e-9) ** 2 else sets[:-1] or [sorted(weight)])
         self.needed = sorted(needed)
 
     def pattern(self) -> str:
-        """One of the needed terms as a whole term, the terms grouped by their first character."""
-        groups: dict[str, list[str]] = {}
-        for t in self.needed:
-            groups.setdefault(t[0], []).append(re.escape(t[1:]).replace("\\-", "-"))
-        return "(?:^|[^a-z0-9])(?:" + "|".join(f"{c}(?:{'|'.join(rest)})" for c, rest in groups.items()) + ")(?:$|[^a-z0-9])"
+        return one_of(self.needed)
+
+    def may_match(self, text: Column) -> Column:
+        """Whether a text holds a term of each of the first four sets of some template."""
+        if not self.sets:
+            return F.lit(False)
+        every = [reduce(Column.__and__, [text.rlike(one_of(terms)) for terms in sets[:4]]) for sets in self.sets]
+        return text.rlike(one_of(sorted({t for sets in self.sets for t in sets[0]}))) & reduce(Column.__or__, every)
+
+
+def one_of(found: list[str]) -> str:
+    """The pattern of one of some terms as a whole term, the terms grouped by their first character."""
+    groups: dict[str, list[str]] = {}
+    for t in found:
+        groups.setdefault(t[0], []).append(re.escape(t[1:]).replace("\\-", "-"))
+    return "(?:^|[^a-z0-9])(?:" + "|".join(f"{c}(?:{'|'.join(rest)})" for c, rest in groups.items()) + ")(?:$|[^a-z0-9])"
 
 
 def scan_licenses(
@@ -105,23 +133,22 @@ def scan_licenses(
     spark: SparkSession = files.sparkSession
     scratch = Scratch(spark, "licenses")
     known = Weights(templates or TEMPLATES, threshold)
-    full = Weights([] if templates else full_texts(), FULL, known)
+    full = Weights([] if templates else full_texts(), FULL, known, STOP)
     # a row for each term: its weight, and its place in the vector of every template, full texts last
-    vectors = {t: [None] * (len(known.names) + len(full.names)) for t in {*known.idf, *(t for _, _, t, _ in full.vectors)}}
+    vectors = {t: [None] * (len(known.names) + len(full.names)) for t in {*known.idf, *(t for _, _, t, _ in full.vectors), *STOP}}
     for shift, of in ((0, known), (len(known.names), full)):
         for k, _, t, w in of.vectors:
             vectors[t][shift + k] = w
-    by_term = spark.createDataFrame([(t, known.idf.get(t, known.other), v) for t, v in sorted(vectors.items())], "term string, idf double, w array<double>")
+    by_term = spark.createDataFrame([(t, known.idf.get(t, known.other), t in STOP, v) for t, v in sorted(vectors.items())], "term string, idf double, stop boolean, w array<double>")
     names = known.names + full.names
     own = files.select(F.col(id_col).cast("long").alias("d"), F.coalesce(F.col(path_col).cast("string"), F.lit("/")).alias("path"), F.lower(F.col(text_col).cast("string")).alias("text"))
-    is_full = lambda x: F.col(x).rlike(full.pattern()) if full.needed else F.lit(False)
-    hit = own.where(F.col("text").rlike(known.pattern()) | is_full("text"))
+    hit = own.where(F.col("text").rlike(known.pattern()) | full.may_match(F.col("text")))
     lines = F.transform(F.split("text", "\n"), lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))
     # a text without a blank line is its only paragraph, and its whole is compared anyway
     cut = F.split("text", r"\n[ \t\r]*\n")
     paragraphs = F.when(F.size(cut) > 1, F.transform(cut, lambda x: F.struct(F.lit("statement").alias("kind"), x.alias("unit")))).otherwise(F.array().cast("array<struct<kind:string,unit:string>>"))
     whole = F.array(F.struct(F.lit("file").alias("kind"), F.col("text").alias("unit")))
-    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()) | ((F.col("x.kind") == "file") & is_full("x.unit")))
+    units = hit.select("d", "path", F.posexplode(F.concat(lines, paragraphs, whole)).alias("u", "x")).where(F.col("x.unit").rlike(known.pattern()) | ((F.col("x.kind") == "file") & full.may_match(F.col("x.unit"))))
     # a unit is named by what it holds, so rows that repeat an id stay apart
     of = F.xxhash64("d", "path", "u", "x.unit")
     # terms of a unit are counted in its row, so nothing is shuffled but one row of sums for each unit
@@ -133,8 +160,8 @@ def scan_licenses(
     weighed = counted.select("d", "path", "kind", "unit", "pos", "t.term", "t.tf").join(terms_of, "term", "left").withColumn("x", F.col("tf") * F.coalesce("idf", F.lit(known.other)))
     sums = [F.sum(F.col("x") * F.get("w", F.lit(k))).alias(f"w{k}") for k in range(len(names))]
     # rows that come more than once add up to a multiple, which copies takes out again
-    units = weighed.groupBy("unit").agg(*[F.first(c).alias(c) for c in ("d", "path", "kind")], F.count(F.when(F.col("pos") == 0, 1)).alias("copies"), F.sum(F.col("x") * F.col("x")).alias("square"), *sums)
-    cosine = [F.round(F.col(f"w{k}") / F.sqrt(F.col("copies") * F.col("square")), 6) for k in range(len(names))]
+    units = weighed.groupBy("unit").agg(*[F.first(c).alias(c) for c in ("d", "path", "kind")], F.count(F.when(F.col("pos") == 0, 1)).alias("copies"), F.sum(F.col("x") * F.col("x")).alias("square"), F.sum(F.when(~F.coalesce("stop", F.lit(False)), F.col("x") * F.col("x"))).alias("heavy"), *sums)
+    cosine = [F.round(F.col(f"w{k}") / F.sqrt(F.col("copies") * F.col("square" if k < len(known.names) else "heavy")), 6) for k in range(len(names))]
     enough = [(c >= (threshold if k < len(known.names) else FULL)) & (F.lit(k < len(known.names)) | (F.col("kind") == "file")) for k, c in enumerate(cosine)]
     found = F.array_compact(F.array(*[F.when(e, F.struct(F.lit(n).alias("name"), c.alias("score"))) for e, n, c in zip(enough, names, cosine, strict=True)]))
     scored = scratch.write(units.select("d", "path", "kind", F.explode(found).alias("m")).select("d", "path", "kind", "m.name", "m.score"))
