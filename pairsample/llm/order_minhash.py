@@ -395,8 +395,9 @@ class Search:
 
     def within(self, rows: DataFrame) -> DataFrame:
         """Pairs (a, b) of different components of a bucket that pass the bounds; only texts outside the largest component are compared with others."""
-        one = rows.where("c <> top").select("key", F.col("d").alias("a"), "c").join(self.bits.withColumnRenamed("d", "a"), "a")
-        two = rows.select("key", F.col("d").alias("b"), F.col("c").alias("c2"), "top").join(self.of_b(), "b")
+        with_bits = rows.select("key", "d", "c", "top").join(self.bits, "d")
+        one = with_bits.where("c <> top").drop("top").withColumnRenamed("d", "a")
+        two = with_bits.select("key", F.col("d").alias("b"), F.col("c").alias("c2"), "top", F.col("n").alias("m"), *[F.col(f"x{i}").alias(f"y{i}") for i in range(BITS)])
         met = one.join(two, "key").where("c <> c2 AND (c2 = top OR a < b)").where(self.may_be_near())
         return self.scratch.write(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
 
