@@ -4,9 +4,13 @@ P(v | u) = a c(u,v)/c(u) + b c(v)/N + g /(V+1). The weights a, b, g depend on th
 are learned by expectation-maximisation on the counts of a held-out part of the training texts, the estimates then coming from the rest.
 
 Counts are gathered by key, not by token. A block of texts sends each key it holds (a word or a pair of words, hashed to 64 bits)
-once, with its counts in the block: sorted keys are cut by range into shards and sent as byte planes of their differences. A shard adds up
+once, with its counts in the block: sorted keys are cut by range and sent as byte planes of their differences. A shard adds up
 what all blocks sent and answers each block in the order it asked. Blocks then meet their answers and score their texts.
 Nothing depends on how often a word or pair occurs, so no key is hot.
+
+No sender has more than FAN messages to send. Where there are more shards, blocks reach them over levels: at each level a node adds up what
+about as many senders know of its range of keys and sends that on to the narrower ranges of the next, and answers come back
+the same way. A node holds about as much as a block, and messages grow with the input times the number of levels, not with its square.
 """
 
 from __future__ import annotations
@@ -29,6 +33,8 @@ from pairsample.llm.common import Scratch
 END = b"\n"
 BLOCK_CHARS = 9_000_000
 SHARD_CHARS = 6_000_000
+#: Most ranges that a block or node sends to.
+FAN = 128
 #: Steps of probability per octave in the table that expectation-maximisation reads.
 FINE = 4
 BUCKETS = 64
@@ -94,13 +100,26 @@ class Block:
         n = len(self.keys)
         return np.bincount(self.token[inside], minlength=n) + np.bincount(self.pair[inside], minlength=n)
 
-    def cuts(self, shards: int) -> np.ndarray:
-        bounds = np.array([(k << 64) // shards for k in range(1, shards)], np.uint64)
-        return np.concatenate([[0], np.searchsorted(self.keys, bounds), [len(self.keys)]])
+
+def levels_of(shards: int) -> tuple[int, int]:
+    """Levels of nodes and ranges a sender sends to, so that the last level has at least so many ranges."""
+    levels = 1
+    while FAN**levels < shards:
+        levels += 1
+    fan = 1
+    while fan**levels < shards:
+        fan += 1
+    return levels, fan
+
+
+def cut(keys: np.ndarray, part: int, parts: int, fan: int) -> np.ndarray:
+    """Where sorted keys of one of ``parts`` equal ranges pass into each of its ``fan`` equal ranges."""
+    bounds = np.array([(k << 64) // (parts * fan) for k in range(part * fan + 1, (part + 1) * fan)], np.uint64)
+    return np.concatenate([[0], np.searchsorted(keys, bounds), [len(keys)]]).astype(np.int64)
 
 
-ASK = pa.schema([("shard", pa.int32()), ("block", pa.int64()), ("fold", pa.bool_()), ("n", pa.int32()), ("keys", pa.binary()), ("train", pa.binary()), ("held", pa.binary())])
-ANSWER = pa.schema([("block", pa.int64()), ("fold", pa.bool_()), ("shard", pa.int32()), ("n", pa.int32()), ("check", pa.int64()), ("counts", pa.binary()), ("types", pa.int64()), ("tokens", pa.int64())])
+ASK = pa.schema([("team", pa.int64()), ("shard", pa.int64()), ("block", pa.int64()), ("fold", pa.bool_()), ("n", pa.int32()), ("keys", pa.binary()), ("train", pa.binary()), ("held", pa.binary())])
+ANSWER = pa.schema([("block", pa.int64()), ("fold", pa.bool_()), ("shard", pa.int64()), ("n", pa.int32()), ("check", pa.int64()), ("counts", pa.binary()), ("held", pa.binary()), ("types", pa.int64()), ("tokens", pa.int64())])
 TEXTS = pa.schema([("block", pa.int64()), ("key", pa.int64()), ("train", pa.bool_()), ("held", pa.bool_()), ("text", pa.binary())])
 
 
@@ -118,60 +137,106 @@ def tagged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(numbers, pa.int64()), *batch.columns[:3], text], schema=TEXTS)
 
 
-def asked(block: int, rows: list[tuple[bool, bool, bytes]], shards: int) -> Iterator[pa.RecordBatch]:
+def messages(keys: np.ndarray, part: int, parts: int, fan: int, totals: list[np.ndarray], team: int, block: int, fold: bool) -> pa.RecordBatch:
+    """Keys of a range and their counts, one row for each of its ``fan`` ranges that holds any."""
+    cuts = cut(keys, part, parts, fan)
+    columns: list[list] = [[] for _ in ASK]
+    for k, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+        if a < b:
+            blobs = [pack(c[a:b]) for c in totals] or [None, None]
+            for column, value in zip(columns, (team, part * fan + k, block, fold, b - a, pack_sorted(keys[a:b]), *blobs), strict=True):
+                column.append(value)
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, ASK, strict=True)], schema=ASK)
+
+
+def asked(block: int, rows: list[tuple[bool, bool, bytes]], fan: int, teams: int) -> Iterator[pa.RecordBatch]:
     """What a block asks for: all its keys with their counts, and once more the keys of its held-out texts."""
     train, held = np.array([r[0] for r in rows], bool), np.array([r[1] for r in rows], bool)
+    team = xxhash.xxh3_64_intdigest(block.to_bytes(8, "little")) % teams
     for fold in (False, True):
         chosen = [r[2] for r in rows if r[1] or not fold]
-        if not chosen:
-            continue
-        own = Block(chosen)
-        cuts = own.cuts(shards)
-        totals = [own.counts(train), own.counts(held)] if not fold else None
-        columns: list[list] = [[] for _ in ASK]
-        for k, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
-            if a < b:
-                blobs = [pack(c[a:b]) for c in totals] if totals else [None, None]
-                for column, value in zip(columns, (k, block, fold, b - a, pack_sorted(own.keys[a:b]), *blobs), strict=True):
-                    column.append(value)
-        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, ASK, strict=True)], schema=ASK)
-
-
-def ask(shards: int):
+        if chosen:
+            own = Block(chosen)
+            yield messages(own.keys, 0, 1, fan, [] if fold else [own.counts(train), own.counts(held)], team, block, fold)
+
+
+def ask(fan: int, teams: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, rows = None, []
         for batch in tagged(batches):
             for block, train, held, text in zip(*(batch.column(i).to_pylist() for i in (0, 2, 3, 4)), strict=True):
                 if now is not None and block != now:
-                    yield from asked(now, rows, shards)
+                    yield from asked(now, rows, fan, teams)
                     rows = []
                 now = block
                 rows.append((train, held, text))
         if rows:
-            yield from asked(now, rows, shards)
+            yield from asked(now, rows, fan, teams)
+
+    return run
+
+
+class Node:
+    """What several senders asked about one range: the distinct keys, their summed counts and the place of each sender's keys."""
+
+    def __init__(self, asks: pa.Table) -> None:
+        self.rows = asks.to_pylist()
+        self.asked = [unpack_sorted(r["keys"], r["n"]) for r in self.rows]
+        self.keys, place = np.unique(np.concatenate(self.asked), return_inverse=True)
+        cuts = np.cumsum([0] + [len(k) for k in self.asked])
+        self.places = [place[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+        self.train, self.held = np.zeros(len(self.keys), np.int64), np.zeros(len(self.keys), np.int64)
+        for r, at in zip(self.rows, self.places, strict=True):
+            if not r["fold"]:
+                self.train[at] += unpack(r["train"], r["n"]).astype(np.int64)
+                self.held[at] += unpack(r["held"], r["n"]).astype(np.int64)
+
+    def answers(self, train: np.ndarray, held: np.ndarray, to_blocks: bool) -> list[dict]:
+        """Each sender's counts in the order it asked. Blocks get those of all training texts or, for a fold, of those not held out; nodes get both."""
+        return [
+            {"block": r["block"], "fold": r["fold"], "shard": r["shard"], "n": r["n"], "check": int(np.bitwise_xor.reduce(k).astype(np.int64)),
+             "counts": pack(((train - held) if r["fold"] else train)[at]), "held": None if to_blocks else pack(held[at])}
+            for r, k, at in zip(self.rows, self.asked, self.places, strict=True)
+        ]
+
+
+def sent_on(parts: int, fan: int, teams: int):
+    """A node of a level with ``parts`` ranges sends its sums to the next level."""
+
+    def run(key: tuple[pa.Scalar, ...], asks: pa.Table) -> pa.Table:
+        node, (team, shard) = Node(asks), (k.as_py() for k in key)
+        return pa.Table.from_batches([messages(node.keys, shard, parts, fan, [node.train, node.held], team % teams, team, False)])
 
     return run
 
 
-def answered(asks: pa.Table) -> pa.Table:
-    """A shard's counts, in the order of each asking block: of all training texts, or for a fold of those not held out."""
-    rows = asks.to_pylist()
-    keys = [unpack_sorted(r["keys"], r["n"]) for r in rows]
-    all_keys, place = np.unique(np.concatenate(keys), return_inverse=True)
-    cuts = np.cumsum([0] + [len(k) for k in keys])
-    train, held = np.zeros(len(all_keys), np.int64), np.zeros(len(all_keys), np.int64)
-    for r, a, b in zip(rows, cuts[:-1], cuts[1:], strict=True):
-        if not r["fold"]:
-            train[place[a:b]] += unpack(r["train"], r["n"]).astype(np.int64)
-            held[place[a:b]] += unpack(r["held"], r["n"]).astype(np.int64)
-    word = (all_keys & np.uint64(1)).astype(bool)
-    out = [
-        {"block": r["block"], "fold": r["fold"], "shard": r["shard"], "n": r["n"], "check": int(np.bitwise_xor.reduce(k).astype(np.int64)), "counts": pack(((train - held) if r["fold"] else train)[place[a:b]])}
-        for r, k, a, b in zip(rows, keys, cuts[:-1], cuts[1:], strict=True)
-    ]
-    out.append({"block": -1, "fold": False, "shard": rows[0]["shard"], "n": 0, "types": int((train[word] > 0).sum()), "tokens": int(train[word].sum())})
-    out.append({"block": -1, "fold": True, "shard": rows[0]["shard"], "n": 0, "types": int((train[word] > held[word]).sum()), "tokens": int((train - held)[word].sum())})
-    return pa.Table.from_pylist(out, schema=ANSWER)
+def answered(to_blocks: bool):
+    """A shard's answers, and how many words and tokens it has counted."""
+
+    def run(key: tuple[pa.Scalar, ...], asks: pa.Table) -> pa.Table:
+        node = Node(asks)
+        word = (node.keys & np.uint64(1)).astype(bool)
+        train, left = node.train[word], (node.train - node.held)[word]
+        sums = [
+            {"block": -1, "fold": fold, "shard": key[1].as_py(), "n": 0, "types": int((c > 0).sum()), "tokens": int(c.sum())}
+            for fold, c in ((False, train), (True, left))
+        ]
+        return pa.Table.from_pylist(node.answers(node.train, node.held, to_blocks) + sums, schema=ANSWER)
+
+    return run
+
+
+def passed_back(to_blocks: bool):
+    """What a node was answered, for each of its senders."""
+
+    def run(key, asks: pa.Table, answers: pa.Table) -> pa.Table:
+        node, got = Node(asks), sorted(answers.to_pylist(), key=lambda r: r["shard"])
+        if sum(r["n"] for r in got) != len(node.keys):
+            raise RuntimeError("a node lacks some of its answers")
+        train, held = (np.concatenate([unpack(r[c], r["n"]) for r in got]).astype(np.int64) for c in ("counts", "held"))
+        return pa.Table.from_pylist(node.answers(train, held, to_blocks), schema=ANSWER)
+
+    return run
 
 
 def met(texts: pa.Table, answers: pa.Table) -> tuple[Block, np.ndarray]:
@@ -249,14 +314,26 @@ def score_texts(
     try:
         chars = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         shards = max(8, math.ceil(chars / SHARD_CHARS))
-        ddl = {k: "shard int, block long, fold boolean, n int, keys binary, train binary, held binary" for k in ("ask",)}
-        ddl["answer"] = "block long, fold boolean, shard int, n int, check long, counts binary, types long, tokens long"
+        levels, fan = levels_of(shards)
+        teams = [fan ** (levels - k) for k in range(1, levels + 1)]
+        ddl = {"ask": "team long, shard long, block long, fold boolean, n int, keys binary, train binary, held binary"}
+        ddl["answer"] = "block long, fold boolean, shard long, n int, check long, counts binary, held binary, types long, tokens long"
         ddl["texts"] = "block long, key long, train boolean, held boolean, text binary"
-        asks = rows.mapInArrow(ask(shards), ddl["ask"])
-        answers = scratch.write(asks.groupBy("shard").applyInArrow(answered, ddl["answer"]))
+        asks, below = rows.mapInArrow(ask(fan, teams[0]), ddl["ask"]), []
+        for k in range(1, levels):
+            # read again on the way back
+            below.append(scratch.write(asks))
+            asks = below[-1].groupBy("team", "shard").applyInArrow(sent_on(fan**k, fan, teams[k]), ddl["ask"])
+        answers = scratch.write(asks.groupBy("team", "shard").applyInArrow(answered(not below), ddl["answer"]))
         sums = {r["fold"]: (r["types"], r["tokens"]) for r in answers.where("block = -1").groupBy("fold").agg(F.sum("types").alias("types"), F.sum("tokens").alias("tokens")).collect()}
         (types, tokens), (left_types, left_tokens) = sums.get(False, (0, 0)), sums.get(True, (0, 0))
 
+        while below:
+            asks = below.pop()
+            back = answers.where("block >= 0").withColumns({"team": F.col("block"), "node": F.expr(f"shard div {fan}")})
+            answers = scratch.write(asks.groupBy("team", "shard").cogroup(back.groupBy("team", "node")).applyInArrow(passed_back(not below), ddl["answer"]))
+            scratch.drop(asks)
+
         texts = rows.mapInArrow(tagged, ddl["texts"])
         part = lambda fold: answers.where("block >= 0").where(F.col("fold") == fold).groupBy("block")
         seen = texts.where("held").groupBy("block").cogroup(part(True)).applyInArrow(fold_table(left_tokens), "b long, p2 long, p1 long, n long")

@@ -204,7 +204,42 @@ def test_banded_alignment_is_exact():
         assert close == (true <= int(0.2 * max(len(a), len(b)) + 1e-9)) and (not close or d == true)
 
 
-def test_language_model_against_brute_force(spark, empty):
+def interpolated(tokens, used, held):
+    """Scores of texts (tokens by id) by plain counting, and weights learned token by token; ``held`` are the ids kept from the counts at first."""
+
+    def counted(ids):
+        words = Counter(w for k in ids for w in tokens[k])
+        pairs = Counter(p for k in ids for p in zip([language_model.END, *tokens[k]], tokens[k]))
+        total = sum(words.values())
+        return lambda u, w: (words[u], pairs[u, w] / max(words[u], 1), words[w] / max(total, 1)), len(words)
+
+    def step(p):
+        return 2.0 ** (-round(-language_model.FINE * math.log2(p)) / language_model.FINE) if p else 0.0
+
+    model, kinds = counted([k for k in used if k not in held])
+    seen = [model(u, w) for k in held for u, w in zip([language_model.END, *tokens[k]], tokens[k])]
+    weights = {}
+    for b in {int(math.log2(c + 1)) for c, _, _ in seen}:
+        values = [(step(p2), step(p1), 1 / (kinds + 1)) for c, p2, p1 in seen if int(math.log2(c + 1)) == b]
+        w = [0.5, 0.4, 0.1]
+        for _ in range(60):
+            parts = [[x * y for x, y in zip(w, v)] for v in values]
+            w = [(sum(p[k] / sum(p) for p in parts) + 0.5) / (len(values) + 1.5) for k in range(3)]
+        weights[b] = w
+    model, kinds = counted(used)
+    scores = {}
+    for k, words in tokens.items():
+        scores[k] = 0.0
+        for u, w in zip([language_model.END, *words], words):
+            c, p2, p1 = model(u, w)
+            a, b, g = weights.get(int(math.log2(c + 1)), (0.5, 0.4, 0.1))
+            scores[k] += math.log10(a * p2 + b * p1 + g / (kinds + 1))
+    return scores
+
+
+@pytest.mark.parametrize("fan", [128, 3, 2])
+def test_language_model_against_brute_force(spark, empty, monkeypatch, fan):
+    monkeypatch.setattr(language_model, "FAN", fan)  # one, two and three levels
     rng = random.Random(7)
     rows = [(k, prose(rng, rng.randint(0, 40)) if k % 9 else None) for k in range(80)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
@@ -212,15 +247,23 @@ def test_language_model_against_brute_force(spark, empty):
     got = {r.doc_id: r for r in language_model.score_texts(docs, train).collect()}
     tokens = {k: (t or "").encode().lower().split() + [language_model.END] for k, t in rows}
     used = [k for k in tokens if zlib.crc32(str(k).encode()) % 7 != 2]
+    away = docs.where(F.pmod(F.xxhash64(F.lit("held"), F.col("doc_id").cast("string")), F.lit(10)) == 0)
+    scores = interpolated(tokens, used, {r.doc_id for r in away.collect()} & set(used))
     count = Counter(w for k in used for w in tokens[k])
     total, kinds = sum(count.values()), len(count)
     for k, words in tokens.items():
         assert got[k].n_tokens == len(words) and got[k].n_known == sum(count[w] > 0 for w in words) and got[k].train_tokens == total
         assert got[k].base_score == pytest.approx(sum(math.log10((count[w] + 1) / (total + kinds + 1)) for w in words))
-        assert got[k].score < 0
+        assert got[k].score == pytest.approx(scores[k])
     assert language_model.score_texts(empty, train).count() == 0
 
 
+def test_messages_of_a_block_do_not_grow_with_the_shards():
+    for shards in (8, 128, 129, 5000, 17_000_000):
+        levels, fan = language_model.levels_of(shards)
+        assert fan <= language_model.FAN and fan**levels >= shards > fan ** (levels - 1)
+
+
 def test_mixture_weights_fit_their_source():
     rng = np.random.default_rng(8)
     p2, p1 = rng.uniform(0.001, 1, 5000), rng.uniform(0.001, 1, 5000)
