@@ -33,8 +33,8 @@ from pairsample.llm.common import Scratch
 END = b"\n"
 BLOCK_CHARS = 9_000_000
 SHARD_CHARS = 6_000_000
-#: Most ranges that a block or node sends to.
-FAN = 128
+#: Most ranges that a block or node sends to: a message then still holds some hundred keys, so that its own cost stays small beside theirs.
+FAN = 2048
 #: Steps of probability per octave in the table that expectation-maximisation reads.
 FINE = 4
 BUCKETS = 64

@@ -237,7 +237,7 @@ def interpolated(tokens, used, held):
     return scores
 
 
-@pytest.mark.parametrize("fan", [128, 3, 2])
+@pytest.mark.parametrize("fan", [2048, 3, 2])
 def test_language_model_against_brute_force(spark, empty, monkeypatch, fan):
     monkeypatch.setattr(language_model, "FAN", fan)  # one, two and three levels
     rng = random.Random(7)
@@ -259,7 +259,7 @@ def test_language_model_against_brute_force(spark, empty, monkeypatch, fan):
 
 
 def test_messages_of_a_block_do_not_grow_with_the_shards():
-    for shards in (8, 128, 129, 5000, 17_000_000):
+    for shards in (8, 2048, 2049, 5000, 17_000_000):
         levels, fan = language_model.levels_of(shards)
         assert fan <= language_model.FAN and fan**levels >= shards > fan ** (levels - 1)
 
