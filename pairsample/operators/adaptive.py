@@ -41,20 +41,26 @@ def levels(taken: DataFrame, measure: str | Measure, mu: float, m: DataFrame | N
     return ranked.groupBy("i", "j").agg(F.first("ci").alias("ci"), F.first("cj").alias("cj"), F.greatest(F.max(by_count), F.max(by_exact)).alias("level"))
 
 
-def top_pairs(baskets: DataFrame, measure: str | Measure, mu: float = 15.0, k: int = 100, start: float = 1.0, ratio: float = 0.5, least: float = 1e-3, seed: int = 42) -> DataFrame:
-    """The k pairs of highest level, (i, j, level), ties by name. The threshold falls by ``ratio`` from ``start`` until k pairs are reported, or to ``least``.
+def enough_pairs(baskets: DataFrame, measure: str | Measure, mu: float = 15.0, min_results: int = 100, start: float = 1.0, ratio: float = 0.5, least: float = 1e-3, seed: int = 42) -> DataFrame:
+    """(i, j, level) of every pair reported at the first threshold that reports at least ``min_results``. It falls by ``ratio`` from ``start``, to ``least`` at most.
 
-    Only one number per step comes to the driver.
+    Only one number per step comes to the driver. Pairs of equal level stand or fall together, so the result doesn't depend on their names.
     """
     m = transactions(baskets) if get(measure).uses_m else None
     floor = start * ratio
     while True:
         found = levels(occurrences(baskets, measure, mu, floor, seed), measure, mu, m).where(F.col("level") > floor)
-        if floor <= least or found.limit(k).count() >= k:
-            return found.select("i", "j", F.round("level", 6).alias("level")).orderBy(F.col("level").desc(), "i", "j").limit(k)
+        if floor <= least or found.limit(min_results).count() >= min_results:
+            return found.select("i", "j", "level")
         floor *= ratio
 
 
+def top_pairs(baskets: DataFrame, measure: str | Measure, mu: float = 15.0, k: int = 100, start: float = 1.0, ratio: float = 0.5, least: float = 1e-3, seed: int = 42) -> DataFrame:
+    """The k pairs of highest level, (i, j, level), ties by name, once the falling threshold reports as many."""
+    found = enough_pairs(baskets, measure, mu, k, start, ratio, least, seed)
+    return found.select("i", "j", F.round("level", 6).alias("level")).orderBy(F.col("level").desc(), "i", "j").limit(k)
+
+
 def calibrate_delta(baskets: DataFrame, measure: str | Measure, mu: float = 15.0, target: int = 100, **options) -> DataFrame:
     """One row: the threshold at which about ``target`` pairs are reported."""
     return top_pairs(baskets, measure, mu, target, **options).agg(F.min("level").alias("delta"), F.count("*").alias("outputs"))

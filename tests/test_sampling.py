@@ -126,3 +126,14 @@ def test_plan_has_no_cross_product(small):
     plan = sampling.sample_pairs(small, "cosine", 15.0, 0.5)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
     assert get("cosine").uses_m is False
+
+
+def test_a_falling_threshold_stops_after_enough_results(small):
+    full = {(r.i, r.j): r.level for r in adaptive.levels(adaptive.occurrences(small, "cosine", 15.0, 0.0625), "cosine", 15.0).collect()}
+    floors = [1.0 * 0.5**k for k in range(1, 5)]
+    for wanted in (1, 10, 40):
+        floor = next((f for f in floors if sum(x > f for x in full.values()) >= wanted), floors[-1])
+        got = {(r.i, r.j): r.level for r in adaptive.enough_pairs(small, "cosine", 15.0, wanted, least=0.0625).collect()}
+        assert got == pytest.approx({p: x for p, x in full.items() if x > floor})
+    few = adaptive.top_pairs(small, "cosine", 15.0, 10, least=0.0625).collect()
+    assert [r.level for r in few] == pytest.approx(sorted(full.values(), reverse=True)[:10], abs=1e-6)
