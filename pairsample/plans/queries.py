@@ -291,6 +291,12 @@ register(
     "adaptive_consistency", lambda s, d: adaptive.levels(adaptive.occurrences(baskets(s, d, W5), "cosine", MU, 0.2), "cosine", MU).where("level > 0.3").select("i", "j"),
     f"{_s5} SELECT i, j FROM sm WHERE {reporting.rule_sql(get('cosine'), MU, 0.3)}",
 )
+ENOUGH, BANDS = 5000, (0.5, 0.25, 0.125, 0.0625)
+register(
+    "adaptive_enough", lambda s, d: adaptive.enough_pairs(baskets(s, d, W4), "cosine", MU, ENOUGH, least=BANDS[-1]).select("i", "j", F.round("level", 6).alias("level")),
+    f"""WITH {sql_levels(W4, 'cosine', MU, BANDS[-1])}, stop AS (SELECT coalesce(max(CASE WHEN n >= {ENOUGH} THEN f END), {dbl(BANDS[-1])}) AS f FROM
+({' UNION ALL '.join(f"SELECT {dbl(b)} AS f, count(*) AS n FROM lv WHERE level > {dbl(b)}" for b in BANDS)}) x) SELECT i, j, round(level, 6) AS level FROM lv, stop WHERE level > stop.f""",
+)
 register("adaptive_frontier", lambda s, d: adaptive.frontier(baskets(s, d, W4)), f"WITH {sql_base(W4)} SELECT t, i, j FROM (SELECT t, i, lead(i) OVER (PARTITION BY t ORDER BY c, i) AS j FROM e) q WHERE j IS NOT NULL")
 
 # --- baselines ---------------------------------------------------------------------------------------------------------------------
@@ -473,6 +479,7 @@ def sql_missed(view: str, delta: float) -> str:
 
 ALL_PAIRS = "ap AS (SELECT x.i AS i, y.i AS j, count(*) AS k, x.c AS ci, y.c AS cj FROM e x JOIN e y ON x.t = y.t AND (x.c < y.c OR (x.c = y.c AND x.i < y.i)) GROUP BY 1, 2, 4, 5)"
 register("observed_fn", lambda s, d: _missed(s, d, W5, 0.25), sql_missed(W5, 0.25))
+register("observed_fn_texts", lambda s, d: _missed(s, d, "run_texts", 0.3), sql_missed("run_texts", 0.3))
 register("observed_fn_suppliers", lambda s, d: _missed(s, d, W4, 0.3), sql_missed(W4, 0.3))
 
 

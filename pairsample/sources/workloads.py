@@ -6,6 +6,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pairsample.sources.tables import NAMES, run_sql
 
+#: Host and path of an address, without query and fragment.
+HOST, PATH = "^[a-z]+://([^/?#]+)", "^[a-z]+://[^/?#]+([^?#]*)"
+#: Words in a run that texts share.
+RUN = 5
 #: Spellings of Spark and of DuckDB.
 SPELL = {
     "spark": {
@@ -13,6 +17,9 @@ SPELL = {
         "tags": lambda x: f"explode(regexp_extract_all({x}, '<([a-z0-9]+)', 1))",
         "key": lambda x: f"get_json_object({x}, '$.k')",
         "day": lambda x: f"date_format({x}, 'yyyy-MM-dd')",
+        "parts": lambda x: f"explode(split(regexp_extract({x}, '{PATH}', 1), '/'))",
+        "runs": lambda x: f"explode(CASE WHEN size({x}) >= {RUN} THEN transform(sequence(1, size({x}) - {RUN - 1}), p -> array_join(slice({x}, p, {RUN}), ' ')) END)",
+        "blanks": lambda x: f"split(lower(trim({x})), ' +')",
         "str": "STRING",
     },
     "duckdb": {
@@ -20,6 +27,9 @@ SPELL = {
         "tags": lambda x: f"unnest(regexp_extract_all({x}, '<([a-z0-9]+)', 1))",
         "key": lambda x: f"json_extract_string({x}, '$.k')",
         "day": lambda x: f"strftime({x}, '%Y-%m-%d')",
+        "parts": lambda x: f"unnest(string_split(regexp_extract({x}, '{PATH}', 1), '/'))",
+        "runs": lambda x: f"unnest(list_transform(range(1, len({x}) - {RUN - 2}), lambda p: array_to_string({x}[p:p + {RUN - 1}], ' ')))",
+        "blanks": lambda x: f"string_split_regex(lower(trim({x})), ' +')",
         "str": "VARCHAR",
     },
 }
@@ -58,6 +68,13 @@ def sql(view: str, dialect: str = "spark") -> str:
         "word_docs": f"SELECT t, i FROM (SELECT {s['words']('text')} AS t, doc_id AS i FROM {{documents}}) x WHERE t <> ''",
         "supplier_parts": "SELECT l_suppkey AS t, l_partkey AS i FROM {lineitem}",
         "page_tags": f"SELECT page_id AS t, {s['tags']('html')} AS i FROM {{pages}}",
+        "host_parts": f"SELECT t, i FROM (SELECT regexp_extract(url, '{HOST}', 1) AS t, {s['parts']('url')} AS i FROM {{pages}}) x WHERE t <> '' AND i <> ''",
+        "source_words": f"SELECT t, i FROM (SELECT concat(coalesce(lang, '?'), '/', source) AS t, {s['words']('text')} AS i FROM {{documents}} WHERE source IS NOT NULL) x WHERE i <> ''",
+        "word_sources": f"SELECT t, i FROM (SELECT {s['words']('text')} AS t, concat(coalesce(lang, '?'), '/', source) AS i FROM {{documents}} WHERE source IS NOT NULL) x WHERE t <> ''",
+        "run_texts": (
+            f"SELECT {s['runs']('w')} AS t, i FROM (SELECT concat('document ', {text('doc_id')}) AS i, {s['blanks']('text')} AS w FROM {{documents}}"
+            f" UNION ALL SELECT concat('item ', {text('item_id')}), {s['blanks']('text')} FROM {{benchmark}}) x"
+        ),
         "conv_words": f"SELECT t, i FROM (SELECT conv_id AS t, {s['words']('text')} AS i FROM {{conversations}}) x WHERE i <> ''",
     }
     if view in WITHOUT_FREQUENT:
@@ -69,12 +86,12 @@ def sql(view: str, dialect: str = "spark") -> str:
 
 
 VIEWS = (
-    "order_parts order_suppliers customer_parts customer_suppliers customer_brandtype customer_brand line_attrs user_keys user_day_events doc_words word_docs supplier_parts page_tags conv_words customer_brandtype_rare"
+    "order_parts order_suppliers customer_parts customer_suppliers customer_brandtype customer_brand line_attrs user_keys user_day_events doc_words word_docs supplier_parts page_tags conv_words customer_brandtype_rare host_parts run_texts source_words word_sources"
 ).split()
 #: Thresholds of the cost table, for the cosine.
 DELTAS = {
     "order_parts": 0.5, "order_suppliers": 0.5, "customer_parts": 0.5, "customer_suppliers": 0.5, "customer_brandtype": 0.3, "customer_brand": 0.7, "line_attrs": 0.5,
-    "user_keys": 0.5, "user_day_events": 0.5, "word_docs": 0.5, "supplier_parts": 0.5, "page_tags": 0.5, "conv_words": 0.5, "customer_brandtype_rare": 0.3,
+    "user_keys": 0.5, "user_day_events": 0.5, "word_docs": 0.5, "supplier_parts": 0.5, "page_tags": 0.5, "conv_words": 0.5, "customer_brandtype_rare": 0.3, "host_parts": 0.5, "run_texts": 0.5, "word_sources": 0.5,
 }
 
 
