@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from pairsample.functions.measures import MEASURES
-from pairsample.operators import baselines, sampling, tiles
+from pairsample.operators import baselines, refining, reporting, rules, sampling, tiles
 from pairsample.plans import cost
 
 
@@ -29,6 +29,14 @@ def test_exact_pairs_and_cost_shuffle_no_pair(rows):
         assert "hashpartitioning(i" not in plan and "hashpartitioning(j" not in plan and "SortMergeJoin" not in plan and "hashpartitioning(t" in plan
 
 
+def test_verifying_and_rules_by_tiles(rows):
+    found = reporting.report(sampling.sample_pairs(rows, "cosine", 15.0, 0.3), "cosine", 15.0, 0.3)
+    large = refining.verify_exact(found, rows, "cosine", 0.3, in_memory_rows=10)
+    assert "hashpartitioning(t, j" not in large._jdf.queryExecution().executedPlan().toString()
+    assert set(large.collect()) == set(refining.verify_exact(found, rows, "cosine", 0.3).collect()) != set()
+    assert set(rules.rules_sampled(rows, 0.9).collect()) <= set(rules.rules_exact(rows, 0.9).collect())
+
+
 def test_similarities_are_those_of_the_sql_texts(spark):
     k, ci, cj = np.array([1.0, 4.0, 9.0]), np.array([3.0, 5.0, 11.0]), np.array([7.0, 5.0, 29.0])
     for of in MEASURES.values():
