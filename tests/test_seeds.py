@@ -33,3 +33,11 @@ def test_reports_by_similarity_shuffle_no_pair(rows, samples):
     bucket = {(r.i, r.j): r.b for r in baselines.all_pairs(rows).withColumn("b", F.expr(f"CAST(floor({get('cosine').sim_sql()} / {DELTA}D * 10) AS INT)")).collect()}
     times = [bucket[p] for s in SEEDS for p in reported(samples[s])]
     assert {(r.bucket, r.pairs, r.reports) for r in made.collect()} == {(b, list(bucket.values()).count(b), times.count(b)) for b in bucket.values()}
+
+
+def test_misses_of_seeds_shuffle_no_pair(rows, samples):
+    made = seeds.missed_by_seed(rows, tiles.numbered(rows), "cosine", MU, DELTA, SEEDS, strips=3)
+    assert "hashpartitioning(i" not in made._jdf.queryExecution().executedPlan().toString()
+    true = {(r.i, r.j) for r in baselines.exact_pairs(rows, "cosine", DELTA).collect()}
+    assert len(true) > 20
+    assert {tuple(r) for r in made.collect()} == {(s, len(true), len(true - reported(samples[s]))) for s in SEEDS}
