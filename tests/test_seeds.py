@@ -41,3 +41,9 @@ def test_misses_of_seeds_shuffle_no_pair(rows, samples):
     true = {(r.i, r.j) for r in baselines.exact_pairs(rows, "cosine", DELTA).collect()}
     assert len(true) > 20
     assert {tuple(r) for r in made.collect()} == {(s, len(true), len(true - reported(samples[s]))) for s in SEEDS}
+
+
+def test_insertions_of_seeds_make_no_pair(rows, samples):
+    made = seeds.inserted_by_seed(rows, "cosine", MU, DELTA, SEEDS)
+    assert "hashpartitioning(i" not in made._jdf.queryExecution().executedPlan().toString()
+    assert {tuple(r) for r in made.collect()} == {(s, samples[s].agg(F.sum("k")).first()[0]) for s in SEEDS}
