@@ -2,8 +2,10 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from pairsample.operators import baselines, strips, tiles
+from pairsample.operators import adaptive, baselines, strips, tiles
+from pairsample.operators import baskets as bk
 from pairsample.plans import cost
 
 
@@ -39,3 +41,13 @@ def test_too_many_items_for_tiles_shuffle_no_pair(rows, monkeypatch):
         assert "hashpartitioning(i" not in plan and "hashpartitioning(j" not in plan and "SortMergeJoin" not in plan
     assert cost.compare(rows, "lift", 3.0, 2.0).first() == by_tiles
     assert set(baselines.exact_pairs(rows, "cosine", 0.2).collect()) == exact
+
+
+def test_levels_shuffle_no_pair(rows):
+    for measure, floor in (("cosine", 0.4), ("lift", 2.0)):
+        m = bk.transactions(rows) if measure == "lift" else None
+        plain = adaptive.levels(adaptive.occurrences(rows, measure, 15.0, floor), measure, 15.0, m).where(F.col("level") > floor)
+        made = adaptive.strip_levels(rows, tiles.numbered(rows), measure, 15.0, floor, strips=3)
+        assert {tuple(r) for r in made.collect()} == {tuple(r) for r in plain.select("i", "j", "ci", "cj", "level").collect()} != set()
+    plan = adaptive.enough_pairs(rows, "cosine", 15.0, 10)._jdf.queryExecution().executedPlan().toString()
+    assert "hashpartitioning(i" not in plan and "Window" not in plan
