@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from pairsample.operators import adaptive, baselines, strips, tiles
+from pairsample.operators import adaptive, baselines, refining, sampling, strips, tiles
 from pairsample.operators import baskets as bk
 from pairsample.plans import cost
 
@@ -51,3 +51,10 @@ def test_levels_shuffle_no_pair(rows):
         assert {tuple(r) for r in made.collect()} == {tuple(r) for r in plain.select("i", "j", "ci", "cj", "level").collect()} != set()
     plan = adaptive.enough_pairs(rows, "cosine", 15.0, 10)._jdf.queryExecution().executedPlan().toString()
     assert "hashpartitioning(i" not in plan and "Window" not in plan
+
+
+def test_sampled_smaller_set_shuffles_no_pair(rows):
+    plain = refining.filter_smaller_set(sampling.sample_pairs(rows, "overlap", 15.0, 0.3), rows, 0.5, "overlap", 0.3)
+    made = refining.sampled_smaller_set(rows, 0.5, "overlap", 15.0, 0.3, strips=3)
+    assert "hashpartitioning(t, j" not in made._jdf.queryExecution().executedPlan().toString()
+    assert set(made.collect()) == set(plain.collect()) != set()
