@@ -48,3 +48,10 @@ def test_no_rows(spark):
     empty = spark.createDataFrame([], "t long, i long")
     assert baselines.exact_pairs(empty, "cosine", 0.5).collect() == []
     assert cost.pair_sums(empty, "cosine", 15.0, 0.5).first()["distinct_pairs"] == 0
+
+
+def test_sampled_minhash_shuffles_no_pair(rows):
+    plain = refining.filter_minhash(sampling.sample_pairs(rows, "cosine", 15.0, 0.3), refining.minhash_sketch(rows, 16), 16, "cosine", 0.3)
+    made = refining.sampled_minhash(rows, 16, "cosine", 15.0, 0.3, width=64)
+    assert "hashpartitioning(i" not in made._jdf.queryExecution().executedPlan().toString()
+    assert set(made.collect()) == set(plain.collect()) != set()
