@@ -1,9 +1,10 @@
 """Counts over tiles of the pair matrix against plain counting."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
-from pairsample.functions.measures import MEASURES
+from pairsample.functions.measures import MEASURES, all_of
 from pairsample.operators import baselines, refining, reporting, rules, sampling, tiles
 from pairsample.plans import cost
 
@@ -55,3 +56,20 @@ def test_sampled_minhash_shuffles_no_pair(rows):
     made = refining.sampled_minhash(rows, 16, "cosine", 15.0, 0.3, width=64)
     assert "hashpartitioning(i" not in made._jdf.queryExecution().executedPlan().toString()
     assert set(made.collect()) == set(plain.collect()) != set()
+
+
+def test_samples_by_tiles_are_those_of_the_self_join(rows):
+    both = all_of([("cosine", 0.7, 1.0), ("lift", 2.0, 1.0)])
+    for of in (both, "cosine", "lift"):
+        made = sampling.sample_pairs(rows, of, 2.0, 1.0, 3, "tiles")
+        plan = made._jdf.queryExecution().executedPlan().toString()
+        assert "hashpartitioning(i" not in plan and "hashpartitioning(t" in plan
+        as_set = lambda df: {tuple(r) for r in df.select("i", "j", "k", "ci", "cj").collect()}
+        assert as_set(made) == as_set(sampling.sample_pairs(rows, of, 2.0, 1.0, 3, "selfjoin")) != set()
+    assert sampling.sample_pairs(rows.where("t < 0"), both, 2.0, 1.0, 3, "tiles").collect() == []
+
+
+def test_transactions_above_all_chances_of_a_tile_are_not_dealt():
+    batch = pa.RecordBatch.from_arrays([pa.array([[0, 1, 5], [0, 5], [4, 5]], pa.list_(pa.int32())), pa.array([0.1, 0.5, 0.9])], names=["a", "r"])
+    dealt = [x for part in tiles._deal(4, 2, np.array([0.2, 0.4, 1.0]))([batch]) for x in part.to_pylist()]
+    assert sorted((x["tile"], np.frombuffer(x["r"]).tolist()) for x in dealt) == [(0, [0.1]), (1, [0.1]), (2, [0.9])]
