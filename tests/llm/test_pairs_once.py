@@ -1,5 +1,6 @@
 """Pairs of texts that share many keys are made once, and components don't depend on where they are found."""
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from pairsample.llm import order_minhash
@@ -24,3 +25,30 @@ def test_components_on_the_driver_and_distributed(spark):
     here = {(r.node, r.component) for r in components(Scratch(spark, "test"), edges).collect()}
     there = {(r.node, r.component) for r in components(Scratch(spark, "test"), edges, held_edges=0).collect()}
     assert here == there and len(here) > 90
+
+
+def test_a_bucket_goes_on_by_more_keys_only_where_that_is_less_work(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    own = lambda n: [f"w{x}" for x in rng.integers(0, 40, n)]
+    shared = ["is", "one"] * 60
+    texts = [own(80) + shared for _ in range(30)]
+    texts += [[*t[:70], *own(10), *shared] for t in texts[:10]]
+    docs = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "doc_id long, text string")
+    monkeypatch.setattr(order_minhash, "RARE_WORK", 0)
+    made = []
+    deeper = order_minhash.rarer_keys
+
+    def rarer_keys(rows, rare, depth):
+        more = deeper(rows, rare, depth)
+        for r in more.join(rare, "d").collect():
+            assert r.ahead == r.p + depth - (r.rare.index(r.used[-1]) + 1)
+        made.append(depth)
+        return more
+
+    monkeypatch.setattr(order_minhash, "rarer_keys", rarer_keys)
+    found = {tuple(r) for r in order_minhash.near_duplicates(docs).select("doc_id", "cluster_id").collect()}
+    assert made == []
+    # the same classes where every bucket goes on as far as it can
+    monkeypatch.setattr(order_minhash, "PER_KEY", 0)
+    assert found == {tuple(r) for r in order_minhash.near_duplicates(docs).select("doc_id", "cluster_id").collect()}
+    assert made == [2, 3] and len({c for _, c in found}) <= 30
