@@ -137,3 +137,9 @@ def test_a_falling_threshold_stops_after_enough_results(small):
         assert got == pytest.approx({p: x for p, x in full.items() if x > floor})
     few = adaptive.top_pairs(small, "cosine", 15.0, 10, least=0.0625).collect()
     assert [r.level for r in few] == pytest.approx(sorted(full.values(), reverse=True)[:10], abs=1e-6)
+
+
+def test_confusion_where_nothing_is_true_or_reported(spark):
+    none, one = (spark.createDataFrame(rows, "i long, j long") for rows in ([], [(1, 2)]))
+    for found, true, wanted in ((none, none, "0 0 0 nan nan"), (one, none, "0 1 0 nan 0.0"), (none, one, "0 0 1 0.0 nan"), (one, one, "1 0 0 1.0 1.0")):
+        assert " ".join(str(x) for x in cost.confusion(found, true).first()) == wanted
