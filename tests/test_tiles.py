@@ -5,7 +5,7 @@ import pyarrow as pa
 import pytest
 
 from pairsample.functions.measures import MEASURES, all_of
-from pairsample.operators import baselines, refining, reporting, rules, sampling, tiles
+from pairsample.operators import baselines, baskets, refining, reporting, rules, sampling, tiles
 from pairsample.plans import cost
 
 
@@ -73,3 +73,34 @@ def test_transactions_above_all_chances_of_a_tile_are_not_dealt():
     batch = pa.RecordBatch.from_arrays([pa.array([[0, 1, 5], [0, 5], [4, 5]], pa.list_(pa.int32())), pa.array([0.1, 0.5, 0.9])], names=["a", "r"])
     dealt = [x for part in tiles._deal(4, 2, np.array([0.2, 0.4, 1.0]))([batch]) for x in part.to_pylist()]
     assert sorted((x["tile"], np.frombuffer(x["r"]).tolist()) for x in dealt) == [(0, [0.1]), (1, [0.1]), (2, [0.9])]
+
+
+def test_pairs_that_reach_a_threshold_and_samples_of_many_blocks(rows):
+    items = tiles.numbered(rows)
+    for name, delta in (("cosine", 0.5), ("jaccard", 0.4), ("overlap", 0.8), ("all_confidence", 0.4), ("lift", 3.0)):
+        m = baskets.transactions(rows)
+        wanted = set(refining._reaching(baselines.all_pairs(rows), tiles.get(name), delta, m).collect())
+        for width in (8, 16):
+            made = refining._reaching(tiles.tile_pairs(rows, items, name, delta, width=width), tiles.get(name), delta, m)
+            assert set(made.collect()) == wanted != set()
+        sample = {tuple(r) for r in tiles.tile_sample(rows, items, name, 3.0, delta, 11, 8).select("i", "j", "k", "ci", "cj").collect()}
+        assert sample == {tuple(r) for r in sampling.sample_pairs(rows, name, 3.0, delta, 11, "selfjoin").select("i", "j", "k", "ci", "cj").collect()}
+
+
+def test_many_items_are_sent_to_few_tiles(rows):
+    items = pa.table({"i": [f"y{n}" for n in range(500_000)], "c": np.full(500_000, 100)})
+    plan = tiles.over_tiles(rows, items, None, "n long")._jdf.queryExecution().executedPlan().toString()
+    # eight runs, to each of which a row goes as often: before, a row went to 123 of 7,626 tiles
+    assert "(tile" in plan and ", 36)" in plan
+
+
+def test_verified_candidates_are_not_shuffled_where_few_pairs_are_true(rows, spark, tmp_path, monkeypatch):
+    found = reporting.report(sampling.sample_pairs(rows, "cosine", 15.0, 0.3, 42, "tiles"), "cosine", 15.0, 0.3)
+    wanted = set(refining.verify_exact(found, rows, "cosine", 0.3).collect())
+    spark.sparkContext.setCheckpointDir(str(tmp_path))
+    made = refining.verify_exact(found, rows, "cosine", 0.3, in_memory_rows=10)
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in plan and "BroadcastHashJoin" in plan
+    assert set(made.collect()) == wanted != set()
+    monkeypatch.setattr(refining, "SENT", 1)
+    assert set(refining.verify_exact(found, rows, "cosine", 0.3, in_memory_rows=10).collect()) == wanted
