@@ -93,3 +93,19 @@ def test_plans(spark):
     assert plan.count("Exchange hashpartitioning") == 2 and "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
     # a hot item is spread over its runs
     assert "salt" in text(support_counts(rows, "sort"))
+
+
+def test_runs_of_words_are_shuffled_once(spark, tmp_path):
+    from pairsample.plans import cost
+    from pairsample.sources import workloads
+
+    texts = ["a b c d e f a b c d e f", "b c d e f g", "x a b c d e", "  A  b c d e f ", "a b", None]
+    spark.createDataFrame([*enumerate(texts), (0, texts[0])], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(0, "b c d e f g h")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    made = workloads.baskets(spark, str(tmp_path), "run_texts")
+    words = [(f"document {n}", t.lower().split()) for n, t in enumerate(texts) if t] + [("item 0", "b c d e f g h".split())]
+    wanted = sorted({(" ".join(w[p : p + 5]), i) for i, w in words for p in range(len(w) - 4)})
+    assert sorted(tuple(r) for r in made.collect()) == wanted
+    plan = made.groupBy("t").count()._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning(t") == 1 and "hashpartitioning(t#" in plan and "i#" not in plan.split("hashpartitioning(")[1].split(")")[0]
+    assert cost.base(made).first()["rows"] == len(wanted)
