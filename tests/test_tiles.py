@@ -104,3 +104,24 @@ def test_verified_candidates_are_not_shuffled_where_few_pairs_are_true(rows, spa
     assert set(made.collect()) == wanted != set()
     monkeypatch.setattr(refining, "SENT", 1)
     assert set(refining.verify_exact(found, rows, "cosine", 0.3, in_memory_rows=10).collect()) == wanted
+
+
+def test_points_of_all_views_are_planned_one_by_one(spark):
+    from pairsample.plans.queries import _one_by_one
+
+    seen = []
+
+    def of(name):
+        seen.append((name, len(spark.sparkContext._jsc.sc().statusTracker().getJobIdsForGroup(None))))
+        return spark.createDataFrame([(name, 1.5)], "view string, x double").repartition(2)
+
+    made = _one_by_one(spark, of, ("a", "b", "c"))
+    assert "Exchange" not in made._jdf.queryExecution().executedPlan().toString() and [x for x, _ in seen] == ["a", "b", "c"]
+    # the rows of a view are there before the next one is planned
+    assert seen[0][1] < seen[1][1] < seen[2][1]
+    assert [tuple(r) for r in made.collect()] == [("a", 1.5), ("b", 1.5), ("c", 1.5)]
+
+
+def test_sides_hold_their_items_block_by_block():
+    side = tiles.Side(np.array([3, 2]), np.array([0, 5, 6, 1, 9], np.uint16), 5, 3)
+    assert [[x.tolist() for x in side.block(b)] for b in range(3)] == [[[0, 1], [1, 1], [0, 1]], [[0, 1], [2, 1], [0, 1, 4]], [[], [], []]]
